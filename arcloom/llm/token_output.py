@@ -38,55 +38,88 @@ END = 2
 #: Symbols are stored in 16 bits.
 LIMIT = 1 << 16
 SAMPLE = 1024
+#: A Latin word and ASCII marks behind it, which encode alike apart (an apostrophe may begin a suffix, so it is no such mark), and characters that may stand between chunks if the tokenizer has an id for one.
+WORD = r"^(?P<stem>[A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{24F}]+)(?P<tail>[.,!?;:#*&%$|+=/()\[\]{}<>@^~_-]*)$"
+MARKS = ["\u2603", "\u2693", "\u2622", "\u266b", "\u2665", "\u00a9"]
 _encoders: dict[str, "ChunkEncoder"] = {}
 
 
 class ChunkEncoder:
-    def __init__(self, path: str, most: int = 300_000, most_chars: int = 1 << 16):
+    def __init__(self, path: str, most: int = 400_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.most, self.most_chars = Tokenizer.from_file(path), most, most_chars
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        known = [(c, e.ids[0]) for c, e in zip(MARKS, self.tokenizer.encode_batch(MARKS, add_special_tokens=False), strict=True) if len(e.ids) == 1]
+        self.mark = known[0] if known else None
         self._clear()
 
     def _clear(self) -> None:
-        self.index: dict[str, int] = {}
+        self.atoms: dict[str, int] = {}
         self.start, self.length, self.flat, self.used = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(4096, np.uint32), 0
 
-    def _learn(self, chunks: list[str]) -> None:
+    def _together(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
+        """Encode all chunks as one text with a mark between them, where the mark cannot be mistaken."""
+        text = f" {self.mark[0]} ".join(chunks)
+        if text.count(self.mark[0]) != len(chunks) - 1:
+            return None
+        ids = np.array(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+        at = np.flatnonzero(ids == self.mark[1])
+        if len(at) != len(chunks) - 1:
+            return None
+        return np.delete(ids, at), np.diff(np.concatenate([[-1], at, [len(ids)]])) - 1
+
+    def _encode_each(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         got = [e.ids for e in self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)]
-        n, lens = len(self.index), np.fromiter(map(len, got), np.int64, len(got))
-        ids = np.fromiter(chain.from_iterable(got), np.uint32, int(lens.sum()))
-        while n + len(got) > len(self.start):
+        lens = np.fromiter(map(len, got), np.int64, len(got))
+        return np.fromiter(chain.from_iterable(got), np.uint32, int(lens.sum())), lens
+
+    def _learn(self, atoms: list[str]) -> None:
+        runs = [atoms[i : i + 4096] for i in range(0, len(atoms), 4096)]
+        got = [(self.mark and self._together(run)) or self._encode_each(run) for run in runs]
+        n, ids, lens = len(self.atoms), np.concatenate([x for x, _ in got]), np.concatenate([x for _, x in got])
+        while n + len(lens) > len(self.start):
             self.start, self.length = np.resize(self.start, 2 * len(self.start)), np.resize(self.length, 2 * len(self.length))
         while self.used + len(ids) > len(self.flat):
             self.flat = np.resize(self.flat, 2 * len(self.flat))
         self.flat[self.used : self.used + len(ids)] = ids
-        self.length[n : n + len(got)] = lens
-        self.start[n : n + len(got)] = self.used + np.cumsum(lens) - lens
+        self.length[n : n + len(lens)] = lens
+        self.start[n : n + len(lens)] = self.used + np.cumsum(lens) - lens
         self.used += len(ids)
-        self.index.update(zip(chunks, range(n, n + len(got)), strict=True))
+        self.atoms.update(zip(atoms, range(n, n + len(lens)), strict=True))
 
-    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+    def _atoms(self, values: pa.Array) -> np.ndarray:
+        """Row numbers in the table of atoms."""
+        coded = values.dictionary_encode()
+        names = coded.dictionary.to_pylist()
+        if new := [x for x in names if x not in self.atoms]:
+            self._learn(new)
+        at = np.fromiter(map(self.atoms.__getitem__, names), np.int64, len(names))
+        return at[coded.indices.to_numpy()]
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids with the end id after each text, and the number of ids of each text."""
-        parts = [t.replace("\n", " ").split(" ") if t else [] for t in texts]
-        chunks = list(chain.from_iterable(parts))
-        if len(self.index) > self.most or self.used > 8 * self.most:
+        if len(self.atoms) > self.most or self.used > 16 * self.most:
             self._clear()
-        index = self.index
-        if new := list(set(chunks).difference(index)):
-            self._learn(new)
-        which = np.fromiter(map(index.__getitem__, chunks), np.int64, len(chunks))
+        lists = pc.split_pattern(pc.replace_substring(pc.fill_null(texts, ""), "\n", " "), " ")
+        per_text = pc.list_value_length(lists).to_numpy().astype(np.int64)
+        coded = lists.flatten().dictionary_encode()
+        chunks = coded.dictionary
+        parts = pc.extract_regex(chunks, WORD)
+        whole = parts.is_null()
+        stem = pc.if_else(whole, chunks, pc.ascii_lower(pc.struct_field(parts, 0)))
+        tail = pc.if_else(whole, "", pc.struct_field(parts, 1))
+        pairs = np.stack([self._atoms(stem), self._atoms(tail)], 1) if len(chunks) else np.zeros((0, 2), np.int64)
+        which = pairs[coded.indices.to_numpy()].ravel()
         lens = self.length[which]
-        at = np.cumsum(lens) - lens
-        total = int(lens.sum())
-        ids = self.flat[np.repeat(self.start[which] - at, lens) + np.arange(total)] if total else np.zeros(0, np.uint32)
-        ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)))
-        upto = np.concatenate([[0], np.cumsum(lens)])[ends]
-        return np.insert(ids, upto, END).astype(np.uint32), np.diff(upto, prepend=0) + 1
+        upto = np.concatenate([[0], np.cumsum(lens)])
+        total = int(upto[-1])
+        ids = self.flat[np.repeat(self.start[which] - upto[:-1], lens) + np.arange(total)] if total else np.zeros(0, np.uint32)
+        ends = upto[2 * np.cumsum(per_text)]
+        return np.insert(ids, ends, END).astype(np.uint32), np.diff(ends, prepend=0) + 1
 
 
-def repair(ids: np.ndarray, rounds: int = 6, top: int = 1024, least: int = 24) -> tuple[np.ndarray, np.ndarray, int]:
+def repair(ids: np.ndarray, rounds: int = 4, top: int = 1024, least: int = 24) -> tuple[np.ndarray, np.ndarray, int]:
     """Sequence, rules (left, right) and the id of the first nonterminal."""
     base = int(ids.max()) + 1 if len(ids) else 0
     seq, rules = ids.astype(np.int32), []
@@ -147,7 +180,7 @@ def _expansions(rules: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray, n
 MAGIC = b"RPR1"
 
 
-def pack(ids: np.ndarray, rounds: int = 6) -> bytes:
+def pack(ids: np.ndarray, rounds: int = 4) -> bytes:
     """magic, then ids, base, rules and symbols as u64; rules, their lengths (u32), samples (u64), symbols (u16)."""
     seq, rules, base = repair(ids, rounds)
     if base > LIMIT:
@@ -209,8 +242,8 @@ def _writer(path: str, shard_tokens: int, rounds: int):
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             sizes = pc.fill_null(pc.utf8_length(texts), 0).to_pylist()
-            for a, b in slices(sizes, 1 << 21):
-                flat, n = enc.encode(texts.slice(a, b - a).to_pylist())
+            for a, b in slices(sizes, 1 << 23):
+                flat, n = enc.encode(texts.slice(a, b - a))
                 held.append(flat)
                 docs += ids[a:b]
                 lens += n.tolist()
@@ -222,7 +255,7 @@ def _writer(path: str, shard_tokens: int, rounds: int):
     return run
 
 
-def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 22, rounds: int = 6) -> DataFrame:
+def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 22, rounds: int = 4) -> DataFrame:
     """Write the shards to the shared folder; returns the table of shards read back."""
     d = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).withColumn("h", F.xxhash64("text"))
     ordered = d.repartitionByRange("id", "h").sortWithinPartitions("id", "h").select("id", "text")
