@@ -52,6 +52,9 @@ class ChunkEncoder:
         self.tokenizer, self.most = Tokenizer.from_file(path), most
         known = [(c, e.ids[0]) for c, e in zip(MARKS, self.tokenizer.encode_batch(MARKS, add_special_tokens=False), strict=True) if len(e.ids) == 1]
         self.mark = known[0] if known else None
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
         self._clear()
 
     def _clear(self) -> None:
@@ -69,14 +72,24 @@ class ChunkEncoder:
             return None
         return np.delete(ids, at), np.diff(np.concatenate([[-1], at, [len(ids)]])) - 1
 
+    def _words(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
+        """Encode plain words as one text; the last id of a word is one that ends words."""
+        ids = np.array(self.tokenizer.encode_batch_fast([" ".join(chunks)], add_special_tokens=False)[0].ids, np.uint32)
+        at = np.flatnonzero(self.ends[ids])
+        return (ids, np.diff(at, prepend=-1)) if len(at) == len(chunks) and at[-1] == len(ids) - 1 else None
+
     def _encode_each(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         got = [e.ids for e in self.tokenizer.encode_batch_fast(chunks, add_special_tokens=False)]
         lens = np.fromiter(map(len, got), np.int64, len(got))
         return np.fromiter(chain.from_iterable(got), np.uint32, int(lens.sum())), lens
 
     def _learn(self, atoms: list[str]) -> None:
-        runs = [atoms[i : i + 4096] for i in range(0, len(atoms), 4096)]
-        got = [(self.mark and self._together(run)) or self._encode_each(run) for run in runs]
+        plain = [x.isalpha() and max(x) < "\u0250" for x in atoms]
+        words, rest = [x for x, p in zip(atoms, plain, strict=True) if p], [x for x, p in zip(atoms, plain, strict=True) if not p]
+        atoms = words + rest
+        cut = lambda xs: [xs[i : i + 4096] for i in range(0, len(xs), 4096)]
+        got = [(self.ends.any() and self._words(run)) or self._encode_each(run) for run in cut(words)]
+        got += [(self.mark and self._together(run)) or self._encode_each(run) for run in cut(rest)]
         n, ids, lens = len(self.atoms), np.concatenate([x for x, _ in got]), np.concatenate([x for _, x in got])
         while n + len(lens) > len(self.start):
             self.start, self.length = np.resize(self.start, 2 * len(self.start)), np.resize(self.length, 2 * len(self.length))
