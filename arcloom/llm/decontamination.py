@@ -24,7 +24,6 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from .common import TokenHasher, slices, table, words
 
@@ -143,21 +142,11 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
         shared = spark.sparkContext.broadcast(SeedIndex(block, min_item, min_overlap, identity))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            index, hasher = shared.value, TokenHasher()
-            for batch in batches:
-                texts = batch.column("text")
-                for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
-                    lists = [words(t) for t in texts.slice(a, b - a).to_pylist()]
-                    ends = np.cumsum([len(x) for x in lists])
-                    tokens = hasher([w for x in lists for w in x])
-                    by_doc: dict[int, list] = defaultdict(list)
-                    for hit in index.hits(tokens):
-                        by_doc[int(np.searchsorted(ends, hit[2], "right"))].append(hit)
-                    rows = [(a + k, s) for k, hits in sorted(by_doc.items()) if (s := index.spans(tokens, int(ends[k]) - len(lists[k]), int(ends[k]), hits))]
-                    if rows:
-                        at = pa.array([k for k, _ in rows])
-                        spans = pa.array([s for _, s in rows], pa.list_(pa.struct([("item_id", pa.int64()), ("doc_start", pa.int32()), ("doc_end", pa.int32()), ("item_start", pa.int32()), ("matched", pa.int32())])))
-                        yield pa.RecordBatch.from_arrays([batch.column("id").take(at), batch.column("row").take(at), spans], names=["id", "row", "spans"])
+            for batch, a, found in _search(batches, shared.value, "text"):
+                if found:
+                    at = pa.array([a + k for k in found])
+                    spans = pa.array(list(found.values()), pa.list_(pa.struct([("item_id", pa.int64()), ("doc_start", pa.int32()), ("doc_end", pa.int32()), ("item_start", pa.int32()), ("matched", pa.int32())])))
+                    yield pa.RecordBatch.from_arrays([batch.column("id").take(at), batch.column("row").take(at), spans], names=["id", "row", "spans"])
 
         part = d.mapInArrow(run, f"id long, row long, spans {SPAN}")
         out = part if out is None else out.unionByName(part)
@@ -166,12 +155,36 @@ def find_overlaps(docs: DataFrame, items: DataFrame, id_col: str = "doc_id", tex
     return out
 
 
-def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", **params) -> DataFrame:
-    """``docs`` without the rows that overlap an item. What is found is keyed by text hash and length."""
-    found = find_overlaps(docs.withColumn("_len", F.length(text_col).cast("long")), items, id_col="_len", text_col=text_col, **params)
-    bad = found.select(F.col("id").alias("_len"), F.col("row").alias("_row")).distinct()
-    keyed = docs.withColumns({"_len": F.length(text_col).cast("long"), "_row": F.xxhash64(text_col)})
-    return keyed.join(bad, ["_len", "_row"], "left_anti").select(*[keyed[c] for c in docs.columns])
+def _search(batches: Iterator[pa.RecordBatch], index: SeedIndex, text_col: str | int, hasher: TokenHasher | None = None) -> Iterator[tuple[pa.RecordBatch, int, dict[int, list[dict]]]]:
+    """For slices of batches: the batch, where the slice begins, and the spans by row of the slice."""
+    hasher = hasher or TokenHasher()
+    for batch in batches:
+        texts = batch.column(text_col)
+        for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
+            lists = [words(t) for t in texts.slice(a, b - a).to_pylist()]
+            ends = np.cumsum([len(x) for x in lists])
+            tokens = hasher([w for x in lists for w in x])
+            by_doc: dict[int, list] = defaultdict(list)
+            for hit in index.hits(tokens):
+                by_doc[int(np.searchsorted(ends, hit[2], "right"))].append(hit)
+            yield batch, a, {k: s for k, hits in sorted(by_doc.items()) if (s := index.spans(tokens, int(ends[k]) - len(lists[k]), int(ends[k]), hits))}
+
+
+def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", item_col: str = "item_id", min_overlap: int = 12, identity: float = 0.75, min_item: int = 5, block_items: int = 20_000, block_chars: int = 1 << 24) -> DataFrame:
+    """``docs`` with all columns, without the rows that overlap an item. No exchange: a scan drops them."""
+    at = docs.columns.index(text_col)
+    for block in _blocks(items, item_col, text_col, block_items, block_chars):
+        shared = docs.sparkSession.sparkContext.broadcast(SeedIndex(block, min_item, min_overlap, identity))
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            hasher = TokenHasher()
+            for batch in batches:
+                keep = np.ones(batch.num_rows, bool)
+                keep[[a + k for _, a, found in _search(iter([batch]), shared.value, at, hasher) for k in found]] = False
+                yield batch.filter(pa.array(keep))
+
+        docs = docs.mapInArrow(run, docs.schema)
+    return docs
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -267,6 +267,19 @@ def _verify_table(threshold: float):
     return of
 
 
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
+    """``docs`` with all columns and one row of each class, the one with the smallest id.
+
+    Rows without an id are kept. Of rows that share id and text one stays; rows that share an id but not the text are
+    one document and stay or go together.
+    """
+    known = docs.where(F.col(id_col).isNotNull())
+    classes = jaccard_classes(known, id_col=id_col, text_col=text_col, **params)
+    keepers = classes.where(F.col(id_col) == F.col("class_id")).select(F.col(id_col).alias("_keeper")).distinct()
+    kept = known.join(keepers, known[id_col] == keepers["_keeper"], "left_semi").withColumn("_text_hash", F.xxhash64(text_col))
+    return kept.dropDuplicates([id_col, "_text_hash"]).drop("_text_hash").unionByName(docs.where(F.col(id_col).isNull()))
+
+
 def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_classes(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "copy_of", "n_copies", "n_links")
 

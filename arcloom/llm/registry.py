@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("chat_format", "ngram_join", "mixing", "sharding", "line_dedup", "decontamination", "token_output", "quality")
+MODULES = ("chat_format", "ngram_join", "mixing", "sharding", "line_dedup", "decontamination", "ann", "token_output", "quality")
 
 
 def _all(what: str) -> dict:

@@ -242,7 +242,9 @@ SHARD = "part int, chunk int, local_start long, n_ids long, doc_ids array<long>,
 
 def _writer(path: str, shard_tokens: int, rounds: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = _encoders.setdefault(path, ChunkEncoder(path))
+        if path not in _encoders:
+            _encoders[path] = ChunkEncoder(path)
+        enc = _encoders[path]
         part, chunk, begun, held, docs, lens = TaskContext.get().partitionId(), 0, 0, [], [], []
 
         def flush() -> pa.RecordBatch:
