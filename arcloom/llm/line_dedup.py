@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LOWER, SPACES, UPPER, table
+from .common import LOWER, SPACES, UPPER, materialise, table
 
 LAST = 2**63 - 1
 
@@ -39,6 +39,7 @@ def line_bitmaps(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(LAST)).alias("doc"), F.xxhash64(F.col(text_col)).alias("text_hash"), F.posexplode(_lines(F.col(text_col))).alias("pos", "line"))
     rows = rows.select("doc", "text_hash", "pos", line_key(F.col("line")).alias("key")).where(F.char_length("key") >= min_chars)
     rows = rows.select(F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(1), "key").alias("h2"), "doc", "pos", "text_hash")
+    rows = materialise(rows, "lines")  # 40 bytes a line; the range partitioning samples its input, which must not scan the texts again
     ranged = rows.repartitionByRange("h1", "h2", "doc", "pos").sortWithinPartitions("h1", "h2", "doc", "pos")
     firsts = ranged.groupBy("h1", "h2").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("first < last").drop("last")
     late = ranged.join(firsts, ["h1", "h2"]).where("doc > first")
