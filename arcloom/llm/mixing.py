@@ -31,6 +31,10 @@ MARKS, BLANKS = ".,;:?", "\t\n\x0b\x0c\r"
 STYLES = ("!!", "***", "&&&", "$$$", "###", "%%%", " | ")
 
 
+#: Documents that the share of a bucket in all domains counts for in each; a domain without documents says nothing.
+SMOOTH = 1.0
+
+
 def _share_class(count: Column, of: Column) -> Column:
     """0 none, then 1 to 4 by tenths of a thing a token."""
     share = count / F.greatest(of, F.lit(1))
@@ -67,8 +71,9 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 12_000, id_col: str =
     total = sum(n) + len(n)
     priors = [float(np.log((x + 1) / total)) for x in n]
     by = seen.groupBy("bucket").agg(*[F.sum(F.when(F.col("domain") == k, F.col("n")).otherwise(0)).alias(f"n{k}") for k in range(len(DOMAINS))])
-    log_p = [F.log((F.col(f"n{k}") + 0.5) / (n[k] + 1)) for k in range(len(DOMAINS))]
-    weights = by.select("bucket", *[(log_p[k] - log_p[0]).alias(f"w{k}") for k in range(1, len(DOMAINS))], sum(F.col(f"n{k}") for k in range(len(DOMAINS))).alias("n"))
+    by = by.withColumn("n", sum((F.col(f"n{k}") for k in range(1, len(DOMAINS))), F.col("n0")))
+    log_p = [F.log((F.col(f"n{k}") + SMOOTH * F.col("n") / sum(n)) / (n[k] + SMOOTH)) for k in range(len(DOMAINS))]
+    weights = by.select("bucket", *[(log_p[k] - log_p[0]).alias(f"w{k}") for k in range(1, len(DOMAINS))], "n")
     telling_now = F.greatest(*[F.abs(F.col(f"w{k}")) for k in range(1, len(DOMAINS))]) >= telling
     return materialise(weights.where((F.col("n") >= least) & telling_now).drop("n"), "weights"), priors
 
@@ -120,12 +125,13 @@ def domain_labels(labels: DataFrame) -> DataFrame:
     return labels.select("doc_id", F.when(F.col("toxic") == 1, 2).when((F.col("toxic") == 0) & (F.col("quality") == 0), 1).when((F.col("toxic") == 0) & (F.col("quality") == 1), 0).alias("domain"))
 
 
-def document_rates(docs: DataFrame, labels: DataFrame, weights: list[float], keep: list[str], upsample: bool = True) -> tuple[DataFrame, dict]:
+def document_rates(docs: DataFrame, labels: DataFrame, weights: list[float], keep: list[str], upsample: bool = True, learn_from: DataFrame | None = None) -> tuple[DataFrame, dict]:
     """``keep``, n_tokens, posteriors and rate. ``weights``: wanted share of tokens by domain.
 
+    The classifier is fitted on labelled documents of ``learn_from`` (``docs`` by default).
     The budget keeps the expected tokens of domain 0 as they are; without ``upsample`` no domain gets more than it has.
     """
-    model, priors = fit(docs, labels)
+    model, priors = fit(docs if learn_from is None else learn_from, labels)
     members = materialise(posteriors(docs, model, priors, keep), "members")
     k = range(len(weights))
     have = [x or 0.0 for x in members.agg(*[F.sum(F.col("n_tokens") * F.col(f"p{i}")) for i in k]).first()]

@@ -30,9 +30,9 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents drawn at the fitted rates; no domain is drawn beyond what it has."""
+    """Documents drawn at the fitted rates; no domain is drawn beyond what it has. The classifier learns from the whole table of documents."""
     keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash"))
-    rates, _ = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), mixing.SHARES, ["doc_id", "text_hash"], upsample=False)
+    rates, _ = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), mixing.SHARES, ["doc_id", "text_hash"], upsample=False, learn_from=table(spark, sf_dir, "documents"))
     return mixing.draw(docs, rates)
 
 
