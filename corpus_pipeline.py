@@ -14,6 +14,10 @@ from arcloom.llm import decontamination, mixing, ngram_join, quality, token_outp
 from arcloom.llm.common import materialise, table
 
 
+#: Wanted shares of tokens that are clean, poor and toxic; the quality stage has left few of the latter.
+SHARES = [0.9985, 0.001, 0.0005]
+
+
 def select_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose tail probability of the best grade reaches the cut."""
     return quality.select_documents(docs, quality.train(docs, quality.graded(table(spark, sf_dir, "labels"))))
@@ -32,7 +36,7 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents drawn at the fitted rates; no domain is drawn beyond what it has. The classifier learns from the whole table of documents."""
     keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash"))
-    rates, _ = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), mixing.SHARES, ["doc_id", "text_hash"], upsample=False, learn_from=table(spark, sf_dir, "documents"))
+    rates, _ = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), SHARES, ["doc_id", "text_hash"], upsample=False, learn_from=table(spark, sf_dir, "documents"))
     return mixing.draw(docs, rates)
 
 
