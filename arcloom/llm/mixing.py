@@ -45,6 +45,9 @@ def _words(text: Column) -> Column:
     return F.array_remove(F.split(F.translate(F.coalesce(text, F.lit("")), BLANKS + UPPER + MARKS, " " * len(BLANKS) + LOWER), " ", -1), "")
 
 
+# Features are never empty; explode_outer keeps the optimizer from computing them once more in a filter on their size.
+
+
 def with_features(docs: DataFrame, keep: list[str], text_col: str = "text") -> DataFrame:
     """``keep``, n_tokens, and the buckets of words and styles that are present."""
     d = docs.select(*keep, F.col(text_col).cast("string").alias("_text")).withColumn("_words", _words(F.col("_text"))).withColumn("n_tokens", F.size("_words").cast("long")).withColumn("_set", F.array_distinct("_words"))
@@ -65,7 +68,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 12_000, id_col: str =
     spark = docs.sparkSession
     chosen = labels.select(F.col(id_col).alias("_id"), F.col("domain")).where("_id is not null and domain is not null").groupBy("_id").agg(F.max("domain").alias("domain")).orderBy(F.xxhash64("_id"), "_id").limit(sample)
     mine = docs.select(F.col(id_col).alias("_id"), F.col(text_col)).join(F.broadcast(chosen), "_id")
-    seen = materialise(with_features(mine, ["domain"], text_col).select("domain", F.explode("_features").alias("f")).groupBy(_bucket(F.col("f")).alias("bucket"), "domain").agg(F.count("*").alias("n")), "buckets")
+    seen = materialise(with_features(mine, ["domain"], text_col).select("domain", F.explode_outer("_features").alias("f")).groupBy(_bucket(F.col("f")).alias("bucket"), "domain").agg(F.count("*").alias("n")), "buckets")
     sizes = {r[0]: r[1] for r in materialise(mine.groupBy("domain").agg(F.count("*").alias("n")), "domains").collect()}
     n = [sizes.get(k, 0) for k in range(len(DOMAINS))]
     total = sum(n) + len(n)
@@ -82,7 +85,7 @@ def posteriors(docs: DataFrame, weights: DataFrame, priors: list[float], keep: l
     """``keep``, n_tokens, p0, p1, ... One scan; the only exchange has a partial sum a document."""
     features = with_features(docs, keep, text_col).withColumn("_row", F.monotonically_increasing_id())
     names = [f"w{k}" for k in range(1, len(DOMAINS))]
-    each = features.select("_row", *keep, "n_tokens", F.explode("_features").alias("f")).select("_row", *keep, "n_tokens", _bucket(F.col("f")).alias("bucket"))
+    each = features.select("_row", *keep, "n_tokens", F.explode_outer("_features").alias("f")).select("_row", *keep, "n_tokens", _bucket(F.col("f")).alias("bucket"))
     sums = each.join(F.broadcast(weights), "bucket", "left").groupBy("_row").agg(*[F.first(c).alias(c) for c in [*keep, "n_tokens"]], *[F.coalesce(F.sum(w), F.lit(0.0)).alias(w) for w in names])
     logit = [F.lit(priors[0]), *[F.lit(priors[k]) + F.greatest(F.lit(-60.0), F.least(F.lit(60.0), F.col(f"w{k}"))) for k in range(1, len(DOMAINS))]]
     top = F.greatest(*logit)
