@@ -41,7 +41,8 @@ from .common import materialise, slices, table
 #: Hashes of the end and of what stands before a text; codes of logarithms: steps per unit, and the code of nothing.
 END, BEGIN = 1, 2
 STEPS, NOTHING = 4096, 65535
-NEAR = np.uint64((1 << 40) - 1)
+#: Neighbours are told apart by so many bits of their hash; a shard has a few million of them whatever the corpus.
+NEAR = np.uint64((1 << 32) - 1)
 
 
 # ---------------------------------------------------------------- Elias-Fano
@@ -59,7 +60,10 @@ class EliasFano:
         n = len(values)
         top = int(values[-1]) if n else 0
         bits = max(0, (max(1, top // max(1, n))).bit_length() - 1)
-        low = np.packbits(((values[:, None] >> np.arange(bits)) & 1).astype(bool).ravel(), bitorder="little") if bits else np.zeros(0, np.uint8)
+        low = np.zeros(0, np.uint8)
+        if bits:  # 2**16 values at a time, whose bits fill whole bytes
+            part = [np.unpackbits((values[i : i + 65536] & ((1 << bits) - 1)).astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, count=bits, bitorder="little") for i in range(0, n, 65536)]
+            low = np.concatenate([np.packbits(x.ravel(), bitorder="little") for x in part])
         ones = (values >> bits) + np.arange(n)
         mask = np.zeros(int(ones[-1]) + 1 if n else 0, bool)
         mask[ones] = True
@@ -79,9 +83,14 @@ class EliasFano:
         ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n]
         out = (ones - np.arange(self.n)) << self.low_bits
         if self.low_bits and self.n:
-            bits = np.unpackbits(self.low, count=self.n * self.low_bits, bitorder="little").reshape(self.n, self.low_bits)
-            for k in range(self.low_bits):
-                out |= bits[:, k].astype(np.int64) << k
+            step = 8192 * self.low_bits  # the bytes of 2**16 values
+            for i in range(0, self.n, 65536):
+                size = min(65536, self.n - i)
+                a = i // 65536 * step
+                bits = np.unpackbits(self.low[a : a + step], count=size * self.low_bits, bitorder="little").reshape(size, self.low_bits)
+                wide = np.zeros((size, 64), np.uint8)
+                wide[:, : self.low_bits] = bits
+                out[i : i + size] |= np.packbits(wide, axis=1, bitorder="little").view("<i8")[:, 0]
         return out
 
     def __getitem__(self, i: int) -> int:
@@ -130,8 +139,11 @@ def code_of(p: np.ndarray) -> np.ndarray:
     return np.where(p <= 0, NOTHING, np.clip(c, 0, NOTHING)).astype("<u2")
 
 
+VALUES = np.append(10.0 ** (-np.arange(NOTHING) / STEPS), 0.0)
+
+
 def value_of(code: np.ndarray) -> np.ndarray:
-    return np.where(code == NOTHING, 0.0, 10.0 ** (-np.asarray(code, float) / STEPS))
+    return VALUES[code]
 
 
 def _discount(counts: np.ndarray) -> float:
@@ -152,7 +164,12 @@ class Trie:
         """Windows may repeat; their counts are added. Hashes are below 2**62 for w2, below 2**40 else."""
         words, m = np.unique(w2, return_inverse=True)
         near, both = np.unique(np.concatenate([w1, w3]), return_inverse=True)
-        a, b, size = both[: len(w1)].astype(np.int64), both[len(w1) :].astype(np.int64), max(1, len(near))
+        return cls.of_ids(words, near, m, both[: len(w1)], both[len(w1) :], count)
+
+    @classmethod
+    def of_ids(cls, words: np.ndarray, near: np.ndarray, m: np.ndarray, a: np.ndarray, b: np.ndarray, count: np.ndarray) -> "Trie":
+        """Windows as positions in sorted ``words`` (m) and sorted ``near`` (a for w1, b for w3)."""
+        m, size = m.astype(np.int64), max(1, len(near))
         succ, s = np.unique(m * size + b, return_inverse=True)
         pred, p = np.unique(m * size + a, return_inverse=True)
         succ_at, pred_at = np.searchsorted(succ // size, np.arange(len(words) + 1)), np.searchsorted(pred // size, np.arange(len(words) + 1))
@@ -211,31 +228,29 @@ class Trie:
 
     def _offset(self, p: int) -> int:
         if not hasattr(self, "_offsets"):
-            self._offsets = self._all_offsets(self.parts["pred"].decode())
+            self._offsets = self._all_offsets(self.parts["pred"].decode(), self.parts["succ_at"].decode())
         return int(self._offsets[p])
 
-    def _all_offsets(self, pred: np.ndarray) -> np.ndarray:
-        width = np.diff(self.parts["succ_at"].decode())[pred // max(1, self.parts["near"].n)] if len(pred) else np.zeros(0, np.int64)
+    def _all_offsets(self, pred: np.ndarray, succ_at: np.ndarray) -> np.ndarray:
+        width = np.diff(succ_at)[pred // max(1, self.parts["near"].n)] if len(pred) else np.zeros(0, np.int64)
         return np.cumsum(width) - width
 
     def lookup_all(self, w1: np.ndarray, w2: np.ndarray, w3: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The same for many windows, whose levels are read once from front to back."""
-        level = {k: self.parts[k].decode() for k in self.PARTS}
-        size = max(1, len(level["near"]))
+        level = self.levels()
+        return self.answer(level, *at(level["words"], w2), *at(level["near"], w1), *at(level["near"], w3))
 
-        def at(values: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-            i = np.searchsorted(values, x)
-            i[i == len(values)] = 0
-            return i, (values[i] == x) if len(values) else np.zeros(len(x), bool)
+    def levels(self) -> dict[str, np.ndarray]:
+        return {k: self.parts[k].decode() for k in self.PARTS}
 
-        m, known = at(level["words"], w2)
-        x, ok3 = at(level["near"], w3)
-        y, ok1 = at(level["near"], w1)
+    def answer(self, level: dict[str, np.ndarray], m: np.ndarray, known: np.ndarray, y: np.ndarray, ok1: np.ndarray, x: np.ndarray, ok3: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(a, b) of windows whose words have been found (or not) in the first levels."""
+        size = max(1, len(level["near"]))
         s, has2 = at(level["succ"], m * size + x)
         p, pair = at(level["pred"], m * size + y)
         has2 &= known & ok3
         pair &= known & ok1
-        t, has3 = at(level["third"], self._all_offsets(level["pred"])[p] + s - level["succ_at"][m] if len(level["pred"]) else np.zeros(len(w1), np.int64))
+        t, has3 = at(level["third"], self._all_offsets(level["pred"], level["succ_at"])[p] + s - level["succ_at"][m] if len(level["pred"]) else np.zeros(len(m), np.int64))
         has3 &= has2 & pair
         get = lambda k, i, where, other: np.where(where, value_of(self.codes[k][i]), other) if len(self.codes[k]) else np.full(len(i), other)
         a2, b2 = get("a2", s, has2, 0.0), get("b2", m, known, 1.0)
@@ -243,6 +258,13 @@ class Trie:
         return a3 + b3 * a2, b3 * b2
 
 
+def at(values: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions of ``x`` in sorted ``values``, and whether they are there."""
+    i = np.searchsorted(values, x)
+    i[i == len(values)] = 0
+    return i, (values[i] == x) if len(values) else np.zeros(len(x), bool)
+
+
 # ---------------------------------------------------------------- blocks
 
 
@@ -332,9 +354,9 @@ class Windows:
         mask = (1 << self.bits) - 1
         return keys >> 3 * self.bits, keys >> 2 * self.bits & mask, keys >> self.bits & mask, keys & mask
 
-    def near(self, local: np.ndarray, zero: int) -> np.ndarray:
-        """40-bit hashes of neighbours; local 0 is the mark ``zero``."""
-        return np.where(local == 0, np.uint64(zero), self.hashes[local] & NEAR).astype(np.int64)
+    def near(self, local: np.ndarray) -> np.ndarray:
+        """32-bit hashes of neighbours: 0 is the begin, one past the last word the end."""
+        return np.append(self.hashes & NEAR, np.uint64(END))[local].astype("<u4")
 
 
 def _requests(hot: dict, shards: int):
@@ -350,17 +372,26 @@ def _requests(hot: dict, shards: int):
                 rows = {"shard": [], "payload": []}
                 for a, b in zip(edges[:-1], edges[1:], strict=True):
                     middle, run_of = np.unique(w2[a:b], return_counts=True)
-                    ids1, i1 = np.unique(w.near(w1[a:b], BEGIN), return_inverse=True)
-                    ids3, i3 = np.unique(w.near(w3[a:b], END), return_inverse=True)
+                    last = np.where(w3[a:b] == 0, len(w.hashes), w3[a:b])
+                    near = np.unique(np.concatenate([w1[a:b], last]))
+                    before = np.searchsorted(near, w1[a:b])
+                    step = np.diff(before, prepend=0)  # grows within the run of a middle word
+                    begin = np.cumsum(run_of) - run_of
+                    step[begin] = before[begin]
                     rows["shard"].append(int(shard[a]))
-                    rows["payload"].append(_squeeze(w.hashes[middle].astype("<u8"), _fit(run_of), *_bytes40(ids1), *_bytes40(ids3), _fit(i1), _fit(i3), _fit(count[a:b])))
+                    rows["payload"].append(_squeeze(w.hashes[middle].astype("<u8"), _fit(run_of), w.near(near), _fit(step), _fit(np.searchsorted(near, last)), _fit(count[a:b])))
                 yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(rows["shard"]), pa.int64()), "shard": pa.array(rows["shard"], pa.int32()), "payload": pa.array(rows["payload"], pa.binary())})
 
     return run
 
 
-def _bytes40(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    return (x & 0xFF).astype("<u1"), (x >> 8).astype("<u4")
+def _windows(p: list[np.ndarray], words: np.ndarray, near: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Middle word, word before and word after of a payload's windows, as positions in common lists."""
+    run = p[1].astype(np.int64)
+    begin = np.cumsum(run) - run
+    step = np.cumsum(p[3].astype(np.int64))
+    before = step - np.repeat(step[begin] - p[3][begin], run)
+    return np.repeat(words, run).astype(np.int32), near[before].astype(np.int32), near[p[4]].astype(np.int32)
 
 
 def _answers(hot: dict, keep_trie: bool):
@@ -368,23 +399,22 @@ def _answers(hot: dict, keep_trie: bool):
 
     def of(held: pa.Table) -> pa.Table:
         parts = [_open(x) for x in held.column("payload").to_pylist()]
-        sizes = [len(p[6]) for p in parts]
-        w2 = np.concatenate([np.repeat(p[0], p[1]) for p in parts])
-        back = lambda p, i: (p[i].astype(np.int64) | p[i + 1].astype(np.int64) << 8)
-        w1 = np.concatenate([back(p, 2)[p[6]] for p in parts])
-        w3 = np.concatenate([back(p, 4)[p[7]] for p in parts])
-        count = np.concatenate([p[8] for p in parts]).astype(np.int64)
+        words, near = np.unique(np.concatenate([p[0] for p in parts])), np.unique(np.concatenate([p[2] for p in parts]))
+        mine = [_windows(p, np.searchsorted(words, p[0]), np.searchsorted(near, p[2])) for p in parts]
+        m, a, b = (np.concatenate([x[k] for x in mine]) for k in range(3))
+        count = np.concatenate([p[5] for p in parts]).astype(np.int64)
         some = count > 0
-        trie = Trie.view(Trie.build(w1[some], w2[some].astype(np.int64), w3[some], count[some]).to_bytes())
-        words, m = np.unique(w2, return_inverse=True)
+        used = np.unique(m[some]), np.unique(np.concatenate([a[some], b[some]]))
+        trie = Trie.view(Trie.of_ids(words[used[0]].astype(np.int64), near[used[1]].astype(np.int64), np.searchsorted(used[0], m[some]), np.searchsorted(used[1], a[some]), np.searchsorted(used[1], b[some]), count[some]).to_bytes())
         total = np.bincount(m, count, len(words)).astype(np.int64)
-        cold = ~np.isin(words, hot_words)
-        found = int(((total > 0) & cold & (words != BEGIN)).sum())
-        out, at = {"block": held.column("block").to_pylist(), "shard": held.column("shard").to_pylist(), "payload": [], "n_words": [found] + [0] * (len(parts) - 1)}, 0
-        for p, size in zip(parts, sizes, strict=True):
-            a, b = trie.lookup_all(w1[at : at + size], w2[at : at + size].astype(np.int64), w3[at : at + size])
-            out["payload"].append(_squeeze(code_of(a), code_of(b), p[0], _fit(total[np.searchsorted(words, p[0])])))
-            at += size
+        del m, a, b, count, some, used
+        found = int(((total > 0) & ~np.isin(words, hot_words) & (words != BEGIN)).sum())
+        out = {"block": held.column("block").to_pylist(), "shard": held.column("shard").to_pylist(), "payload": [], "n_words": [found] + [0] * (len(parts) - 1)}
+        level = trie.levels()
+        in_words, in_near = at(level["words"], words.astype(np.int64)), at(level["near"], near.astype(np.int64))
+        for p, (m, a, b) in zip(parts, mine, strict=True):
+            one, two = trie.answer(level, in_words[0][m], in_words[1][m], in_near[0][a], in_near[1][a], in_near[0][b], in_near[1][b])
+            out["payload"].append(_squeeze(code_of(one), code_of(two), _fit(total[np.searchsorted(words, p[0])])))
         if keep_trie:
             out["trie"] = [trie.to_bytes()] + [None] * (len(parts) - 1)
         return pa.table({"block": pa.array(out["block"], pa.int64()), "shard": pa.array(out["shard"], pa.int32()), "payload": pa.array(out["payload"], pa.binary()), "n_words": pa.array(out["n_words"], pa.int64())} | ({"trie": pa.array(out["trie"], pa.binary())} if keep_trie else {}))
@@ -405,14 +435,13 @@ def _scores(hot: dict, shards: int, n_train: int, n_words: int, end_count: int):
             a, b = np.zeros(len(keys)), np.ones(len(keys))
             count = np.zeros(len(w.hashes), np.int64)
             count[0] = end_count
-            place = {int(h): i for i, h in enumerate(w.hashes.tolist())}
             for s, payload in zip(answers.column("shard").to_pylist(), answers.column("payload").to_pylist(), strict=True):
-                pa_, pb, words, total = _open(payload)
+                one, two, total = _open(payload)
                 x, y = np.searchsorted(shard, [s, s + 1])
-                a[x:y], b[x:y] = value_of(pa_), value_of(pb)
-                locals_ = np.fromiter(map(place.__getitem__, words.tolist()), np.int64, len(words))
-                held_back = (locals_ != 0) & ~w.is_hot[locals_]
-                count[locals_[held_back]] = total[held_back]
+                a[x:y], b[x:y] = value_of(one), value_of(two)
+                middle = np.unique(w2[x:y])
+                cold = (middle != 0) & ~w.is_hot[middle]
+                count[middle[cold]] = total[cold]
             for i in np.flatnonzero(w.is_hot):
                 if i:
                     count[i] = hot[int(w.hashes[i])][1]
