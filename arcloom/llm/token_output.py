@@ -18,6 +18,7 @@ Other columns are not read.
 
 from __future__ import annotations
 
+import json
 import os
 import struct
 import zlib
@@ -39,7 +40,7 @@ END = 2
 LIMIT = 1 << 16
 SAMPLE = 1024
 #: A Latin word and ASCII marks behind it, which encode alike apart (an apostrophe may begin a suffix, so it is no such mark), and characters that may stand between chunks if the tokenizer has an id for one.
-WORD = r"^(?P<stem>[A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{24F}]+)(?P<tail>[.,!?;:#*&%$|+=/()\[\]{}<>@^~_-]*)$"
+WORD = r"^(?P<stem>[A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{12F}\x{131}-\x{24F}]+)(?P<tail>[.,!?;:#*&%$|+=/()\[\]{}<>@^~_-]*)$"
 MARKS = ["\u2603", "\u2693", "\u2622", "\u266b", "\u2665", "\u00a9"]
 _encoders: dict[str, "ChunkEncoder"] = {}
 
@@ -55,8 +56,19 @@ class ChunkEncoder:
         vocabulary = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
+        self.light, self.trusted = self._without_normaliser(Tokenizer), False
         self._clear()
 
+    def _without_normaliser(self, kind):
+        """The same model behind blanks alone: plain lower-case words need no normalising and no splitting."""
+        spec = json.loads(self.tokenizer.to_str())
+        split = spec["pre_tokenizer"] or {}
+        if not self.ends.any() or "ByteLevel" not in json.dumps(split):
+            return None
+        level = next(p for p in split.get("pretokenizers", [split]) if p["type"] == "ByteLevel")
+        spec |= {"normalizer": None, "added_tokens": [], "pre_tokenizer": {"type": "Sequence", "pretokenizers": [{"type": "WhitespaceSplit"}, level | {"use_regex": False, "add_prefix_space": False}]}}
+        return kind.from_str(json.dumps(spec))
+
     def _clear(self) -> None:
         self.atoms: dict[str, int] = {}
         self.start, self.length, self.flat, self.used = np.zeros(1024, np.int64), np.zeros(1024, np.int64), np.zeros(4096, np.uint32), 0
@@ -74,7 +86,13 @@ class ChunkEncoder:
 
     def _words(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray] | None:
         """Encode plain words as one text; the last id of a word is one that ends words."""
-        ids = np.array(self.tokenizer.encode_batch_fast([" ".join(chunks)], add_special_tokens=False)[0].ids, np.uint32)
+        text = " ".join(chunks)
+        ids = np.array((self.light or self.tokenizer).encode_batch_fast([text], add_special_tokens=False)[0].ids, np.uint32)
+        if self.light and not self.trusted:  # the first words go through both
+            self.trusted = ids.tolist() == self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids
+            if not self.trusted:
+                self.light = None
+                return self._words(chunks)
         at = np.flatnonzero(self.ends[ids])
         return (ids, np.diff(at, prepend=-1)) if len(at) == len(chunks) and at[-1] == len(ids) - 1 else None
 
@@ -84,7 +102,7 @@ class ChunkEncoder:
         return np.fromiter(chain.from_iterable(got), np.uint32, int(lens.sum())), lens
 
     def _learn(self, atoms: list[str]) -> None:
-        plain = [x.isalpha() and max(x) < "\u0250" for x in atoms]
+        plain = [x.isalpha() and (x.isascii() or max(x) < "\u0250") for x in atoms]
         words, rest = [x for x, p in zip(atoms, plain, strict=True) if p], [x for x, p in zip(atoms, plain, strict=True) if not p]
         atoms = words + rest
         cut = lambda xs: [xs[i : i + 4096] for i in range(0, len(xs), 4096)]
@@ -120,14 +138,16 @@ class ChunkEncoder:
         chunks = coded.dictionary
         parts = pc.extract_regex(chunks, WORD)
         whole = parts.is_null()
-        stem = pc.if_else(whole, chunks, pc.ascii_lower(pc.struct_field(parts, 0)))
+        stem = pc.if_else(whole, chunks, pc.utf8_lower(pc.struct_field(parts, 0)))
         tail = pc.if_else(whole, "", pc.struct_field(parts, 1))
         pairs = np.stack([self._atoms(stem), self._atoms(tail)], 1) if len(chunks) else np.zeros((0, 2), np.int64)
         which = pairs[coded.indices.to_numpy()].ravel()
-        lens = self.length[which]
-        upto = np.concatenate([[0], np.cumsum(lens)])
+        lens = self.length[which].astype(np.int32)
+        upto = np.concatenate([np.zeros(1, np.int32), np.cumsum(lens, dtype=np.int32)])
         total = int(upto[-1])
-        ids = self.flat[np.repeat(self.start[which] - upto[:-1], lens) + np.arange(total)] if total else np.zeros(0, np.uint32)
+        at = np.repeat(self.start[which].astype(np.int32) - upto[:-1], lens)
+        at += np.arange(total, dtype=np.int32)
+        ids = self.flat[at] if total else np.zeros(0, np.uint32)
         ends = upto[2 * np.cumsum(per_text)]
         return np.insert(ids, ends, END).astype(np.uint32), np.diff(ends, prepend=0) + 1
 
