@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import math
 import tempfile
 import uuid
 from collections.abc import Sequence
 
 import numpy as np
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -69,7 +72,7 @@ def words(text: str | None) -> list[str]:
 class TokenHasher:
     """Words to 64-bit hashes by way of a bounded cache."""
 
-    def __init__(self, most: int = 500_000):
+    def __init__(self, most: int = 200_000):
         self.most, self.seen = most, {}
 
     def __call__(self, tokens: list[str]) -> np.ndarray:
@@ -81,6 +84,13 @@ class TokenHasher:
         return np.fromiter(map(seen.__getitem__, tokens), np.uint64, len(tokens))
 
 
+def tidy() -> None:
+    """Give memory that a task has freed back to the system; Python workers live on for the next stage."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def slices(sizes: Sequence[int], most: int) -> list[tuple[int, int]]:
     """Cut positions 0..len(sizes) into runs whose sizes sum to about ``most``."""
     out, begin, total = [], 0, 0

@@ -25,7 +25,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import TokenHasher, slices, table, words
+from .common import TokenHasher, slices, table, tidy, words
 
 #: The masks; 1 is a position that is hashed.
 MASKS = ("111111", "1101100101", "1010011011", "1100010111")
@@ -182,6 +182,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", ite
                 keep = np.ones(batch.num_rows, bool)
                 keep[[a + k for _, a, found in _search(iter([batch]), shared.value, at, hasher) for k in found]] = False
                 yield batch.filter(pa.array(keep))
+            tidy()
 
         docs = docs.mapInArrow(run, docs.schema)
     return docs

@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import TokenHasher, materialise, slices, table, words
+from .common import TokenHasher, materialise, slices, table, tidy, words
 from .components import connected_components
 
 TREES, DEPTH, TARGET = 32, 10, 0.999
@@ -111,6 +111,7 @@ def _sign(n: int, trees: int, depth: int):
                 digest = [(xxhash.xxh3_64_intdigest(s.tobytes()), xxhash.xxh64_intdigest(s.tobytes())) for s in sets]
                 signed = lambda xs: pa.array(np.array(xs, np.uint64).view(np.int64))
                 yield pa.RecordBatch.from_pydict({"id": batch.column("id").slice(a, b - a), "h1": signed([x for x, _ in digest]), "h2": signed([y for _, y in digest]), "size": pa.array([len(s) for s in sets], pa.int32()), "prefixes": pa.array(prefix, pa.list_(pa.int64()))})
+        tidy()
 
     return run
 
@@ -124,6 +125,7 @@ def _reshingle(n: int):
                 sets = shingles([words(t) for t in texts.slice(a, b - a).to_pylist()], hasher, n)
                 signed = lambda xs: pa.array(np.array(xs, np.uint64).view(np.int64))
                 yield pa.RecordBatch.from_pydict({"id": batch.column("id").slice(a, b - a), "h1": signed([xxhash.xxh3_64_intdigest(s.tobytes()) for s in sets]), "h2": signed([xxhash.xxh64_intdigest(s.tobytes()) for s in sets]), "shingles": pa.array([s.tobytes() for s in sets], pa.binary())})
+        tidy()
 
     return run
 

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import TokenHasher, slices, table
+from .common import TokenHasher, slices, table, tidy
 
 BITS = 18
 #: Style shares: of tokens that are capitals, end in several marks, are a lone bar, or repeat the token before.
@@ -124,7 +124,7 @@ def _extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     make = Features()
     for batch in batches:
         texts = batch.column("text")
-        for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 23):
+        for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
             rows, features, style = make(texts.slice(a, b - a))
             cut = np.searchsorted(rows, np.arange(b - a + 1))
             yield pa.RecordBatch.from_pydict({"grade": batch.column("grade").slice(a, b - a), "features": pa.array([features[x:y].astype("<i4").tobytes() for x, y in zip(cut[:-1], cut[1:], strict=True)], pa.binary()), "style": pa.array([s.tobytes() for s in style], pa.binary())})
@@ -160,11 +160,12 @@ def score_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text"
         make, m = Features(), shared.value
         for batch in batches:
             texts = batch.column(at)
-            for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 23):
+            for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
                 part = batch.slice(a, b - a)
                 expected, tail = m.scores(m.margin(*make(part.column(at))))
                 quality = pa.StructArray.from_arrays([pa.array(expected), pa.array(tail), pa.array(tail >= m.cut)], ["expected_grade", "tail_prob", "keep"])
                 yield pa.RecordBatch.from_arrays([*part.columns, quality], names=[*names, "_quality"])
+        tidy()
 
     return docs.mapInArrow(run, schema)
 
