@@ -36,13 +36,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, slices, table
+from .common import materialise, slices, table, tidy
 
 #: Hashes of the end and of what stands before a text; codes of logarithms: steps per unit, and the code of nothing.
 END, BEGIN = 1, 2
-STEPS, NOTHING = 4096, 65535
-#: Neighbours are told apart by so many bits of their hash; a shard has a few million of them whatever the corpus.
-NEAR = np.uint64((1 << 32) - 1)
+STEPS, NOTHING = 512, 65535
+#: Neighbours are told apart by the upper 32 of the 62 bits of their hash (a shift of 30); a shard has a few million of them whatever the corpus.
+NEAR = np.uint64(30)
 
 
 # ---------------------------------------------------------------- Elias-Fano
@@ -270,7 +270,7 @@ def at(values: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def _squeeze(*arrays: np.ndarray) -> bytes:
     head = struct.pack("<Q", len(arrays)) + b"".join(struct.pack("<2sQ", a.dtype.str[1:].encode(), len(a)) for a in arrays)
-    return zstandard.ZstdCompressor(level=1).compress(head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays))
+    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays))
 
 
 def _open(data: bytes) -> list[np.ndarray]:
@@ -286,6 +286,11 @@ def _open(data: bytes) -> list[np.ndarray]:
     return out
 
 
+def _gaps(x: np.ndarray) -> np.ndarray:
+    """A sorted list as its differences."""
+    return np.diff(x, prepend=x.dtype.type(0))
+
+
 def _fit(x: np.ndarray) -> np.ndarray:
     """The narrowest unsigned form."""
     top = int(x.max()) if len(x) else 0
@@ -310,7 +315,7 @@ def _encode(block_chars: int):
                 held = batch.column("held").slice(a, b - a)
                 train = np.repeat(~held.to_numpy(zero_copy_only=False), n + 1)
                 counts = np.bincount(tokens[train], minlength=len(words) + 1)
-                words = (words >> np.uint64(2)) | np.uint64(4)  # below 2**62, apart from the marks
+                words = np.maximum(words >> np.uint64(2), np.uint64(4))  # below 2**62, apart from the marks
                 yield pa.RecordBatch.from_pydict({"block": pa.array([number], pa.int64()), "doc_ids": pa.array([batch.column("id").slice(a, b - a).to_pylist()], pa.list_(pa.int64())), "held": pa.array([held.to_pylist()], pa.list_(pa.bool_())), "n_windows": pa.array([len(tokens)], pa.int64()), "n_train": pa.array([int(train.sum())], pa.int64()), "n_train_docs": pa.array([int(counts[0])], pa.int64()), "words": pa.array([_squeeze(words.astype("<u8"), _fit(counts[1:]))], pa.binary()), "tokens": pa.array([_squeeze(_fit(tokens), (n + 1).astype("<u4"))], pa.binary())})
                 number += 1
 
@@ -324,8 +329,12 @@ class Windows:
     """The windows of a block by shard. Local ids: 0 the end or the begin, then words."""
 
     def __init__(self, words: bytes, tokens: bytes, held: list[bool], hot: dict[int, tuple[int, int]], shards: int):
-        self.words, self.counts = _open(words)
+        self.words = _open(words)[0]
         self.tokens, self.each = (x.astype(np.int64) for x in _open(tokens))
+        order = np.argsort(self.words)  # ids in the order of hashes, so that lists of either are sorted
+        rank = np.zeros(len(order) + 1, np.int64)
+        rank[order + 1] = np.arange(1, len(order) + 1)
+        self.words, self.tokens = self.words[order], rank[self.tokens]
         first = np.zeros(len(self.tokens), bool)
         first[np.cumsum(self.each) - self.each] = True
         w2 = np.concatenate([[0], self.tokens[:-1]])
@@ -355,8 +364,8 @@ class Windows:
         return keys >> 3 * self.bits, keys >> 2 * self.bits & mask, keys >> self.bits & mask, keys & mask
 
     def near(self, local: np.ndarray) -> np.ndarray:
-        """32-bit hashes of neighbours: 0 is the begin, one past the last word the end."""
-        return np.append(self.hashes & NEAR, np.uint64(END))[local].astype("<u4")
+        """32-bit hashes of neighbours, in the order of their ids: 0 is the begin, 1 the end."""
+        return np.concatenate([[np.uint64(0), np.uint64(1)], np.maximum(self.hashes[1:] >> NEAR, np.uint64(2))])[local].astype("<u4")
 
 
 def _requests(hot: dict, shards: int):
@@ -372,14 +381,14 @@ def _requests(hot: dict, shards: int):
                 rows = {"shard": [], "payload": []}
                 for a, b in zip(edges[:-1], edges[1:], strict=True):
                     middle, run_of = np.unique(w2[a:b], return_counts=True)
-                    last = np.where(w3[a:b] == 0, len(w.hashes), w3[a:b])
-                    near = np.unique(np.concatenate([w1[a:b], last]))
-                    before = np.searchsorted(near, w1[a:b])
+                    first, last = np.where(w1[a:b] == 0, 0, w1[a:b] + 1), w3[a:b] + 1  # 0 the begin, 1 the end, then words
+                    near = np.unique(np.concatenate([first, last]))
+                    before = np.searchsorted(near, first)
                     step = np.diff(before, prepend=0)  # grows within the run of a middle word
                     begin = np.cumsum(run_of) - run_of
                     step[begin] = before[begin]
                     rows["shard"].append(int(shard[a]))
-                    rows["payload"].append(_squeeze(w.hashes[middle].astype("<u8"), _fit(run_of), w.near(near), _fit(step), _fit(np.searchsorted(near, last)), _fit(count[a:b])))
+                    rows["payload"].append(_squeeze(_gaps(w.hashes[middle]), _fit(run_of), _gaps(w.near(near)), _fit(step), _fit(np.searchsorted(near, last)), _fit(count[a:b])))
                 yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(rows["shard"]), pa.int64()), "shard": pa.array(rows["shard"], pa.int32()), "payload": pa.array(rows["payload"], pa.binary())})
 
     return run
@@ -399,6 +408,8 @@ def _answers(hot: dict, keep_trie: bool):
 
     def of(held: pa.Table) -> pa.Table:
         parts = [_open(x) for x in held.column("payload").to_pylist()]
+        for p in parts:
+            p[0], p[2] = np.cumsum(p[0], dtype=np.uint64), np.cumsum(p[2], dtype=np.uint32)
         words, near = np.unique(np.concatenate([p[0] for p in parts])), np.unique(np.concatenate([p[2] for p in parts]))
         mine = [_windows(p, np.searchsorted(words, p[0]), np.searchsorted(near, p[2])) for p in parts]
         m, a, b = (np.concatenate([x[k] for x in mine]) for k in range(3))
@@ -415,6 +426,7 @@ def _answers(hot: dict, keep_trie: bool):
         for p, (m, a, b) in zip(parts, mine, strict=True):
             one, two = trie.answer(level, in_words[0][m], in_words[1][m], in_near[0][a], in_near[1][a], in_near[0][b], in_near[1][b])
             out["payload"].append(_squeeze(code_of(one), code_of(two), _fit(total[np.searchsorted(words, p[0])])))
+        tidy()
         if keep_trie:
             out["trie"] = [trie.to_bytes()] + [None] * (len(parts) - 1)
         return pa.table({"block": pa.array(out["block"], pa.int64()), "shard": pa.array(out["shard"], pa.int32()), "payload": pa.array(out["payload"], pa.binary()), "n_words": pa.array(out["n_words"], pa.int64())} | ({"trie": pa.array(out["trie"], pa.binary())} if keep_trie else {}))
@@ -484,7 +496,7 @@ def _exact(chosen: np.ndarray):
     return run
 
 
-def train_and_score(docs: DataFrame, held: str = "held", id_col: str = "doc_id", text_col: str = "text", block_chars: int = 1 << 23, shard_windows: int = 3_000_000, hot: int = 750_000, keep_tries: bool = False) -> tuple[DataFrame, DataFrame]:
+def train_and_score(docs: DataFrame, held: str = "held", id_col: str = "doc_id", text_col: str = "text", block_chars: int = 1 << 23, shard_windows: int = 2_000_000, hot: int = 500_000, keep_tries: bool = False) -> tuple[DataFrame, DataFrame]:
     """Scores of all documents by a model of those whose ``held`` column is false, and the table of answers.
 
     With ``keep_tries`` the answers have each shard's trie.
