@@ -46,7 +46,7 @@ _encoders: dict[str, "ChunkEncoder"] = {}
 
 
 class ChunkEncoder:
-    def __init__(self, path: str, most: int = 200_000):
+    def __init__(self, path: str, most: int = 300_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -277,7 +277,7 @@ def _writer(path: str, shard_tokens: int, rounds: int):
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             sizes = pc.fill_null(pc.utf8_length(texts), 0).to_pylist()
-            for a, b in slices(sizes, 1 << 22):
+            for a, b in slices(sizes, 1 << 23):
                 flat, n = enc.encode(texts.slice(a, b - a))
                 held.append(flat)
                 docs += ids[a:b]
