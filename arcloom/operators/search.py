@@ -181,14 +181,30 @@ def msf(g: PropertyGraph, engine: str = "boruvka", max_rounds: int = 64) -> Data
         if light.isEmpty():
             break
         chosen = light.select("src", "dst", "weight") if chosen is None else chosen.unionByName(light.select("src", "dst", "weight"))
-        ids = light.select(F.explode(F.array("a", "b")).alias("id")).distinct().withColumn("color", F.lit(0.0))
-        joined = components(PropertyGraph(ids, both_ways(light.select("a", "b", "weight"), "a", "b")))
+        roots = _roots(ends.groupBy("c").agg(F.min("e").alias("e")).select("c", F.when(F.col("e.a") == F.col("c"), F.col("e.b")).otherwise(F.col("e.a")).alias("p")))
+        roots = small(roots, roots.count())
         for end in ("a", "b"):
-            edges = edges.join(joined.select(F.col("id").alias(end), "component"), end, "left").withColumn(end, F.coalesce("component", end)).drop("component")
-        edges = cut(edges.where("a <> b"))
+            edges = edges.join(roots.select(F.col("c").alias(end), "p"), end, "left").withColumn(end, F.coalesce("p", end)).drop("p")
+        # Of parallel edges between two trees only the lightest can be chosen.
+        lightest = edges.where("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg(F.min(F.struct("weight", "src", "dst")).alias("e"))
+        edges = cut(lightest.select("e.weight", "e.src", "e.dst", "a", "b"))
     return chosen.distinct() if chosen is not None else g.edges.where("src < dst").select("src", "dst", "weight")
 
 
+def _roots(parents: DataFrame, max_rounds: int = 64) -> DataFrame:
+    """(c, p) with p the root: two that chose each other meet at the smaller, then parents jump to their parents."""
+    p = cut(parents)
+    back = p.select(F.col("c").alias("p"), F.col("p").alias("q"))
+    p = cut(p.join(back, "p").select("c", F.when((F.col("q") == F.col("c")) & (F.col("c") < F.col("p")), F.col("c")).otherwise(F.col("p")).alias("p")))
+    for _ in range(max_rounds):
+        up = p.select(F.col("c").alias("p"), F.col("p").alias("q"))
+        new = cut(p.join(up, "p").select("c", F.col("q").alias("p"), (F.col("q") != F.col("p")).alias("moved")))
+        p = new.select("c", "p")
+        if new.where("moved").isEmpty():
+            break
+    return p
+
+
 def _kruskal(adjacent):
     root = {i: i for i in adjacent}
 
