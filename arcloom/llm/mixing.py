@@ -3,9 +3,9 @@
 A classifier fitted on the labels table gives every document a posterior over domains (clean, poor, toxic). Nonnegative
 rates, one a document, are then fitted by projected least squares so that the expected tokens of each domain, rate x
 tokens x posterior summed over documents, meet the targets. Every document's step is the same function of its
-posterior, so a pass over the documents sums one residual per domain, the residuals are scaled by the inverse of the
-domains' Gram matrix (a handful of numbers), and the rates are stepped and projected to zero or more where they
-stand; no rate leaves its row. Rates start from 1, so documents change no more than the targets ask.
+posterior, so a pass over the documents sums one residual per domain, the gradient is scaled by the damped inverse of
+the domains' Gram matrix (a handful of numbers), and the rates are stepped and projected to zero or more where they
+stand; no rate leaves its row. A step that does not lower the squared residual is taken again with more damping. Rates start from 1, so documents change no more than the targets ask.
 
 The classifier is naive Bayes over the presence of hashed words and of style classes. It is fitted on at most
 ``sample`` labelled documents, those with the smallest hash of their id (documented parameter). Its table has a row
@@ -101,27 +101,29 @@ def fit_rates(members: DataFrame, targets: list[float], most: int = 40, toleranc
     k = range(len(targets))
     p = [F.col(f"p{i}") for i in k]
     tokens = F.col("n_tokens").cast("double")
-    first = members.agg(F.sum(tokens), *[F.sum(tokens * p[i] * p[j]) for i in k for j in k]).first()
-    total = first[0] or 0.0
+    total = members.agg(F.sum(tokens)).first()[0] or 0.0
     if not total:
         return F.lit(1.0), {"passes": 0, "attained": [0.0 for _ in k], "converged": not any(targets)}
-    gram = np.array(first[1:], float).reshape(len(targets), -1) / total
-    goal, rate, size, best, passes, attained = np.array(targets, float) / total, F.lit(1.0), 1.0, np.inf, 0, []
+    goal, n = np.array(targets, float) / total, len(targets)
+    rate = best_rate = F.lit(1.0)
+    best, attained, residual, gram, damping, passes = np.inf, np.zeros(n), np.zeros(n), np.eye(n), 1e-6, 0
     for passes in range(1, most + 1):
         active = F.when(rate > 0, 1.0).otherwise(0.0)
         got = members.agg(*[F.sum(tokens * p[i] * rate) for i in k], *[F.sum(tokens * p[i] * p[j] * active) for i in k for j in k]).first()
-        attained = np.array(got[: len(targets)], float) / total
-        gram = np.array(got[len(targets) :], float).reshape(len(targets), -1) / total
-        residual = attained - goal
-        if np.abs(residual).max() <= tolerance or passes == most:
-            break
-        size = 0.5 * size if np.abs(residual).max() > 0.999 * best else size
-        best = min(best, np.abs(residual).max())
-        step = size * np.linalg.lstsq(gram + 1e-12 * np.eye(len(targets)), residual, rcond=1e-10)[0]
-        rate = F.greatest(F.lit(0.0), rate - sum((p[i] * float(step[i]) for i in k[1:]), p[0] * float(step[0])))
-        if size < 1e-3:
-            break
-    return rate, {"passes": passes, "attained": (attained * total).tolist(), "converged": bool(np.abs(attained - goal).max() <= max(tolerance, 1e-6))}
+        now = np.array(got[:n], float) / total
+        value = float(((now - goal) ** 2).sum())
+        if value < best:
+            settled = value > 0.999999 * best
+            best, best_rate, attained, residual, gram, damping = value, rate, now, now - goal, np.array(got[n:], float).reshape(n, n) / total, max(1e-9, damping / 10)
+            if settled or np.abs(residual).max() <= tolerance:
+                break
+        else:  # a shorter step, closer to the plain gradient
+            damping *= 10
+            if damping > 1e4:
+                break
+        step = np.linalg.solve(gram + damping * np.eye(n), residual)
+        rate = F.greatest(F.lit(0.0), best_rate - sum((p[i] * float(step[i]) for i in k[1:]), p[0] * float(step[0])))
+    return best_rate, {"passes": passes, "attained": (attained * total).tolist(), "converged": bool(np.abs(residual).max() <= max(tolerance, 1e-6))}
 
 
 def domain_labels(labels: DataFrame) -> DataFrame:

@@ -159,7 +159,7 @@ def _verify(threshold: float):
         if (sides < 2).all():
             first, second = np.flatnonzero(sides == 0), np.flatnonzero(sides == 1)
             if not len(first) or not len(second):
-                return units, np.zeros(len(units), np.int64), units
+                return units, np.zeros(len(units), np.int64), []
             both = overlaps([sets[i] for i in first], [sets[i] for i in second])
             alike = both >= threshold * (size[first][:, None] + size[second][None, :] - both) - 1e-3
             links = np.zeros(len(units), np.int64)
