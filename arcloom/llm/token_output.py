@@ -152,6 +152,13 @@ class ChunkEncoder:
         return np.insert(ids, ends, END).astype(np.uint32), np.diff(ends, prepend=0) + 1
 
 
+def encoder(path: str) -> ChunkEncoder:
+    """One encoder a Python worker. A task's function carries copies of the globals it names, so the cache is behind a function of this module."""
+    if path not in _encoders:
+        _encoders[path] = ChunkEncoder(path)
+    return _encoders[path]
+
+
 def repair(ids: np.ndarray, rounds: int = 4, top: int = 1024, least: int = 24) -> tuple[np.ndarray, np.ndarray, int]:
     """Sequence, rules (left, right) and the id of the first nonterminal."""
     base = int(ids.max()) + 1 if len(ids) else 0
@@ -262,9 +269,7 @@ SHARD = "part int, chunk int, local_start long, n_ids long, doc_ids array<long>,
 
 def _writer(path: str, shard_tokens: int, rounds: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        if path not in _encoders:
-            _encoders[path] = ChunkEncoder(path)
-        enc = _encoders[path]
+        enc = encoder(path)
         part, chunk, begun, held, docs, lens = TaskContext.get().partitionId(), 0, 0, [], [], []
 
         def flush() -> pa.RecordBatch:
