@@ -1,16 +1,21 @@
 """Benchmark decontamination by spaced-seed hashing.
 
 A mask is a fixed pattern of token positions; those it leaves out may be substituted. Every position of every benchmark
-item and of every document is hashed under every mask, equal hashes are hits, and around a hit item and document
-are compared token by token along the hit's diagonal: the overlap grows both ways as long as matches outweigh
-substitutions. An overlap counts when it is long enough and similar enough.
+item and of every document is hashed under every mask, and equal hashes are hits. The masks are few and light enough
+that every overlap that counts has a hit (shown by enumeration in the tests), so nothing is lost to the search.
+Hits near which no stretch can be similar enough are dropped at once, and on the diagonals of the others item and
+document are compared token by token.
+
+An overlap counts when it begins and ends with a match, is long enough and similar enough. On a diagonal the
+one that scores best (a match 1, a substitution -2) is taken, else the one that exceeds the wanted identity most, and
+what lies left and right of it is searched again: a diagonal with an overlap that counts always yields one.
 
 Benchmark items are the stated query set. They are taken in blocks of at most ``block_items`` items and
 ``block_chars`` characters; a block's hash table is bounded and goes to every task, and the documents are scanned
 once per block, so a benchmark of any size is matched whole without a shuffle of document hashes.
 
 Null or empty texts match nothing. Items under ``min_item`` words are too general and are not searched. Items shorter
-than ``min_overlap`` words must be matched over their whole length. Null ids pass through. Repeated rows
+than ``min_overlap`` words must be matched over their whole length, whose ends may be substituted. Null ids pass through. Repeated rows
 each get a row. Empty tables: no rows. Other columns are not read.
 """
 
@@ -27,9 +32,12 @@ from pyspark.sql import functions as F
 
 from .common import TokenHasher, slices, table, tidy, words
 
-#: The masks; 1 is a position that is hashed.
-MASKS = ("111111", "1101100101", "1010011011", "1100010111")
+#: The masks; 1 is a position that is hashed. At identity 0.75 the first miss no overlap of 12 words or more, the others none of 5 or more.
+MASKS = ("11101", "100111")
+SHORT_MASKS = ("111", "1101")
 FILTER_BITS = 20
+#: Hits that are looked at together.
+HITS = 1 << 17
 SPAN = "array<struct<item_id:long,doc_start:int,doc_end:int,item_start:int,matched:int>>"
 
 
@@ -50,71 +58,114 @@ def seed_hashes(tokens: np.ndarray, mask: str) -> np.ndarray:
     return h
 
 
+def masks_for(need: int, identity: float) -> tuple[str, ...]:
+    """Masks of which every overlap of ``need`` words or more has a seed; where those given do not suffice, the run of matches that must be there."""
+    if identity >= 0.75 and need >= 5:
+        return MASKS if need >= 12 else SHORT_MASKS
+    off = [(n, int(n * (1 - identity) + 1e-9)) for n in range(need, 2 * need)]
+    return ("1" * max(1, min(-(-(n - k) // (k + 1)) for n, k in off)),)
+
+
+def _best(score: np.ndarray, same: np.ndarray, need: int) -> tuple[int, int]:
+    """The stretch of ``need`` words or more between two matches that scores most; of equal ones a long one. (0, 0): none."""
+    n = len(score) - need + 1
+    if n <= 0:
+        return 0, 0
+    before = np.concatenate([[0.0], np.cumsum(score)])
+    start = np.where(same[:n], before[:n], np.inf)
+    value = np.where(same[need - 1 :], before[need:] - np.minimum.accumulate(start), -np.inf)
+    end = n - 1 - int(np.argmax(value[::-1]))
+    return (int(np.argmin(start[: end + 1])), end + need) if np.isfinite(value[end]) else (0, 0)
+
+
+def windows(same: np.ndarray, need: int, identity: float) -> list[tuple[int, int]]:
+    """Disjoint stretches of ``need`` words or more with matching ends and the identity; none is left beside them."""
+    out, todo = [], [(0, len(same))]
+    while todo:
+        a, b = todo.pop()
+        part = same[a:b]
+        for score in (np.where(part, 1.0, -2.0), part - identity):
+            start, end = _best(score, part, need)
+            if end and part[start:end].sum() >= identity * (end - start) - 1e-9:
+                out.append((a + start, a + end))
+                todo += [(a, a + start), (a + end, b)]
+                break
+    return sorted(out)
+
+
 class SeedIndex:
-    """Sorted seed hashes of a block of items. An item shorter than a mask is one contiguous seed of its own."""
+    """Sorted seed hashes of a block of items. Items shorter than ``min_overlap`` have masks of their own."""
 
     def __init__(self, items: list[tuple[int, str]], min_item: int, min_overlap: int, identity: float):
         self.min_overlap, self.identity = min_overlap, identity
         hasher, self.items, self.ids = TokenHasher(), [], []
-        found: dict[str, list[tuple[np.ndarray, int]]] = defaultdict(list)
+        found: dict[tuple[bool, str], list[tuple[np.ndarray, int]]] = defaultdict(list)
         for item_id, text in items:
             tokens = hasher(words(text))
-            if len(tokens) < min_item:
+            if len(tokens) < max(1, min_item):
                 continue
-            for mask in {m if len(m) <= len(tokens) else "1" * min(len(tokens), 6) for m in MASKS}:
-                found[mask].append((seed_hashes(tokens, mask), len(self.items)))
+            for mask in masks_for(min(min_overlap, len(tokens)), identity):
+                found[len(tokens) < min_overlap, mask].append((seed_hashes(tokens, mask), len(self.items)))
             self.items.append(tokens)
             self.ids.append(item_id)
+        self.length = np.array([len(x) for x in self.items], np.int64)
+        self.begin = np.cumsum(self.length) - self.length
+        self.flat = np.concatenate(self.items) if self.items else np.zeros(0, np.uint64)
         self.tables = {}
-        for mask, rows in found.items():
+        for key, rows in found.items():
             h = np.concatenate([x for x, _ in rows])
             item = np.concatenate([np.full(len(x), i) for x, i in rows])
             pos = np.concatenate([np.arange(len(x)) for x, _ in rows])
             order = np.argsort(h, kind="stable")
             bits = np.zeros(1 << FILTER_BITS, bool)
             bits[(h & np.uint64((1 << FILTER_BITS) - 1)).astype(np.int64)] = True
-            self.tables[mask] = (h[order], item[order], pos[order], bits)
-
-    def hits(self, tokens: np.ndarray) -> Iterator[tuple[int, int, int]]:
-        """(document position, item, item position), each diagonal once."""
-        found: list[np.ndarray] = []
-        for mask, (h, item, pos, bits) in self.tables.items():
+            self.tables[key] = (h[order], item[order], pos[order], bits)
+
+    def _near(self, short: bool, tokens: np.ndarray, item: np.ndarray, where: np.ndarray, pos: np.ndarray) -> np.ndarray:
+        """Hits around which some stretch is long and similar enough. One of twice the length has a half that is, so lengths under that suffice."""
+        need = self.min_overlap
+        around = np.arange(need - 1) - pos[:, None] if short else np.arange(1 - 2 * need, 2 * need + 8)
+        at, to = pos[:, None] + around, where[:, None] + around
+        inside = (at >= 0) & (at < self.length[item][:, None]) & (to >= 0) & (to < len(tokens))
+        same = inside & (self.flat[np.where(inside, self.begin[item][:, None] + at, 0)] == tokens[np.where(inside, to, 0)])
+        if short:
+            return same.sum(1) >= self.identity * self.length[item] - 1e-9
+        upto = np.concatenate([np.zeros((len(item), 1), np.int32), np.cumsum(same, 1, dtype=np.int32)], 1)
+        ok = np.zeros(len(item), bool)
+        for n in range(need, 2 * need):
+            ok |= (upto[:, n:] - upto[:, :-n]).max(1) >= self.identity * n - 1e-9
+        return ok
+
+    def hits(self, tokens: np.ndarray) -> np.ndarray:
+        """Rows of (item, diagonal, document position) that are worth a comparison."""
+        found = [np.zeros((0, 3), np.int64)]
+        for (short, mask), (h, item, pos, bits) in self.tables.items():
             seeds = seed_hashes(tokens, mask)
             at = np.flatnonzero(bits[(seeds & np.uint64((1 << FILTER_BITS) - 1)).astype(np.int64)])
             a, b = np.searchsorted(h, seeds[at], "left"), np.searchsorted(h, seeds[at], "right")
-            n = b - a
-            if not n.sum():
-                continue
-            where = np.repeat(at, n)
-            row = np.repeat(a - (np.cumsum(n) - n), n) + np.arange(n.sum())
-            found.append(np.stack([item[row], where - pos[row], where, pos[row]], 1))
-        if found:
-            every = np.concatenate(found)
-            yield from every[np.lexsort((every[:, 2], every[:, 1], every[:, 0]))].tolist()
-
-    def grow(self, doc: np.ndarray, item: np.ndarray, diagonal: int, at: int) -> tuple[int, int, int]:
-        """Best-scoring overlap (start, end, matches) in item positions around item position ``at``."""
-        low, high = max(0, -diagonal), min(len(item), len(doc) - diagonal)
-        same = doc[low + diagonal : high + diagonal] == item[low:high]
-        score = np.where(same, 1, -2)
-        right = np.cumsum(score[at - low :])
-        left = np.cumsum(score[: at - low][::-1])
-        end = at + (int(np.argmax(right)) + 1 if len(right) and right.max() > 0 else 0)
-        start = at - (int(np.argmax(left)) + 1 if len(left) and left.max() > 0 else 0)
-        return start, end, int(same[start - low : end - low].sum())
-
-    def spans(self, tokens: np.ndarray, first: int, last: int, hits: list[tuple[int, int, int, int]]) -> list[dict]:
-        """Overlaps in tokens[first:last] that count."""
-        doc, out, done = tokens[first:last], [], {}
-        for item, diagonal, where, pos in hits:
-            d = diagonal - first
-            if done.get((item, d), -1) > pos:
-                continue
-            start, end, matched = self.grow(doc, self.items[item], d, pos)
-            done[item, d] = max(end, pos + 1)
-            need = min(self.min_overlap, len(self.items[item]))
-            if end - start >= need and matched >= self.identity * (end - start):
-                out.append({"item_id": self.ids[item], "doc_start": d + start, "doc_end": d + end, "item_start": start, "matched": matched})
+            at, a, n = at[b > a], a[b > a], (b - a)[b > a]
+            for i, j in slices(n.tolist(), HITS):
+                m = n[i:j]
+                where = np.repeat(at[i:j], m)
+                row = np.repeat(a[i:j] - (np.cumsum(m) - m), m) + np.arange(m.sum())
+                ok = self._near(short, tokens, item[row], where, pos[row])
+                row, where = row[ok], where[ok]
+                found.append(np.stack([item[row], where - pos[row], where], 1))
+        return np.concatenate(found)
+
+    def spans(self, tokens: np.ndarray, first: int, last: int, diagonals: set[tuple[int, int]]) -> list[dict]:
+        """Overlaps in tokens[first:last] that count, on the given diagonals."""
+        doc, out = tokens[first:last], []
+        for i, diagonal in sorted(diagonals):
+            d, item = diagonal - first, self.items[i]
+            low, high = max(0, -d), min(len(item), len(doc) - d)
+            same = doc[low + d : high + d] == item[low:high]
+            if len(item) < self.min_overlap:
+                whole = high - low == len(item) and same.sum() >= self.identity * len(item) - 1e-9
+                found = [(0, len(item))] if whole else []
+            else:
+                found = windows(same, self.min_overlap, self.identity)
+            out += [{"item_id": self.ids[i], "doc_start": d + low + a, "doc_end": d + low + b, "item_start": low + a, "matched": int(same[a:b].sum())} for a, b in found]
         return out
 
 
@@ -164,10 +215,11 @@ def _search(batches: Iterator[pa.RecordBatch], index: SeedIndex, text_col: str |
             lists = [words(t) for t in texts.slice(a, b - a).to_pylist()]
             ends = np.cumsum([len(x) for x in lists])
             tokens = hasher([w for x in lists for w in x])
-            by_doc: dict[int, list] = defaultdict(list)
-            for hit in index.hits(tokens):
-                by_doc[int(np.searchsorted(ends, hit[2], "right"))].append(hit)
-            yield batch, a, {k: s for k, hits in sorted(by_doc.items()) if (s := index.spans(tokens, int(ends[k]) - len(lists[k]), int(ends[k]), hits))}
+            hits = index.hits(tokens)
+            by_doc: dict[int, set] = defaultdict(set)
+            for k, item, diagonal in zip(np.searchsorted(ends, hits[:, 2], "right").tolist(), hits[:, 0].tolist(), hits[:, 1].tolist(), strict=True):
+                by_doc[k].add((item, diagonal))
+            yield batch, a, {k: s for k, on in sorted(by_doc.items()) if (s := index.spans(tokens, int(ends[k]) - len(lists[k]), int(ends[k]), on))}
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, text_col: str = "text", item_col: str = "item_id", min_overlap: int = 12, identity: float = 0.75, min_item: int = 5, block_items: int = 20_000, block_chars: int = 1 << 24) -> DataFrame:

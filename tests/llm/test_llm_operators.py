@@ -1,5 +1,6 @@
 """The training-data operators on small fixtures: brute force, round trips, and odd rows."""
 
+import itertools
 import math
 import re
 import zlib
@@ -198,6 +199,51 @@ def test_decontamination(spark, docs, empty):
     assert decontamination.decontaminate(empty, items).count() == 0 and decontamination.find_overlaps(every, items.limit(0)).count() == 0
 
 
+def _substituted(n, off):
+    """Patterns of n words of which ``off`` are substituted, as bits of the matches."""
+    return [sum(1 << i for i in range(n) if i not in out) for out in itertools.combinations(range(n), off)]
+
+
+def test_every_overlap_has_a_seed():
+    """Longer ones hold one of 12 to 23 words that is as similar; fewer substitutions are no harder."""
+    for need, top in [(12, 24), *((n, n + 1) for n in range(5, 12))]:
+        bits = [(sum(1 << i for i, c in enumerate(m) if c == "1"), len(m)) for m in decontamination.masks_for(need, 0.75)]
+        for n in range(need, top):
+            every = np.array(_substituted(n, n // 4))
+            hit = np.zeros(len(every), bool)
+            for m, span in bits:
+                for at in range(n - span + 1):
+                    hit |= every >> at & m == m
+            assert hit.all()
+    assert decontamination.masks_for(12, 0.5) == ("1",) and decontamination.masks_for(3, 0.75) == ("11",)
+
+
+def test_every_overlap_is_found():
+    item = [f"i{k}" for k in range(30)]
+    whole = decontamination.SeedIndex([(1, " ".join(item)), (2, "s0 s1 s2 s3 s4 s5 s6 s7")], 5, 12, 0.75)
+    texts = []
+    for n, off in [(12, 2), (12, 3), (16, 4)]:
+        inner = [m for m in _substituted(n, off) if m & 1 and m >> (n - 1)]
+        texts += [["x"] + [item[7 + k] if m >> k & 1 else "y" for k in range(n)] + ["z"] for m in inner]
+    texts += [[f"s{k}" if m >> k & 1 else "y" for k in range(8)] for m in _substituted(8, 2)]
+    batch = pa.RecordBatch.from_pydict({"text": [" ".join(t) for t in texts]})
+    found = {a + k: s for _, a, f in decontamination._search(iter([batch]), whole, "text") for k, s in f.items()}
+    assert set(found) == set(range(len(texts)))
+    assert all(s[0]["matched"] >= 0.75 * (s[0]["doc_end"] - s[0]["doc_start"]) for s in found.values())
+    near = [" ".join(item[:8] + ["y"] * 4), " ".join(item[:11]), "s0 s1 y s3 y s5 y s7"]
+    assert not any(f for *_, f in decontamination._search(iter([pa.RecordBatch.from_pydict({"text": near})]), whole, "text"))
+
+
+def test_windows_against_brute_force():
+    dice = np.random.default_rng(6)
+    for _ in range(300):
+        same = dice.random(int(dice.integers(1, 40))) < 0.75
+        ok = {(a, b) for a in range(len(same)) for b in range(a + 6, len(same) + 1) if same[a] and same[b - 1] and same[a:b].sum() >= 0.75 * (b - a)}
+        got = decontamination.windows(same, 6, 0.75)
+        assert set(got) <= ok and bool(got) == bool(ok)
+        assert all(any(a < d and c < b for c, d in got) for a, b in ok)
+
+
 def test_ann(spark):
     dice = np.random.default_rng(3)
     x = dice.standard_normal((3000, 16)).astype(np.float32)
