@@ -3,11 +3,12 @@
 Documents are range-partitioned by id and sorted, each task encodes its documents in order and cuts the ids into
 shards of about ``shard_tokens``; a shard is one row of a Parquet table in the shared folder, so writing survives
 lost executors and works on any store that Spark reaches. In a shard, rounds of Re-Pair replace frequent pairs of
-ids by nonterminals. A pair occurs at most as often as its rarer symbol, so a round counts exactly all pairs that
-can reach its threshold by looking at the few symbols that are frequent enough; it takes pairs whose left and right
-symbols are disjoint sets, so that occurrences never overlap and all are replaced at once. The shard stores rules,
-sequence, the expansion length of every rule and the decoded offset of every 1024th symbol, by which any range of
-ids is decoded without the rest.
+ids by nonterminals until no pair occurs ``least`` times without overlap. A round counts exactly all pairs that can
+reach its threshold, which falls from round to round: occurrences are first counted by a hash, which leaves few to sort.
+Where chosen pairs overlap, the more frequent one is replaced and the other is left to the next round; of a run of one
+id every other pair is taken. Once the threshold is ``least``, a round looks only at pairs that are new or were left.
+The shard stores rules, sequence and the decoded offset of every 1024th symbol, by which any range of
+ids is decoded without the rest. Symbols have as many bits as the largest needs.
 
 The encoder sees a text as chunks between blanks and newlines, which no token of the tokenizer crosses, and keeps
 the ids of chunks it has seen in a bounded cache.
@@ -36,9 +37,11 @@ from pyspark.sql.window import Window
 from .common import materialise, slices, table, tidy
 
 END = 2
-#: Symbols are stored in 16 bits.
-LIMIT = 1 << 16
 SAMPLE = 1024
+#: Bits of the hash that pairs are first counted by, and what the threshold is divided by from round to round.
+SLOT_BITS, FALL = 20, 4
+#: Expansions of at most so many ids are kept in a table; longer ones are split when they are met.
+SHORT = 64
 #: A Latin word and ASCII marks behind it, which encode alike apart (an apostrophe may begin a suffix, so it is no such mark), and characters that may stand between chunks if the tokenizer has an id for one.
 WORD = r"^(?P<stem>[A-Za-z\x{C0}-\x{D6}\x{D8}-\x{F6}\x{F8}-\x{12F}\x{131}-\x{24F}]+)(?P<tail>[.,!?;:#*&%$|+=/()\[\]{}<>@^~_-]*)$"
 MARKS = ["\u2603", "\u2693", "\u2622", "\u266b", "\u2665", "\u00a9"]
@@ -159,75 +162,119 @@ def encoder(path: str) -> ChunkEncoder:
     return _encoders[path]
 
 
-def repair(ids: np.ndarray, rounds: int = 4, top: int = 1024, least: int = 24) -> tuple[np.ndarray, np.ndarray, int]:
-    """Sequence, rules (left, right) and the id of the first nonterminal."""
+def _apart(seq: np.ndarray, same: np.ndarray) -> np.ndarray:
+    """Whether a pair begins here; in a run of one symbol every other one does."""
+    ok, at = np.ones(len(same), bool), np.flatnonzero(same)
+    if len(at):
+        new = np.diff(at, prepend=-2) > 1
+        ok[at[(at - at[new][np.cumsum(new) - 1]) % 2 == 1]] = False
+    return ok
+
+
+def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.ndarray, np.ndarray, int]:
+    """Sequence, rules (left, right) and the id of the first nonterminal. ``rounds`` is a bound that raises."""
     base = int(ids.max()) + 1 if len(ids) else 0
-    seq, rules = ids.astype(np.int32), []
+    seq, rules, n, floor, live = ids.astype(np.int32), [np.zeros((0, 2), np.int64)], base, 0, None
     for _ in range(rounds):
-        room = LIMIT - base - len(rules)
-        if len(seq) < 64 or room <= 0:
-            break
-        counts = np.bincount(seq)
-        frequent = np.argsort(-counts, kind="stable")[:top]
-        frequent = frequent[counts[frequent] >= least]
-        if len(frequent) == 0:
+        if len(seq) < 2 * least:
             break
-        k, rank = len(frequent), np.full(len(counts), -1, np.int32)
-        rank[frequent] = np.arange(k)
-        floor = max(least, int(counts[frequent[-1]]) if k == top else least)
-        r = rank[seq]
-        a, b = r[:-1], r[1:]
-        both = np.flatnonzero((a >= 0) & (b >= 0))
-        keys = a[both].astype(np.int64) * k + b[both]
-        pairs = np.bincount(keys, minlength=k * k)
-        order = np.flatnonzero(pairs >= floor)
-        order = order[np.argsort(-pairs[order], kind="stable")]
-        side, chosen = np.zeros(k, np.int8), []
-        for p in order.tolist():
-            x, y = divmod(p, k)
-            if x != y and side[x] != 2 and side[y] != 1:
-                side[x], side[y] = 1, 2
-                chosen.append(p)
-                if len(chosen) == room:
-                    break
-        if not chosen:
-            break
-        chosen = np.array(chosen)
-        symbol = np.zeros(k * k, np.int32)
-        symbol[chosen] = base + len(rules) + np.arange(len(chosen))
-        new = symbol[keys]
-        hit = new > 0
-        at = both[hit]
-        seq[at] = new[hit]
-        keep = np.ones(len(seq), bool)
-        keep[at + 1] = False
-        seq = seq[keep]
-        rules.extend(zip(frequent[chosen // k].tolist(), frequent[chosen % k].tolist(), strict=True))
-    return seq, np.array(rules, np.int32).reshape(-1, 2), base
-
-
-def _expansions(rules: np.ndarray, base: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """For every symbol: start and length in a flat table of ids."""
-    grown: list[tuple[int, ...]] = []
-    of = lambda s: grown[s - base] if s >= base else (s,)
+        same = seq[:-1] == seq[1:]
+        ok = _apart(seq, same)
+        at = np.flatnonzero(ok if live is None else ok & (live | same))
+        keys = seq[at].astype(np.int64) << 32 | seq[at + 1]
+        slot = (keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - SLOT_BITS)).astype(np.int32)
+        counts = np.bincount(slot, minlength=1 << SLOT_BITS)
+        floor = max(least, (floor or int(counts.max())) // FALL)
+        some = (counts >= floor)[slot]
+        at, keys = at[some], keys[some]
+        pairs, times = np.unique(keys, return_counts=True)
+        pairs, times = pairs[times >= floor], times[times >= floor]
+        if not len(pairs):
+            if floor == least:
+                break
+            continue
+        order = np.argsort(-times, kind="stable")
+        rank = np.empty(len(pairs), np.int32)
+        rank[order] = np.arange(len(pairs))
+        j = np.minimum(np.searchsorted(pairs, keys), len(pairs) - 1)
+        hit = pairs[j] == keys
+        at, mine = at[hit], rank[j[hit]]
+        around = np.full(len(seq) + 1, len(pairs), np.int32)  # the rank of position i at i + 1
+        around[at + 1] = mine
+        won = (mine < around[at]) & (mine < around[at + 2])
+        kept = np.bincount(mine[won], minlength=len(pairs)) >= least
+        won &= kept[mine]
+        name = (n + np.cumsum(kept) - 1).astype(np.int32)
+        stay = np.ones(len(seq), bool)
+        stay[at[won] + 1] = False
+        seq[at[won]] = name[mine[won]]
+        if floor == least:
+            left = np.zeros(len(seq), bool)
+            left[at[~won]] = True
+        seq = seq[stay]
+        if floor == least:
+            fresh = seq >= n
+            live = (left[stay] | fresh)[:-1] | fresh[1:]
+        best = pairs[order][kept]
+        rules.append(np.stack([best >> 32, best & 0xFFFFFFFF], 1))
+        n += len(best)
+    else:
+        raise RuntimeError("pairs are left after the last round")
+    return seq, np.concatenate(rules).astype(np.int32), base
+
+
+def _lengths(rules: np.ndarray, base: int) -> np.ndarray:
+    """Ids that every symbol expands to."""
+    lens = [1] * base
     for x, y in rules.tolist():
-        grown.append(of(x) + of(y))
-    lens = np.concatenate([np.ones(base, np.int64), np.fromiter(map(len, grown), np.int64, len(grown))])
-    flat = np.concatenate([np.arange(base, dtype=np.uint32), np.fromiter(chain.from_iterable(grown), np.uint32)]) if len(grown) else np.arange(base, dtype=np.uint32)
-    return np.cumsum(lens) - lens, lens, flat
+        lens.append(lens[x] + lens[y])
+    return np.array(lens, np.int64)
+
+
+def _split(seq: np.ndarray, rules: np.ndarray, base: int, long: np.ndarray) -> np.ndarray:
+    """``seq`` with symbols of ``long`` replaced by their two parts until none is left."""
+    while (two := long[seq]).any():
+        at = np.cumsum(two) - two + np.arange(len(seq))
+        out = np.empty(len(seq) + int(two.sum()), np.int64)
+        out[at] = np.where(two, rules[np.where(two, seq - base, 0), 0], seq)
+        out[at[two] + 1] = rules[seq[two] - base, 1]
+        seq = out
+    return seq
+
+
+def _planes(symbols: np.ndarray, bits: int) -> bytes:
+    """The lower 16 bits of all symbols, then plane by plane the bits above."""
+    return b"".join([symbols.astype("<u2").tobytes(), *[np.packbits((symbols >> k & 1).astype(np.uint8)).tobytes() for k in range(16, bits)]])
+
+
+class _Planes:
+    """Reader of symbols in planes."""
+
+    def __init__(self, data: bytes, at: int, n: int, bits: int):
+        self.n, self.low = n, np.frombuffer(data, "<u2", n, at)
+        size = -(-n // 8)
+        self.high = [np.frombuffer(data, np.uint8, size, at + 2 * n + k * size) for k in range(bits - 16)]
+        self.end = at + 2 * n + size * len(self.high)
+
+    def get(self, a: int, b: int) -> np.ndarray:
+        """Symbols a..b; a is a multiple of 8."""
+        b = min(b, self.n)
+        out = self.low[a:b].astype(np.int64)
+        for k, plane in enumerate(self.high):
+            out |= np.unpackbits(plane[a // 8 : -(-b // 8)], count=max(b - a, 0)).astype(np.int64) << (16 + k)
+        return out
 
 
-MAGIC = b"RPR1"
+MAGIC = b"RPR2"
 
 
-def pack(ids: np.ndarray, rounds: int = 4) -> bytes:
-    """magic, then ids, base, rules and symbols as u64; rules, their lengths (u32), samples (u64), symbols (u16)."""
-    seq, rules, base = repair(ids, rounds)
-    if base > LIMIT:
-        raise ValueError("token ids over 65535 need wider symbols")
-    lens = _expansions(rules, base)[1]
+def pack(ids: np.ndarray, least: int = 4) -> bytes:
+    """magic, then ids, base, rules, symbols and bits as u64; samples (u64); left and right sides of the rules, and symbols, in planes."""
+    seq, rules, base = repair(ids, least)
+    lens = _lengths(rules, base)
     offsets = np.cumsum(lens[seq]) - lens[seq] if len(seq) else np.zeros(0, np.int64)
-    return b"".join([MAGIC, struct.pack("<4Q", len(ids), base, len(rules), len(seq)), rules.astype("<u4").tobytes(), lens[base:].astype("<u4").tobytes(), offsets[::SAMPLE].astype("<u8").tobytes(), seq.astype("<u2").tobytes()])
+    bits = max(16, (base + len(rules)).bit_length())
+    return b"".join([MAGIC, struct.pack("<5Q", len(ids), base, len(rules), len(seq), bits), offsets[::SAMPLE].astype("<u8").tobytes(), *[_planes(x, bits) for x in (rules[:, 0], rules[:, 1], seq)]])
 
 
 class Shard:
@@ -236,22 +283,26 @@ class Shard:
     def __init__(self, data: bytes):
         if data[:4] != MAGIC:
             raise ValueError("not a packed shard")
-        self.n, self.base, r, s = struct.unpack_from("<4Q", data, 4)
-        at = 36
-        rules = np.frombuffer(data, "<u4", 2 * r, at).astype(np.int64).reshape(-1, 2)
-        at += 12 * r
-        self.samples = np.frombuffer(data, "<u8", -(-s // SAMPLE), at)
-        at += 8 * len(self.samples)
-        self.seq = np.frombuffer(data, "<u2", s, at)
-        self.start, self.length, self.flat = _expansions(rules, self.base)
+        self.n, self.base, r, s, bits = struct.unpack_from("<5Q", data, 4)
+        self.samples = np.frombuffer(data, "<u8", -(-s // SAMPLE), 44)
+        left = _Planes(data, 44 + 8 * len(self.samples), r, bits)
+        right = _Planes(data, left.end, r, bits)
+        self.seq = _Planes(data, right.end, s, bits)
+        self.rules = np.stack([left.get(0, r), right.get(0, r)], 1)
+        lens = _lengths(self.rules, self.base)
+        self.long = lens > SHORT
+        self.length = np.where(self.long, 0, lens)
+        self.start = np.cumsum(self.length) - self.length
+        self.flat = _split(np.flatnonzero(~self.long), self.rules, self.base, np.arange(len(lens)) >= self.base).astype(np.uint32)
 
     def _expand(self, seq: np.ndarray) -> np.ndarray:
+        seq = _split(seq, self.rules, self.base, self.long)
         lens = self.length[seq]
         total = int(lens.sum())
         return self.flat[np.repeat(self.start[seq] - (np.cumsum(lens) - lens), lens) + np.arange(total)]
 
     def ids(self) -> np.ndarray:
-        return np.concatenate([self._expand(self.seq[i : i + (1 << 20)]) for i in range(0, len(self.seq), 1 << 20)]) if len(self.seq) else np.zeros(0, np.uint32)
+        return np.concatenate([self._expand(self.seq.get(i, i + (1 << 20))) for i in range(0, self.seq.n, 1 << 20)]) if self.seq.n else np.zeros(0, np.uint32)
 
     def range(self, a: int, b: int) -> np.ndarray:
         """Ids a..b, decoding only the symbols between two samples."""
@@ -260,14 +311,14 @@ class Shard:
             return np.zeros(0, np.uint32)
         i = int(np.searchsorted(self.samples, a, "right")) - 1
         j = int(np.searchsorted(self.samples, b, "left"))
-        part = self._expand(self.seq[i * SAMPLE : j * SAMPLE])
+        part = self._expand(self.seq.get(i * SAMPLE, j * SAMPLE))
         return part[a - int(self.samples[i]) : b - int(self.samples[i])]
 
 
 SHARD = "part int, chunk int, local_start long, n_ids long, doc_ids array<long>, n_tokens array<long>, payload binary"
 
 
-def _writer(path: str, shard_tokens: int, rounds: int):
+def _writer(path: str, shard_tokens: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path)
         part, chunk, begun, held, docs, lens = TaskContext.get().partitionId(), 0, 0, [], [], []
@@ -275,7 +326,7 @@ def _writer(path: str, shard_tokens: int, rounds: int):
         def flush() -> pa.RecordBatch:
             nonlocal chunk, begun, held, docs, lens
             ids = np.concatenate(held)
-            row = pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "chunk": pa.array([chunk], pa.int32()), "local_start": [begun], "n_ids": [len(ids)], "doc_ids": pa.array([docs], pa.list_(pa.int64())), "n_tokens": pa.array([lens], pa.list_(pa.int64())), "payload": pa.array([pack(ids, rounds)], pa.binary())})
+            row = pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "chunk": pa.array([chunk], pa.int32()), "local_start": [begun], "n_ids": [len(ids)], "doc_ids": pa.array([docs], pa.list_(pa.int64())), "n_tokens": pa.array([lens], pa.list_(pa.int64())), "payload": pa.array([pack(ids)], pa.binary())})
             chunk, begun, held, docs, lens = chunk + 1, begun + len(ids), [], [], []
             return row
 
@@ -296,11 +347,11 @@ def _writer(path: str, shard_tokens: int, rounds: int):
     return run
 
 
-def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 22, rounds: int = 4) -> DataFrame:
+def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 22) -> DataFrame:
     """Write the shards to the shared folder; returns the table of shards read back."""
     d = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).withColumn("h", F.xxhash64("text"))
     ordered = d.repartitionByRange("id", "h").sortWithinPartitions("id", "h").select("id", "text")
-    return materialise(ordered.mapInArrow(_writer(tokenizer_path, shard_tokens, rounds), SHARD), "tokens")
+    return materialise(ordered.mapInArrow(_writer(tokenizer_path, shard_tokens), SHARD), "tokens")
 
 
 def _reader(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -280,6 +280,32 @@ def test_repair_round_trip():
     assert len(token_output.Shard(token_output.pack(ids[:0])).ids()) == 0
 
 
+def _most_often(seq):
+    """The most occurrences of a pair without overlap, one by one."""
+    seen: dict = {}
+    for i, pair in enumerate(zip(seq.tolist(), seq[1:].tolist(), strict=False)):
+        n, last = seen.get(pair, (0, -2))
+        if i > last + 1 or pair[0] != pair[1]:
+            seen[pair] = (n + 1, i)
+    return max((n for n, _ in seen.values()), default=0)
+
+
+def test_repair_leaves_no_frequent_pair():
+    dice = np.random.default_rng(7)
+    passage = dice.integers(0, 60_000, 3000)
+    skewed = np.concatenate([x for _ in range(40) for x in (passage, dice.zipf(1.5, 200) % 500)])
+    cases = [skewed, np.full(100_003, 5), np.tile([1, 1, 2], 5000), dice.integers(0, 3, 20_000), np.arange(100_000), np.array([70_000] * 20)]
+    for ids in (x.astype(np.uint32) for x in cases):
+        seq, rules, base = token_output.repair(ids)
+        assert _most_often(seq) < 4
+        data = token_output.pack(ids)
+        shard = token_output.Shard(data)
+        assert (shard.ids() == ids).all() and (shard.range(777, 9999) == ids[777:9999]).all()
+    assert len(token_output.repair(np.full(1 << 20, 5))[0]) < 16 and len(token_output.repair(skewed.astype(np.uint32))[0]) < 4 * 40 * 200
+    with pytest.raises(RuntimeError):
+        token_output.repair(skewed, rounds=2)
+
+
 def test_token_files(docs, empty):
     from tokenizers import Tokenizer
 
