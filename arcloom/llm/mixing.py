@@ -130,21 +130,21 @@ def domain_labels(labels: DataFrame) -> DataFrame:
     return labels.select("doc_id", F.when(F.col("toxic") == 1, 2).when((F.col("toxic") == 0) & (F.col("quality") == 0), 1).when((F.col("toxic") == 0) & (F.col("quality") == 1), 0).alias("domain"))
 
 
-def document_rates(docs: DataFrame, labels: DataFrame, weights: list[float], keep: list[str], upsample: bool = True, learn_from: DataFrame | None = None) -> tuple[DataFrame, dict]:
+def document_rates(docs: DataFrame, labels: DataFrame, weights: list[float], keep: list[str], learn_from: DataFrame | None = None) -> tuple[DataFrame, dict]:
     """``keep``, n_tokens, posteriors and rate. ``weights``: wanted share of tokens by domain.
 
     The classifier is fitted on labelled documents of ``learn_from`` (``docs`` by default).
-    The budget keeps the expected tokens of domain 0 as they are; without ``upsample`` no domain gets more than it has.
+    The budget keeps the expected tokens of domain 0 as they are; rates of a domain that has too little rise over 1.
+    Also returns wanted and attained tokens and shares.
     """
     model, priors = fit(docs if learn_from is None else learn_from, labels)
     members = materialise(posteriors(docs, model, priors, keep), "members")
     k = range(len(weights))
     have = [x or 0.0 for x in members.agg(*[F.sum(F.col("n_tokens") * F.col(f"p{i}")) for i in k]).first()]
     targets = [have[0] * w / weights[0] for w in weights]
-    if not upsample:
-        targets = [min(t, h) for t, h in zip(targets, have, strict=True)]
     rate, said = fit_rates(members, targets)
-    return members.withColumn("rate", rate), said | {"targets": targets, "have": have}
+    shares = {name: [x / max(sum(by), 1e-300) for x in by] for name, by in (("wanted", targets), ("attained", said["attained"]), ("before", have))}
+    return members.withColumn("rate", rate), said | {"targets": targets, "have": have, "shares": shares}
 
 
 def draw(docs: DataFrame, rates: DataFrame, id_col: str = "doc_id", text_col: str = "text", seed: int = 11) -> DataFrame:

@@ -7,6 +7,8 @@ the shared folder.
 
 from __future__ import annotations
 
+import logging
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -14,6 +16,8 @@ from arcloom.llm import decontamination, mixing, ngram_join, quality, token_outp
 from arcloom.llm.common import materialise, table
 
 
+log = logging.getLogger(__name__)
+
 #: Wanted shares of tokens that are clean, poor and toxic; the quality stage has left few of the latter.
 SHARES = [0.9985, 0.001, 0.0005]
 
@@ -34,9 +38,10 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents drawn at the fitted rates; no domain is drawn beyond what it has. The classifier learns from the whole table of documents."""
+    """Documents drawn at the fitted rates, those of a short domain more than once. The classifier learns from the whole table of documents."""
     keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash"))
-    rates, _ = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), SHARES, ["doc_id", "text_hash"], upsample=False, learn_from=table(spark, sf_dir, "documents"))
+    rates, said = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), SHARES, ["doc_id", "text_hash"], learn_from=table(spark, sf_dir, "documents"))
+    log.log(logging.INFO if said["converged"] else logging.WARNING, "mixing: converged %s, shares %s", said["converged"], said["shares"])
     return mixing.draw(docs, rates)
 
 

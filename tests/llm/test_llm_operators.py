@@ -122,6 +122,21 @@ def test_mixing(spark, empty):
     assert mixing.document_rates(empty, mixing.domain_labels(labels), [1.0, 0.1, 0.1], ["doc_id"])[0].count() == 0
 
 
+def test_pipeline_mixing_meets_its_shares(spark, tmp_path, caplog):
+    """Domains that have less than is asked for are raised, and what is attained is said."""
+    import corpus_pipeline
+
+    rows = [(i, f"good words number {i % 7} here and some more of them {i}") for i in range(2000)] + [(5000 + i, f"bad awful words {i}") for i in range(40)] + [(6000 + i, f"you idiot {i}") for i in range(40)]
+    every = spark.createDataFrame(rows, "doc_id long, text string")
+    every.write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, int(i < 5000), int(i >= 6000)) for i, _ in rows], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    short = every.where("doc_id < 5001 or doc_id = 6000")
+    with caplog.at_level("INFO", "corpus_pipeline"):
+        drawn = {r.doc_id: r["count"] for r in corpus_pipeline.mix(spark, short, str(tmp_path)).groupBy("doc_id").count().collect()}
+    assert "converged True" in caplog.text
+    assert drawn[5000] > 1 and drawn[6000] > 1
+
+
 def test_best_fit_decreasing_against_one_by_one():
     dice = np.random.default_rng(2)
     sizes = dice.integers(1, 40, 300).tolist()
