@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import atexit
 import contextlib
 import ctypes
 import math
+import shutil
 import tempfile
 import uuid
-from collections.abc import Sequence
+from collections.abc import Iterable, Sequence
 
 import numpy as np
 import pyarrow as pa
@@ -26,12 +28,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def unused(taken: Iterable[str], *wanted: str) -> str | list[str]:
+    """Column names that none of ``taken`` clashes with, whatever its case."""
+    seen = {c.lower() for c in taken}
+    out = []
+    for name in wanted:
+        while name.lower() in seen:
+            name += "_"
+        seen.add(name.lower())
+        out.append(name)
+    return out if len(out) > 1 else out[0]
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names for checkpoints; a folder of our own only where none is named."""
+    """The folder that the cluster names for checkpoints. Where none is named, one of our own in local mode; elsewhere that raises, as executors share no such folder."""
     sc = spark.sparkContext
     named = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not named:
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         named = f"file://{tempfile.mkdtemp(prefix='arcloom-')}"
+        atexit.register(shutil.rmtree, named.removeprefix("file://"), ignore_errors=True)
         sc.setCheckpointDir(named)
     return named.rstrip("/")
 
@@ -41,7 +58,18 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/arcloom/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_to = path
+    return out
+
+
+def release(*tables: DataFrame | None) -> None:
+    """Delete materialised tables that nothing reads any more."""
+    for df in tables:
+        if path := getattr(df, "_written_to", None):
+            jvm = df.sparkSession._jvm
+            where = jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
 
 
 def gapless_rank(df: DataFrame, keys: Sequence[str], order: Sequence[str], out: str, rows: int, per_part: int = 100_000) -> DataFrame:

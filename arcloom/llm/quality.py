@@ -4,13 +4,16 @@ Grades are ordered: 0 toxic, 1 poor, 2 good. One weight vector over hashed words
 document along the scale, ordered thresholds cut it: P(grade <= k) = sigmoid(t_k - w.x). That gives the expected
 grade and the tail probability P(grade = best), by which documents are selected.
 
-Fitting takes a bounded sample: the ``sample`` labelled documents with the smallest hash of their id (documented
-parameter); a quarter of it is held out to set the cut so that ``keep_good`` of good documents stay. Proximal
-gradient steps with an L1 penalty leave weights on telling words only. Scoring is one scan of all whole texts.
-
-Null or empty text: no words, scored by the thresholds alone. Null labels are not used. A document with several
-labels has its worst grade. Fewer than two grades in the sample: everything is kept. Repeated rows get equal scores.
-Empty table: no rows. Other columns pass through ``select_documents`` untouched and are not read otherwise.
+Fitting takes a bounded sample: the ``sample`` labelled documents with the smallest hash of their id, and of those as
+many as have ``sample_bytes`` of features (documented parameters); a quarter, chosen by hash, is held out to set the cut so
+that ``keep_good`` of good documents stay. The sample is put in the order of its hashes, so model and cut do not depend
+on how the tables are laid out. Proximal gradient steps with an L1 penalty leave weights on telling words only.
+Scoring is one scan of all whole texts, a few MB at a time.
+
+Null or empty text: no words, scored by the thresholds alone. Very long texts are scored whole. Null labels are not
+used. A document with several labels has its worst grade, one with several rows is learnt from all. Fewer than two grades in the sample: everything
+is kept. Repeated rows get equal scores. Empty table: no rows. Other columns pass through untouched, whatever
+their names, and are not read otherwise.
 """
 
 from __future__ import annotations
@@ -25,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import TokenHasher, slices, table, tidy
+from .common import TokenHasher, materialise, slices, table, tidy, unused
 
 BITS = 18
 #: Style shares: of tokens that are capitals, end in several marks, are a lone bar, or repeat the token before.
@@ -127,18 +130,26 @@ def _extract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
             rows, features, style = make(texts.slice(a, b - a))
             cut = np.searchsorted(rows, np.arange(b - a + 1))
-            yield pa.RecordBatch.from_pydict({"grade": batch.column("grade").slice(a, b - a), "features": pa.array([features[x:y].astype("<i4").tobytes() for x, y in zip(cut[:-1], cut[1:], strict=True)], pa.binary()), "style": pa.array([s.tobytes() for s in style], pa.binary())})
+            mine = [features[x:y].astype("<i4").tobytes() for x, y in zip(cut[:-1], cut[1:], strict=True)]
+            yield pa.RecordBatch.from_pydict({"place": batch.column("place").slice(a, b - a), "id": batch.column("id").slice(a, b - a), "grade": batch.column("grade").slice(a, b - a), "features": pa.array(mine, pa.binary()), "style": pa.array([s.tobytes() for s in style], pa.binary())})
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, keep_good: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> OrdinalModel:
+def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, sample_bytes: int = 1 << 28, keep_good: float = 0.999, id_col: str = "doc_id", text_col: str = "text") -> OrdinalModel:
     """``labels`` has (id, grade int). The sample's features, a few KB each, come to the driver."""
     chosen = labels.select(F.col(id_col).alias("id"), F.col("grade").cast("int").alias("grade")).where("id is not null and grade is not null").groupBy("id").agg(F.min("grade").alias("grade")).orderBy(F.xxhash64("id"), "id").limit(sample)
     d = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    got = d.join(F.broadcast(chosen), "id").select("grade", "text").mapInArrow(_extract, "grade int, features binary, style binary").toArrow()
-    grade = got.column("grade").to_numpy().astype(np.int64)
-    each = [np.frombuffer(x, "<i4").astype(np.int64) for x in got.column("features").to_pylist()]
-    style = np.array([np.frombuffer(x) for x in got.column("style").to_pylist()]).reshape(-1, DENSE)
-    held_out = np.arange(len(grade)) % 4 == 3
+    marked = d.join(F.broadcast(chosen), "id").select(F.xxhash64("id").alias("place"), F.col("id").cast("string").alias("id"), "grade", "text")
+    ordered = materialise(marked.mapInArrow(_extract, "place long, id string, grade int, features binary, style binary"), "sample").orderBy("place", "id", "features", "style")
+    grade, each, style, fold, held = [], [], [], [], 0
+    for r in ordered.toLocalIterator():
+        held += len(r["features"]) + len(r["style"])
+        if held > sample_bytes:
+            break
+        grade.append(r["grade"])
+        each.append(np.frombuffer(r["features"], "<i4").astype(np.int64))
+        style.append(np.frombuffer(r["style"]))
+        fold.append(r["place"] // 7 % 4 == 3)
+    grade, style, held_out = np.array(grade, np.int64), np.array(style).reshape(-1, DENSE), np.array(fold, bool)
     order = [np.flatnonzero(~held_out), np.flatnonzero(held_out)]
     flat = lambda ix: (np.repeat(np.arange(len(ix)), [len(each[i]) for i in ix]), np.concatenate([each[i] for i in ix]) if len(ix) else np.zeros(0, np.int64), style[ix])
     model = fit_ordinal(*flat(order[0]), grade[order[0]])
@@ -148,12 +159,13 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 12_000, keep_good: f
     return model
 
 
-def score_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text") -> DataFrame:
-    """All columns of ``docs`` and struct ``_quality`` (expected_grade, tail_prob, keep)."""
-    spark = docs.sparkSession
-    shared = spark.sparkContext.broadcast(model)
+def score_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text", out: str = "quality") -> DataFrame:
+    """All columns of ``docs`` and a struct ``out`` (expected_grade, tail_prob, keep); a column of that name raises."""
     names = docs.columns
-    schema = T.StructType([*docs.schema.fields, T.StructField("_quality", T.StructType([T.StructField("expected_grade", T.DoubleType()), T.StructField("tail_prob", T.DoubleType()), T.StructField("keep", T.BooleanType())]))])
+    if out in names:
+        raise ValueError(f"the documents have a column {out}")
+    shared = docs.sparkSession.sparkContext.broadcast(model)
+    schema = T.StructType([*docs.schema.fields, T.StructField(out, T.StructType([T.StructField("expected_grade", T.DoubleType()), T.StructField("tail_prob", T.DoubleType()), T.StructField("keep", T.BooleanType())]))])
     at = names.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -164,7 +176,7 @@ def score_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text"
                 part = batch.slice(a, b - a)
                 expected, tail = m.scores(m.margin(*make(part.column(at))))
                 quality = pa.StructArray.from_arrays([pa.array(expected), pa.array(tail), pa.array(tail >= m.cut)], ["expected_grade", "tail_prob", "keep"])
-                yield pa.RecordBatch.from_arrays([*part.columns, quality], names=[*names, "_quality"])
+                yield pa.RecordBatch.from_arrays([*part.columns, quality], names=[*names, out])
         tidy()
 
     return docs.mapInArrow(run, schema)
@@ -172,7 +184,8 @@ def score_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text"
 
 def select_documents(docs: DataFrame, model: OrdinalModel, text_col: str = "text") -> DataFrame:
     """The documents that are kept, with their own columns."""
-    return score_documents(docs, model, text_col).where("_quality.keep").drop("_quality")
+    out = unused(docs.columns, "quality")
+    return score_documents(docs, model, text_col, out).where(F.col(out)["keep"]).drop(out)
 
 
 def graded(labels: DataFrame) -> DataFrame:
@@ -184,7 +197,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The selected documents, with expected grade and tail probability."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = train(docs, graded(table(spark, sf_dir, "labels")))
-    return score_documents(docs, model).where("_quality.keep").select("doc_id", "_quality.expected_grade", "_quality.tail_prob", "_quality.keep")
+    return score_documents(docs, model).where("quality.keep").select("doc_id", "quality.expected_grade", "quality.tail_prob", "quality.keep")
 
 
 QUERIES = {"op10_quality": op10_quality}

@@ -259,29 +259,61 @@ def test_windows_against_brute_force():
         assert all(any(a < d and c < b for c, d in got) for a, b in ok)
 
 
+def exact_neighbours(ids, x, q, k):
+    """The k nearest of query ``q`` by plain scoring, ties to the smaller id."""
+    s = (x * x[np.flatnonzero(ids == q)[0]]).sum(1)
+    other = ids != q
+    best = np.lexsort((ids[other], -s[other]))[:k]
+    return list(zip(ids[other][best].tolist(), s[other][best].tolist(), strict=True))
+
+
+def found_neighbours(index, queries, **how):
+    got: dict = {}
+    for r in ann.search(index, queries, **how).orderBy("query_id", "rank").collect():
+        assert r.rank == len(got.setdefault(r.query_id, [])) + 1
+        got[r.query_id].append((r.vec_id, r.score))
+    return got
+
+
 def test_ann(spark):
+    """Clustered vectors: high recall from few parts; ranks, scores and ties are exact among what is found."""
     dice = np.random.default_rng(3)
-    x = dice.standard_normal((3000, 16)).astype(np.float32)
+    x = (dice.standard_normal((30, 16))[dice.integers(0, 30, 3000)] + 0.3 * dice.standard_normal((3000, 16))).astype(np.float32)
+    x[2980:] = x[0]
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(5000, x[0].tolist()), (5001, None), (5002, [0.0] * 16), (5003, [float("nan")] + [1.0] * 15), (5004, [None] + [1.0] * 15), (5005, [1.0])]
     table = spark.createDataFrame(rows, "vec_id long, embedding array<float>").withColumn("part", F.lit("clash"))
-    valid, index, router, dim = ann.build_index(table, parts=8, chunk=500)
-    assert valid.count() == 3001
-    got: dict = {}
-    for r in ann.search(index, valid.where("id % 20 = 0"), router, dim, chunk=64).orderBy("query_id", "rank").collect():
-        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    index = ann.build_index(table, chunk=500)
+    assert index.vectors.count() == 3001 and index.router.parts == 55 and index.router.probes < 20
+    got = found_neighbours(index, index.vectors.where("id % 20 = 0"), chunk=64)
     ids, full = np.append(np.arange(3000), 5000), np.concatenate([x, x[:1]]).astype(float)
     hit = 0
     for q in (i for i in ids if i % 20 == 0):
-        s = (full * full[np.flatnonzero(ids == q)[0]]).sum(1)
-        s[ids == q] = -np.inf
-        best = set(ids[np.lexsort((ids, -s))[:20]].tolist())
-        hit += len(best & {v for v, _ in got[q]})
-        assert len(got[q]) == 20
+        want = exact_neighbours(ids, full, q, 20)
+        hit += len({v for v, _ in want} & {v for v, _ in got[q]})
+        assert len(got[q]) == 20 and got[q] == sorted(got[q], key=lambda r: (-r[1], r[0]))
+        assert all(s == (full[np.flatnonzero(ids == v)[0]] * full[np.flatnonzero(ids == q)[0]]).sum() for v, s in got[q])
     assert hit / (20 * len(got)) >= 0.9
+    assert got[0] == exact_neighbours(ids, full, 0, 20)  # equal vectors: by id
     few = ann.build_index(table.where("vec_id < 5"))
-    assert ann.search(few[1], few[0].where("id = 0"), few[2], few[3]).count() == 4
+    assert ann.search(few, few.vectors.where("id = 0")).count() == 4
     none = ann.build_index(table.limit(0))
-    assert ann.search(none[1], none[0], none[2], none[3]).count() == 0
+    assert ann.search(none, none.vectors).count() == 0
+
+
+def test_ann_on_the_given_table(spark):
+    """Vectors without any structure: parts are fitted and recall holds."""
+    index = ann.build_index(spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet"))
+    assert 40 <= index.router.parts <= 50 and 1 < index.router.probes < index.router.parts
+    rows = index.vectors.collect()
+    ids, x = np.array([r.id for r in rows]), np.array([r.v for r in rows])
+    got = found_neighbours(index, index.vectors.where("id % 20 = 0"))
+    assert set(got) == {i for i in ids.tolist() if i % 20 == 0}
+    assert np.mean([len({v for v, _ in got[q]} & {v for v, _ in exact_neighbours(ids, x, q, 20)}) / 20 for q in got]) >= 0.9
+
+
+def test_bundles_hold_every_part():
+    assert ann.bundles(np.array([5, 4, 1, 30, 2, 2]), 10).tolist() == [0, 0, 0, 1, 2, 2]
+    assert len(ann.bundles(np.zeros(0, np.int64), 10)) == 0
 
 
 def test_repair_round_trip():
@@ -358,12 +390,54 @@ def test_quality(spark, docs, empty):
     assert kept.columns == every.columns
     ids = {r.doc_id for r in kept.collect()}
     assert set(range(80)) <= ids and not ids & set(range(100, 300))
-    scores = quality.score_documents(every, model).select("_quality.*").collect()
+    scores = quality.score_documents(every, model).select("quality.*").collect()
     assert all(0 <= s.expected_grade <= 2 and 0 <= s.tail_prob <= 1 for s in scores)
     untrained = quality.train(every, quality.graded(labels).limit(0))
     assert quality.select_documents(every, untrained).count() == every.count()
     assert quality.select_documents(empty, model).count() == 0
 
 
+def test_quality_does_not_depend_on_the_layout(spark):
+    """One model, one cut and one kept set however the tables are laid out; all rows agree with plain scoring."""
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
+    docs = docs.select("doc_id", "text", F.lit(7).alias("quality"))
+    made = [quality.train(docs.repartition(n), quality.graded(labels).repartition(n)) for n in (1, 7, 16)]
+    assert all(m.cut == made[0].cut and (m.weights == made[0].weights).all() and (m.thresholds == made[0].thresholds).all() for m in made)
+    m, make = made[0], quality.Features()
+    rows, scored = docs.collect(), {r.doc_id: r.q for r in quality.score_documents(docs, m, out="q").collect()}
+    for r in rows:
+        _, features, style = make(pa.array([r.text]))
+        margin = sum(m.weights[f] for f in features.tolist()) + float((style[0] * m.style).sum())
+        below = [1 / (1 + math.exp(margin - t)) for t in m.thresholds]
+        assert abs(scored[r.doc_id].expected_grade - (2 - sum(below))) < 1e-9 and abs(scored[r.doc_id].tail_prob - (1 - below[1])) < 1e-9
+        assert scored[r.doc_id].keep == (scored[r.doc_id].tail_prob >= m.cut)
+    kept = quality.select_documents(docs, m)
+    assert kept.columns == docs.columns and {r.quality for r in kept.collect()} == {7}
+    assert {r.doc_id for r in kept.collect()} == {i for i, s in scored.items() if s.keep}
+    with pytest.raises(ValueError):
+        quality.score_documents(docs, m)
+
+
+def test_ordinal_fit_lowers_the_likelihood_and_orders_grades():
+    """Against plain numbers: the fitted loss is a minimum along every weight and threshold."""
+    dice = np.random.default_rng(1)
+    true = np.array([2.0, -2.0, 0.0, 1.0])
+    x = (dice.random((600, 4)) < 0.5).astype(float)
+    grade = np.searchsorted([-1.0, 1.0], x @ true + dice.logistic(size=600))
+    rows, features = np.nonzero(x)
+    m = quality.fit_ordinal(rows, features, np.zeros((600, 1)), grade, steps=3000, l1=0.0, width=4)
+
+    def loss(w, t):
+        edge = 1 / (1 + np.exp(-(np.concatenate([[-60.0], t, [60.0]])[None, :] - (x @ w)[:, None])))
+        return -np.log(edge[np.arange(600), grade + 1] - edge[np.arange(600), grade]).mean()
+
+    least = loss(m.weights, m.thresholds)
+    assert least < loss(np.zeros(4), m.thresholds) and m.thresholds[0] < m.thresholds[1]
+    for i in range(4):
+        for step in (-0.2, 0.2):
+            assert loss(m.weights + step * np.eye(4)[i], m.thresholds) > least
+    assert (np.sign(m.weights[[0, 1, 3]]) == [1, -1, 1]).all()
+
+
 def test_words():
     assert words("It's A-b  Été_x\n9") == ["it", "s", "a", "b", "été", "x", "9"] and words(None) == []
