@@ -72,6 +72,15 @@ def release(*tables: DataFrame | None) -> None:
             where.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(where, True)
 
 
+#: Bytes up to which a counted table is broadcast.
+BROADCAST_BYTES = 32 << 20
+
+
+def small(df: DataFrame, row_bytes: int = 24) -> DataFrame:
+    """``df`` to be broadcast if its rows, which are counted, are within bounds; else a join shuffles it."""
+    return F.broadcast(df) if df.count() * row_bytes <= BROADCAST_BYTES else df
+
+
 def gapless_rank(df: DataFrame, keys: Sequence[str], order: Sequence[str], out: str, rows: int, per_part: int = 100_000) -> DataFrame:
     """Number the rows of each key from 0 without gaps, in parts of about ``per_part`` rows.
 

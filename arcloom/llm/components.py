@@ -5,33 +5,51 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, release
+
+#: Keys with one in so many of all rows are hubs; there are no more hubs than that, which bounds what is broadcast.
+HUB_SHARE = 1 << 16
+
+
+def keyed_join(rows: DataFrame, per_key: DataFrame, keys: list[str], total: int, count: str = "n", least: int = 256) -> DataFrame:
+    """``rows`` with the columns of ``per_key``, which has a row a key and the number of its rows in ``count``.
+
+    The rows of a hub do not meet in one task: what belongs to hubs is broadcast, the rest is shuffled.
+    """
+    hub = F.col(count) >= max(least, total // HUB_SHARE)
+    hubs = per_key.where(hub)
+    if hubs.isEmpty():
+        return rows.join(per_key, keys)
+    few = rows.join(F.broadcast(hubs.select(*keys)), keys, "left_anti").join(per_key.where(~hub), keys)
+    return few.unionByName(rows.join(F.broadcast(hubs), keys))
 
 
 def _symmetric(edges: DataFrame) -> DataFrame:
     return edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
 
 
-def connected_components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+def connected_components(edges: DataFrame) -> DataFrame:
     """(node, root) for every node of edges (a, b) of long ids; root is the smallest id of the component.
 
     A large-star step links every larger neighbour of a node to the node's least neighbour, a small-star step does so
-    for the smaller ones. Both are a minimum and a join, so that a hub's neighbours never meet in one task. Loops
-    are ignored. No edges: no rows.
+    for the smaller ones. Both are a minimum and a join that spares hubs, so that a hub's neighbours never meet in one
+    task. Loops are ignored. No edges: no rows. Rounds go on until nothing changes, about as many as the logarithm of the nodes.
     """
     now = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "links")
     mark = None
-    for _ in range(most_rounds):
+    while True:
+        total = 2 * now.count()
         both = _symmetric(now)
-        least = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select(F.explode(F.when(F.col("b") > F.col("m"), F.array(F.struct(F.col("b").alias("a"), F.col("m").alias("b")), F.struct("a", F.col("m").alias("b")))).otherwise(F.array(F.struct("a", F.col("m").alias("b"))))).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
-        now = materialise(small, "links")
+        least = materialise(both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n"), "least")
+        large = materialise(keyed_join(both, least, ["a"], total).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct(), "large")
+        lower = materialise(large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")), "lower")
+        star = F.when(F.col("b") > F.col("m"), F.array(F.struct(F.col("b").alias("a"), F.col("m").alias("b")), F.struct("a", F.col("m").alias("b")))).otherwise(F.array(F.struct("a", F.col("m").alias("b"))))
+        small = keyed_join(large, lower, ["a"], total).select(F.explode(star).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
+        new = materialise(small, "links")
+        release(now, least, large, lower)
+        now = new
         seen = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(seen) == mark:
             break
         mark = tuple(seen)
-    else:
-        raise RuntimeError("components did not settle")
     return now.select(F.col("a").alias("node"), F.col("b").alias("root")).unionByName(now.select(F.col("b").alias("node"), F.col("b").alias("root"))).distinct()

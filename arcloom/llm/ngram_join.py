@@ -1,23 +1,26 @@
 """N-gram Jaccard self-join by a MinHash LSH forest with exact verification.
 
-Every distinct shingle set gets ``trees`` labels of ``depth`` MinHash values; a label is a path of a prefix tree,
-and sets that share a prefix are candidates. ``forest_depth`` starts from whole labels and shortens the matched
-prefix until a pair at the threshold is met in some tree with the target recall. Sets that share prefixes fall into
-candidate groups (connected components over prefixes), and every pair inside a group is verified exactly, so a pair
-is verified once and more pairs are found than share a prefix.
-
-Copies never multiply: documents with one shingle set are one unit from the start. Groups are verified as products of
-0/1 matrices in tiles of at most ``tile`` x ``tile`` units; a tile returns a count and a link per unit, never
-pairs, and a large group is many tiles in many tasks.
+Every distinct shingle set gets a label of MinHash values in each of ``trees`` prefix trees, and sets that share a
+prefix are candidates. ``forest_depth`` starts from whole labels and shortens the matched prefix until a pair at the
+threshold is met in some tree with the target recall. That depends on threshold, trees and target alone, so it is settled
+before the join and only prefixes of that length are kept. Sets that share prefixes fall into candidate groups (connected components
+over prefixes). A group of at most ``tile`` sets is verified whole, so that each of its sets travels once however many
+prefixes it shares. The sets of larger groups are put in the order of their prefixes and cut into blocks of ``tile``;
+two blocks are compared where some prefix is in both. A pair is verified exactly, in one place.
+
+Copies never multiply: documents with one shingle set are one unit from the start. Pairs are verified as products of
+0/1 matrices of at most ``tile`` x ``tile`` units; a tile returns a count and a link per unit, never pairs, and
+a large group is many tiles in many tasks. Joins on prefixes, groups and nodes spare hubs.
 
 Result, a row per document: ``class_id`` (smallest doc_id linked directly or through others; copies included),
 ``copy_of`` (smallest doc_id with the same shingle set), ``n_copies`` (documents with that set), ``n_links`` (other
-distinct shingle sets at the threshold or above).
+distinct shingle sets at the threshold or above), ``class_key`` (least hash of a set of the class).
 
 Words are lower-case, ASCII punctuation apart. Fewer than five words make one shingle; a text without words (null,
 empty, marks only) is a class of its own without copies or links. Null ids: such rows take part; their ids stay null in
-the result and their class is that of their set. Rows with one id are told apart by their set. Empty table: no rows.
-Other columns are not read.
+the result and their class is that of their set. Rows with one id and different texts are told apart by their set: of
+classes with one smallest id, the one with the least key is named by the id, the others (and classes without ids) by
+their key. Very long texts are shingled whole. Empty table: no rows. Other columns are not read.
 """
 
 from __future__ import annotations
@@ -31,9 +34,10 @@ import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from .common import TokenHasher, materialise, slices, table, tidy, words
-from .components import connected_components
+from .common import TokenHasher, materialise, slices, small, table, tidy, unused, words
+from .components import connected_components, keyed_join
 
 TREES, DEPTH, TARGET = 32, 10, 0.999
 
@@ -110,7 +114,7 @@ def _sign(n: int, trees: int, depth: int):
                         prefix[i] = p.view(np.int64)
                 digest = [(xxhash.xxh3_64_intdigest(s.tobytes()), xxhash.xxh64_intdigest(s.tobytes())) for s in sets]
                 signed = lambda xs: pa.array(np.array(xs, np.uint64).view(np.int64))
-                yield pa.RecordBatch.from_pydict({"id": batch.column("id").slice(a, b - a), "h1": signed([x for x, _ in digest]), "h2": signed([y for _, y in digest]), "size": pa.array([len(s) for s in sets], pa.int32()), "prefixes": pa.array(prefix, pa.list_(pa.int64()))})
+                yield pa.RecordBatch.from_pydict({"id": batch.column("id").slice(a, b - a), "text_hash": batch.column("text_hash").slice(a, b - a), "h1": signed([x for x, _ in digest]), "h2": signed([y for _, y in digest]), "size": pa.array([len(s) for s in sets], pa.int32()), "prefixes": pa.array(prefix, pa.list_(pa.int64()))})
         tidy()
 
     return run
@@ -215,48 +219,69 @@ def _spanning(alike: np.ndarray, n: int) -> list[tuple[int, int]]:
 
 
 def jaccard_classes(docs: DataFrame, threshold: float = 0.8, n: int = 5, trees: int = TREES, depth: int = DEPTH, target: float = TARGET, tile: int = 512, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, h1, h2, class_id, copy_of, n_copies, n_links), a row per row of ``docs``."""
+    """(id, text_hash, h1, h2, class_id, copy_of, n_copies, n_links, class_key), a row per row of ``docs``."""
     depth = forest_depth(threshold, trees, depth, target)
     d = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text"))
-    signed = materialise(d.mapInArrow(_sign(n, trees, depth), "id long, h1 long, h2 long, size int, prefixes array<long>"), "signatures")
+    signed = materialise(d.withColumn("text_hash", F.xxhash64("text")).mapInArrow(_sign(n, trees, depth), "id long, text_hash long, h1 long, h2 long, size int, prefixes array<long>"), "signatures")
     by = ["h1", "h2"]
     units = signed.where("size > 0").groupBy(*by).agg(F.min("id").alias("copy_of"), F.count("*").alias("n_copies"), F.first("prefixes").alias("prefixes"))
-    units = materialise(units.withColumn("unit", F.coalesce("copy_of", "h1")), "units")
+    units = materialise(units.withColumn("unit", F.monotonically_increasing_id()), "units")
 
     paths = units.select("unit", F.posexplode("prefixes").alias("tree", "path"))
     found = paths.groupBy("tree", "path").agg(F.count("*").alias("n"), F.min("unit").alias("low"), F.sum(F.xxhash64("unit").cast("decimal(20,0)")).alias("sig")).where("n > 1")
-    found = found.groupBy("n", "low", "sig").agg(F.min(F.struct("tree", "path")).alias("k")).select("k.tree", "k.path", "low")
-    near = paths.join(found, ["tree", "path"]).where("unit <> low").select(F.col("unit").alias("a"), F.col("low").alias("b")).distinct()
+    found = materialise(found.groupBy("n", "low", "sig").agg(F.min(F.struct("tree", "path")).alias("k")).select("k.tree", "k.path", "low", "n"), "prefixes")
+    near = keyed_join(paths, found, ["tree", "path"], trees * units.count()).where("unit <> low").select(F.col("unit").alias("a"), F.col("low").alias("b")).distinct()
     groups = connected_components(near)
 
-    sizes = groups.groupBy("root").agg(F.count("*").alias("members"))
-    member = groups.join(sizes, "root").withColumn("blocks", F.ceil(F.col("members") / tile).cast("int"))
-    member = member.withColumn("own", F.pmod(F.xxhash64("node", F.lit(5)), F.col("blocks").cast("long")).cast("int"))
-    involved = materialise(member.join(units.select("unit", *by, "copy_of"), member["node"] == units["unit"]).select("unit", "root", "members", "blocks", "own", *by, "copy_of"), "involved")
+    sizes = materialise(groups.groupBy("root").agg(F.count("*").alias("members")), "groups")
+    total = sizes.agg(F.coalesce(F.sum("members"), F.lit(0))).first()[0]
+    member = keyed_join(groups, sizes, ["root"], total, "members").select(F.col("node").alias("unit"), "root", "members")
+    involved = materialise(member.join(units.select("unit", *by, "copy_of", "prefixes"), "unit"), "involved")
 
-    carriers = involved.select(F.col("copy_of").alias("id"), *by)
-    hosts = d.join(carriers.select("id").distinct(), d["id"].eqNullSafe(carriers["id"]), "left_semi")
+    carriers = involved.select(F.col("copy_of").alias("id")).distinct()
+    hosts = d.join(carriers, d["id"].eqNullSafe(carriers["id"]), "left_semi")
     sets = hosts.mapInArrow(_reshingle(n), "id long, h1 long, h2 long, shingles binary").dropDuplicates(by).select(*by, "shingles")
-    ready = materialise(involved.join(sets, by).select("unit", "root", "members", "blocks", "own", "shingles"), "sets")
-
-    # A group of one block is a tile (side 2) and shares a task with other small groups; larger ones are a tile for every pair of blocks.
-    total = ready.agg(F.count("*"), F.sum(F.octet_length("shingles"))).first()
-    bundles = max(8, -(-total[0] // 2048), -(-(total[1] or 0) // (1 << 23)))
-    small = ready.where("blocks = 1").select("unit", F.col("root").alias("grp"), F.lit(2).alias("side"), F.pmod(F.xxhash64("root"), F.lit(bundles)).alias("bundle"), "shingles")
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    big = ready.where("blocks > 1").withColumn("other", other)
-    low, high = F.least("own", "other"), F.greatest("own", "other")
-    tiles = F.xxhash64("root", low, high)
-    big = big.select("unit", tiles.alias("grp"), F.when(F.col("own") == F.col("other"), 2).when(F.col("own") < F.col("other"), 0).otherwise(1).alias("side"), (tiles.bitwiseOR(F.lit(-(2**63)))).alias("bundle"), "shingles")
-    links = materialise(small.unionByName(big).groupBy("bundle").applyInArrow(_verify_table(threshold), "unit long, n long, other long"), "links")
+    ready = materialise(involved.join(sets, by).select("unit", "root", "members", "shingles", F.when(F.col("members") > tile, F.col("prefixes")).alias("prefixes")), "sets")
+    links = materialise(_tiles(ready, tile).groupBy("bundle").applyInArrow(_verify_table(threshold), "unit long, n long, other long"), "verified")
 
     linked = links.where("other is null").groupBy("unit").agg(F.sum("n").alias("n_links"))
     classes = connected_components(links.where("other is not null").select(F.col("unit").alias("a"), F.col("other").alias("b")))
-    placed = units.join(linked, "unit", "left").join(classes, units["unit"] == classes["node"], "left")
-    firsts = placed.select("h1", "h2", "copy_of", "n_copies", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("root", "unit").alias("class_id"))
-    out = signed.select("id", *by, "size").join(firsts, by, "left")
+    placed = units.drop("prefixes").join(linked, "unit", "left").join(classes.withColumnRenamed("node", "unit"), "unit", "left")
+    firsts = _named(materialise(placed.select(*by, "copy_of", "n_copies", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("root", "unit").alias("root")), "placed"))
+    out = signed.select("id", "text_hash", *by, "size").join(firsts, by, "left")
     alone = F.col("size") == 0
-    return out.select(F.col("id").alias(id_col), *by, F.when(alone, F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.when(alone, F.col("id")).otherwise(F.col("copy_of")).alias("copy_of"), F.when(alone, F.lit(1).cast("long")).otherwise(F.col("n_copies")).alias("n_copies"), F.when(alone, F.lit(0).cast("long")).otherwise(F.col("n_links")).alias("n_links"))
+    own = {"class_id": F.col("id"), "copy_of": F.col("id"), "n_copies": F.lit(1).cast("long"), "n_links": F.lit(0).cast("long"), "class_key": F.xxhash64("id", "text_hash")}
+    return out.select(F.col("id").alias(id_col), "text_hash", *by, *[F.when(alone, x).otherwise(F.col(k)).alias(k) for k, x in own.items()])
+
+
+def _named(placed: DataFrame) -> DataFrame:
+    """Units with the name and key of their class, which is that of ``root``."""
+    each = materialise(placed.groupBy("root").agg(F.min("copy_of").alias("least"), F.min("h1").alias("class_key"), F.count("*").alias("n")), "classes")
+    taken = each.groupBy("least").agg(F.min("class_key").alias("first"), F.count("*").alias("many")).where("many > 1 and least is not null").drop("many")
+    named = each.join(taken, "least", "left").select("root", "n", "class_key", F.when(F.col("first") < F.col("class_key"), F.col("class_key")).otherwise(F.coalesce("least", "class_key")).alias("class_id"))
+    return keyed_join(placed, materialise(named, "names"), ["root"], placed.count()).drop("root", "n")
+
+
+def _tiles(ready: DataFrame, tile: int) -> DataFrame:
+    """(unit, grp, side, bundle, shingles): the units of each tile. Side 2: all pairs; else pairs of side 0 and side 1.
+
+    A small group is a tile and shares a task with others. Large groups are in the order of their prefixes; a tile is a block or a pair of blocks.
+    """
+    total = ready.agg(F.count("*"), F.sum(F.octet_length("shingles")), F.count(F.when(F.col("members") > tile, 1))).first()
+    bundles = max(8, -(-total[0] // 2048), -(-(total[1] or 0) // (1 << 23)))
+    out = ready.where(F.col("members") <= tile).select("unit", F.col("root").alias("grp"), F.lit(2).alias("side"), F.pmod(F.xxhash64("root"), F.lit(bundles)).alias("bundle"), "shingles")
+    if not total[2]:
+        return out
+    ranged = ready.where(F.col("members") > tile).withColumn("p0", F.col("prefixes")[0]).withColumn("p1", F.try_element_at("prefixes", F.lit(2))).repartitionByRange("root", "p0", "p1", "unit").sortWithinPartitions("root", "p0", "p1", "unit")
+    ranged = materialise(ranged.select("unit", "prefixes", "shingles", F.spark_partition_id().alias("part"), (F.monotonically_increasing_id() % (1 << 33)).alias("own")), "ranged")
+    before = ranged.groupBy("part").agg(F.count("*").alias("n")).select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    ranged = ranged.join(F.broadcast(before), "part").withColumn("block", F.floor((F.col("before") + F.col("own")) / tile)).drop("part", "own", "before")
+    held = materialise(ranged.select("block", F.posexplode("prefixes").alias("tree", "path")).distinct(), "blocks")
+    pairs = held.withColumnRenamed("block", "a").join(held.withColumnRenamed("block", "b"), ["tree", "path"]).where("a <= b").select("a", "b").distinct()
+    member = lambda block, side: F.struct(F.col(block).alias("block"), F.lit(side).alias("side"))
+    sides = pairs.select("a", "b", F.explode(F.when(F.col("a") == F.col("b"), F.array(member("a", 2))).otherwise(F.array(member("a", 0), member("b", 1)))).alias("t")).select(F.xxhash64("a", "b").alias("grp"), "t.block", "t.side")
+    big = ranged.join(sides, "block").select("unit", "grp", "side", F.col("grp").bitwiseOR(F.lit(-(2**63))).alias("bundle"), "shingles")
+    return out.unionByName(big)
 
 
 def _verify_table(threshold: float):
@@ -272,14 +297,23 @@ def _verify_table(threshold: float):
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
     """``docs`` with all columns and one row of each class, the one with the smallest id.
 
-    Rows without an id are kept. Of rows that share id and text one stays; rows that share an id but not the text are
-    one document and stay or go together.
+    Rows without an id are kept. Of rows that share id and text one stays. Rows without words are classes of their own.
     """
     known = docs.where(F.col(id_col).isNotNull())
-    classes = jaccard_classes(known, id_col=id_col, text_col=text_col, **params)
-    keepers = classes.where(F.col(id_col) == F.col("class_id")).select(F.col(id_col).alias("_keeper")).distinct()
-    kept = known.join(keepers, known[id_col] == keepers["_keeper"], "left_semi").withColumn("_text_hash", F.xxhash64(text_col))
-    return kept.dropDuplicates([id_col, "_text_hash"]).drop("_text_hash").unionByName(docs.where(F.col(id_col).isNull()))
+    each = materialise(jaccard_classes(known, id_col=id_col, text_col=text_col, **params).select(F.col(id_col).alias("id"), "text_hash", "h1", "h2", "class_key"), "classes")
+    me = F.struct("id", "h1", "h2", "text_hash")
+    best = materialise(each.groupBy("class_key").agg(F.min(me).alias("best"), F.count("*").alias("n")).where("n > 1"), "keepers")
+    hash_, lost_id, lost_hash = unused(docs.columns, "text_hash", "lost_id", "lost_hash")
+    names = [F.col("id").alias(lost_id), F.col("text_hash").alias(lost_hash)]
+    lost = small(materialise(keyed_join(each, best, ["class_key"], each.count()).where(me != F.col("best")).select(*names).distinct(), "lost"))
+    twice = materialise(each.groupBy("id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").select(*names), "twice")
+    marked = known.withColumn(hash_, F.xxhash64(F.col(text_col).cast("string")))
+    same = (marked[id_col].cast("long") == F.col(lost_id)) & (marked[hash_] == F.col(lost_hash))
+    kept = marked.join(lost, same, "left_anti")
+    if not twice.isEmpty():
+        twice = small(twice)
+        kept = kept.join(twice, same, "left_anti").unionByName(kept.join(twice, same, "left_semi").dropDuplicates([id_col, hash_]))
+    return kept.drop(hash_).unionByName(docs.where(F.col(id_col).isNull()))
 
 
 def op3_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -84,12 +84,80 @@ def test_jaccard_classes(spark, docs, empty):
     assert got[1].n_copies == 3 and got[3].copy_of == 1
     assert got[4].class_id == 4 and got[5].class_id == 5 and got[6].n_links == 0
     assert ngram_join.jaccard_classes(empty).count() == 0
-    kept = ngram_join.drop_near_duplicates(docs)
-    assert kept.columns == docs.columns
+    kept = ngram_join.drop_near_duplicates(docs.withColumnsRenamed({"shard": "text_hash", "rate": "lost_id", "size": "class_key"}))
+    assert kept.columns == ["doc_id", "text", "text_hash", "class_key", "_key", "lost_id"]
     assert sorted(r.doc_id for r in kept.where("doc_id is not null").collect()) == [1, 4, 5, 6, 7, 8, 9, 11]
     assert kept.where("doc_id is null").count() == 1
 
 
+def jaccard_links(rows, n=5, threshold=0.8):
+    """Shingle sets of rows (id, text), and the pairs of different sets that are similar, by brute force."""
+    sets = [frozenset(tuple(w[k : k + n]) for k in range(max(1, len(w) - n + 1))) if (w := words(t)) else frozenset() for _, t in rows]
+    kinds = sorted(set(sets) - {frozenset()}, key=lambda s: sorted(s))
+    links = [(a, b) for i, a in enumerate(kinds) for b in kinds[:i] if min(len(a), len(b)) >= threshold * max(len(a), len(b)) and len(a & b) >= threshold * len(a | b)]
+    return sets, links
+
+
+def test_jaccard_rows_of_one_id(spark):
+    """Two texts of one id are two sets; what is like one of them is not in the class of the other."""
+    other = " ".join(f"z{i}" for i in range(60))
+    rows = [(1, BASE), (1, other), (2, NEAR), (3, other.replace("z30", "new"))]
+    got = ngram_join.jaccard_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert all(r.n_links == 1 and r.n_copies == 1 for r in got)
+    keys = {(r.doc_id, r.copy_of): r.class_key for r in got if r.doc_id > 1}
+    by_key: dict = {}
+    for r in got:
+        by_key.setdefault((r.class_key, r.class_id), []).append(r.doc_id)
+    assert sorted(map(sorted, by_key.values())) == [[1, 2], [1, 3]] and len({c for _, c in by_key}) == 2 and len(keys) == 2
+    kept = ngram_join.drop_near_duplicates(spark.createDataFrame([*rows, (1, other), (None, BASE)], "doc_id long, text string"))
+    assert sorted(map(tuple, kept.collect()), key=repr) == sorted([(1, BASE), (1, other), (None, BASE)], key=repr)
+
+
+def test_jaccard_against_brute_force_on_the_given_table(spark):
+    """Links, copies and classes of all documents; recall of links, and no link that is none."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    rows = [tuple(r) for r in docs.collect()]
+    sets, links = jaccard_links(rows)
+    got = {r.doc_id: r for r in ngram_join.jaccard_classes(docs).collect()}
+    many: dict = {}
+    for a, b in links:
+        many[a], many[b] = many.get(a, 0) + 1, many.get(b, 0) + 1
+    found = sum(got[i].n_links for (i, _), s in zip(rows, sets, strict=True))
+    want = sum(many.get(s, 0) for s in sets)
+    assert 0.99 * want <= found <= want and want > 0
+    assert all(got[i].n_links <= many.get(s, 0) for (i, _), s in zip(rows, sets, strict=True))
+    least: dict = {}
+    for (i, _), s in zip(rows, sets, strict=True):
+        least[s] = min(i, least.get(s, i))
+    assert all(got[i].copy_of == (least[s] if s else i) for (i, _), s in zip(rows, sets, strict=True))
+    root = {s: s for s in least}
+
+    def find(s):
+        while root[s] != s:
+            s = root[s]
+        return s
+
+    for a, b in links:
+        root[find(a)] = find(b)
+    first: dict = {}
+    for (i, _), s in zip(rows, sets, strict=True):
+        if s:
+            first[find(s)] = min(i, first.get(find(s), i))
+    assert sum(got[i].class_id == (first[find(s)] if s else i) for (i, _), s in zip(rows, sets, strict=True)) >= 0.995 * len(rows)
+
+
+def test_components_with_a_hub(spark):
+    from arcloom.llm.components import connected_components, keyed_join
+
+    edges = [(0, i) for i in range(1, 700)] + [(1000 + i, 1001 + i) for i in range(40)] + [(5000, 5000)]
+    got = {r.node: r.root for r in connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {i: 0 for i in range(700)} | {i: 1000 for i in range(1000, 1041)}
+    assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
+    rows = spark.range(1000).select(F.when(F.col("id") < 600, 1).otherwise(F.col("id")).alias("k"), "id")
+    keyed = keyed_join(rows, rows.groupBy("k").agg(F.count("*").alias("n"), F.min("id").alias("m")), ["k"], 1000)
+    assert keyed.count() == 1000 and keyed.where("m <> case when id < 600 then 0 else id end").count() == 0
+
+
 def test_jaccard_tiles_of_a_large_group(spark):
     """A group of more units than a tile: every pair once, by brute force."""
     dice = np.random.default_rng(5)
@@ -190,6 +258,21 @@ def test_line_dedup(docs, empty):
     assert line_dedup.apply_bitmaps(empty, line_dedup.line_bitmaps(empty)).count() == 0
 
 
+def test_line_dedup_hot_and_cold_keys(spark):
+    """A line that most documents share, lines that few share, and one range exchange without a join of lines."""
+    rows = [(i, "\n".join([f"shared by all documents {i % 2}" * (i != 7), f"pair line number {i // 2}", "own line of " + "x" * i, "short"])) for i in range(3000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    bitmaps = line_dedup.line_bitmaps(docs)
+    assert sorted(map(tuple, line_dedup.apply_bitmaps(docs, bitmaps).collect()), key=repr) == brute_lines(rows)
+    plain = line_dedup.line_bitmaps(docs.where("doc_id < 900"))
+    text = plain._jdf.queryExecution().executedPlan().toString()
+    assert text.count("rangepartitioning") == 1 and "Join" not in text
+    lines = docs.select(F.xxhash64("text").alias("h1"), F.xxhash64(F.lit(1), "text").alias("h2"), F.col("doc_id").alias("doc"))
+    assert line_dedup.hot_firsts(lines) is None
+    many = lines.unionByName(spark.range(2000).select(F.lit(5).cast("long").alias("h1"), F.lit(6).cast("long").alias("h2"), (F.col("id") + 40).alias("doc")))
+    assert list(map(tuple, line_dedup.hot_firsts(many).collect())) == [(5, 6, 40)]
+
+
 def test_line_dedup_over_many_words(spark):
     rows = [(1, "the very first line"), (2, "\n".join(["the very first line"] * 130 + [f"own line number {i}" for i in range(70)]))]
     docs = spark.createDataFrame(rows, "doc_id long, text string")
