@@ -4,28 +4,39 @@ Texts become blocks of token ids. Every window (w1, w2, w3) belongs to a shard b
 it takes to predict w3 after w2 and after w1 w2. A block sends each shard its distinct windows with their counts in
 training documents; the shard adds the counts of all blocks, builds its trie, answers every window of every block
 from the trie, and the answers go back to their blocks. Counts, tries and queries thus cover all documents, shards
-are as many as the tokens need, and no model has to fit one machine. A middle word with more than ``hot`` windows is
-dealt over several shards by the class of the word before it; each class is a context of its own.
+are as many as the tokens need, and no model has to fit one machine.
+
+Frequent contexts are dealt finer, which changes no score. The windows of a hot middle word (``hot`` windows or more)
+belong to a shard by the pair (w1, w2), which has all that the pair needs; the pairs (w2, w3) are counted apart, as the
+context of any word before w2. That context, and a pair that is hot itself (as the begin of a text is), is split:
+its windows belong to a shard by the whole window, the shard answers counts, and the few totals of split
+contexts are summed over shards.
 
 The trie of a shard. Level 1 has the middle words. Level 2 has the successors of a middle word, and, read backwards,
 the words before it. Level 3 has, for a pair (w1, w2), the words that follow it, stored as positions among the
 successors of w2 alone (context-relative): a window is found by a successor search under w2, and a second one under
 the pair for the small number that the first gave. Begin pointers and ids of all levels are monotone sequences in
-Elias-Fano form; ids become monotone by adding the range's offset. Probabilities (interpolated absolute discounting)
-are stored as 16-bit logarithms, rounded so that they never gain mass. The bytes of a trie can be used in place,
-memory-mapped or as a table's binary value.
+Elias-Fano form; ids become monotone by adding the range's offset. Smoothed probabilities are stored as
+16-bit logarithms, rounded so that they never gain mass. The bytes of a trie are used in place, in a memory map of
+the task or as a table's binary value: windows are searched for in order, and only stretches of a level that are
+asked for are decoded, one at a time.
 
-P(w3 | w1 w2) = a3 + b3 * (a2 + b2 * p1(w3)), p1 = (c + 1) / (N + V + 1). Sums over all words and one unknown word
-are at most one.
+P(w3 | w1 w2) = a3 + b3 * (a2 + b2 * p1(w3)), p1 = (c + 1) / (N + V + 1). With c the count of a successor, C the sum and S
+the number of a context's successors, a = c / (C + S) and b = S / (C + S): what is left to the shorter context is the
+share of new successors among all that the context has seen (Witten-Bell). No constant is estimated, so a score depends on the
+training documents alone, not on how they are dealt. Sums over all words and one unknown word are at most one.
 
 Null or empty text: the end token alone. Null ids are in the training part, held_out false. Repeated rows count and are
-scored each. No training documents: every word is unknown. Empty table: no rows. Other columns are not read.
+scored each. Very long texts are scored whole. No training documents: every word is unknown. Empty table: no rows.
+Other columns are not read.
 """
 
 from __future__ import annotations
 
+import mmap
 import struct
 from collections.abc import Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -38,11 +49,15 @@ from pyspark.sql import functions as F
 
 from .common import materialise, slices, table, tidy
 
-#: Hashes of the end and of what stands before a text; codes of logarithms: steps per unit, and the code of nothing.
-END, BEGIN = 1, 2
+#: Middle words: what stands before a text, and any word; words are hashes above them.
+BEGIN, ANY = 2, 3
+#: Neighbours: the begin, the end, words as the upper 48 of the 62 bits of their hash, any word.
+NEAR_BEGIN, NEAR_END, NEAR_ANY, NEAR_SHIFT = 0, 1, 1 << 48, np.uint64(14)
+#: Codes of logarithms: steps per unit, and the code of nothing. Values of a sequence that are decoded at a time.
 STEPS, NOTHING = 512, 65535
-#: Neighbours are told apart by the upper 32 of the 62 bits of their hash (a shift of 30); a shard has a few million of them whatever the corpus.
-NEAR = np.uint64(30)
+STRETCH = 65536
+#: There are at most so many hot words, and as many hot pairs, whatever the corpus: 24 bytes each are broadcast.
+MOST_HOT = 1 << 20
 
 
 # ---------------------------------------------------------------- Elias-Fano
@@ -79,18 +94,50 @@ class EliasFano:
         at += 40
         return cls(n, bits, np.frombuffer(data, np.uint8, a, at), np.frombuffer(data, np.uint8, b, at + a), np.frombuffer(data, "<u8", c, at + a + b)), at + a + b + 8 * c
 
-    def decode(self) -> np.ndarray:
-        ones = np.flatnonzero(np.unpackbits(self.high, bitorder="little"))[: self.n]
-        out = (ones - np.arange(self.n)) << self.low_bits
-        if self.low_bits and self.n:
-            step = 8192 * self.low_bits  # the bytes of 2**16 values
-            for i in range(0, self.n, 65536):
-                size = min(65536, self.n - i)
-                a = i // 65536 * step
-                bits = np.unpackbits(self.low[a : a + step], count=size * self.low_bits, bitorder="little").reshape(size, self.low_bits)
-                wide = np.zeros((size, 64), np.uint8)
-                wide[:, : self.low_bits] = bits
-                out[i : i + size] |= np.packbits(wide, axis=1, bitorder="little").view("<i8")[:, 0]
+    def decode(self, begin: int = 0, end: int | None = None) -> np.ndarray:
+        """Elements begin..end; ``begin`` is a multiple of STRETCH."""
+        end = self.n if end is None else min(end, self.n)
+        if begin >= end:
+            return np.zeros(0, np.int64)
+        first = int(self.sample[begin // 256])
+        last = int(self.sample[end // 256]) if end % 256 == 0 and end < self.n else 8 * len(self.high)
+        ones = np.flatnonzero(np.unpackbits(self.high[first >> 3 : -(-last // 8)], bitorder="little")) + (first & ~7)
+        ones = ones[np.searchsorted(ones, first) :][: end - begin]
+        out = (ones - np.arange(begin, end)) << self.low_bits
+        for i in range(begin, end if self.low_bits else begin, STRETCH):
+            size = min(STRETCH, end - i)
+            bits = np.unpackbits(self.low[i * self.low_bits // 8 :], count=size * self.low_bits, bitorder="little").reshape(size, self.low_bits)
+            wide = np.zeros((size, 64), np.uint8)
+            wide[:, : self.low_bits] = bits
+            out[i - begin : i - begin + size] |= np.packbits(wide, axis=1, bitorder="little").view("<i8")[:, 0]
+        return out
+
+    def locate(self, values: np.ndarray) -> np.ndarray:
+        """Position of each value, -1 where it is not: a successor search that decodes the stretches asked for, one at a time. Values may be in any order."""
+        out = np.full(len(values), -1, np.int64)
+        if not self.n or not len(values):
+            return out
+        order = np.argsort(values, kind="stable")
+        asked = values[order]
+        begins = np.arange(0, self.n, STRETCH)
+        high = (self.sample[begins // 256].astype(np.int64) - begins) << self.low_bits  # no element of the stretch is below
+        low, top = np.searchsorted(asked, high), np.append(np.searchsorted(asked, high[1:] + (1 << self.low_bits)), len(asked))
+        for begin, i, j in zip(begins.tolist(), low.tolist(), top.tolist(), strict=True):
+            if i < j:
+                x = self.decode(begin, begin + STRETCH)
+                at = np.searchsorted(x, asked[i:j])
+                at[at == len(x)] = 0
+                hit = x[at] == asked[i:j]
+                out[order[i:j][hit]] = begin + at[hit]
+        return out
+
+    def gather(self, at: np.ndarray) -> np.ndarray:
+        """Elements at non-decreasing positions, by stretches."""
+        out = np.empty(len(at), np.int64)
+        edges = np.searchsorted(at, np.arange(0, self.n + STRETCH, STRETCH))
+        for k, (i, j) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)):
+            if i < j:
+                out[i:j] = self.decode(k * STRETCH, (k + 1) * STRETCH)[at[i:j] - k * STRETCH]
         return out
 
     def __getitem__(self, i: int) -> int:
@@ -146,49 +193,45 @@ def value_of(code: np.ndarray) -> np.ndarray:
     return VALUES[code]
 
 
-def _discount(counts: np.ndarray) -> float:
-    one, two = int((counts == 1).sum()), int((counts == 2).sum())
-    return min(0.95, max(0.05, (one + 0.5) / (one + 2 * two + 1)))
+def _smoothed(count: np.ndarray, total: np.ndarray, kinds: np.ndarray, of: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of successors (a) and of contexts (b); ``of`` is the context of a successor."""
+    with np.errstate(divide="ignore", invalid="ignore"):
+        return code_of(count / (total + kinds)[of]), code_of(np.where(kinds > 0, kinds / (total + kinds), 1.0))
 
 
 class Trie:
-    """Windows with counts, middle words and neighbours as hashes."""
+    """Windows with counts. Middle words are hashes, neighbours their codes."""
 
-    PARTS = ("words", "near", "succ_at", "succ", "pred_at", "pred", "third_at", "third")
+    PARTS = ("words", "near", "succ_at", "succ", "pred_at", "pred", "third_at", "third", "offset")
+    CODES = ("a2", "a3", "b2", "b3")
 
     def __init__(self, parts: dict[str, EliasFano], codes: dict[str, np.ndarray]):
         self.parts, self.codes = parts, codes
 
     @classmethod
-    def build(cls, w1: np.ndarray, w2: np.ndarray, w3: np.ndarray, count: np.ndarray) -> "Trie":
-        """Windows may repeat; their counts are added. Hashes are below 2**62 for w2, below 2**40 else."""
-        words, m = np.unique(w2, return_inverse=True)
-        near, both = np.unique(np.concatenate([w1, w3]), return_inverse=True)
-        return cls.of_ids(words, near, m, both[: len(w1)], both[len(w1) :], count)
-
-    @classmethod
-    def of_ids(cls, words: np.ndarray, near: np.ndarray, m: np.ndarray, a: np.ndarray, b: np.ndarray, count: np.ndarray) -> "Trie":
-        """Windows as positions in sorted ``words`` (m) and sorted ``near`` (a for w1, b for w3)."""
+    def build(cls, words: np.ndarray, near: np.ndarray, m: np.ndarray, a: np.ndarray, b: np.ndarray, count: np.ndarray) -> "Trie":
+        """Distinct windows in order, as positions in sorted ``words`` (m) and sorted ``near`` (a for w1, b for w3); all words occur."""
         m, size = m.astype(np.int64), max(1, len(near))
         succ, s = np.unique(m * size + b, return_inverse=True)
-        pred, p = np.unique(m * size + a, return_inverse=True)
-        succ_at, pred_at = np.searchsorted(succ // size, np.arange(len(words) + 1)), np.searchsorted(pred // size, np.arange(len(words) + 1))
+        pair = m * size + a
+        new = np.diff(pair, prepend=-1) != 0
+        pred, p = pair[new], np.cumsum(new) - 1
+        edge = np.arange(len(words) + 1)
+        succ_at, pred_at = np.searchsorted(succ // size, edge), np.searchsorted(pred // size, edge)
         width = np.diff(succ_at)[pred // size] if len(pred) else np.zeros(0, np.int64)
         offset = np.cumsum(width) - width
-        third, t = np.unique(offset[p] + s - succ_at[m], return_inverse=True) if len(m) else (np.zeros(0, np.int64), np.zeros(0, np.int64))
-        third_at = np.searchsorted(third, np.append(offset, width.sum()))
-        c2, c3 = np.bincount(s, count, len(succ)), np.bincount(t, count, len(third))
-        own, pair = np.repeat(np.arange(len(words)), np.diff(succ_at)), np.repeat(np.arange(len(pred)), np.diff(third_at))
-        d2, d3 = _discount(c2), _discount(c3)
-        sum2, sum3 = np.bincount(own, c2, len(words)), np.bincount(pair, c3, len(pred))
-        with np.errstate(divide="ignore", invalid="ignore"):
-            codes = {"a2": code_of((c2 - d2) / sum2[own]), "a3": code_of((c3 - d3) / sum3[pair]), "b2": code_of(np.where(sum2 > 0, d2 * np.bincount(own, None, len(words)) / sum2, 1.0)), "b3": code_of(np.where(sum3 > 0, d3 * np.bincount(pair, None, len(pred)) / sum3, 1.0))}
-        values = {"words": words, "near": near, "succ_at": succ_at, "succ": succ, "pred_at": pred_at, "pred": pred, "third_at": third_at, "third": third}
-        return cls({k: EliasFano.of(values[k]) for k in cls.PARTS}, codes)
+        third = offset[p] + s - succ_at[m] if len(m) else np.zeros(0, np.int64)
+        third_at = np.append(np.flatnonzero(new), len(m))
+        own = np.repeat(np.arange(len(words)), np.diff(succ_at))
+        c2 = np.bincount(s, count, len(succ))
+        a2, b2 = _smoothed(c2, np.bincount(own, c2, len(words)), np.diff(succ_at), own)
+        a3, b3 = _smoothed(count, np.bincount(p, count, len(pred)), np.diff(third_at), p)
+        values = {"words": words, "near": near, "succ_at": succ_at, "succ": succ, "pred_at": pred_at, "pred": pred, "third_at": third_at, "third": third, "offset": offset}
+        return cls({k: EliasFano.of(values[k]) for k in cls.PARTS}, {"a2": a2, "a3": a3, "b2": b2, "b3": b3})
 
     def to_bytes(self) -> bytes:
         out = [self.parts[k].to_bytes() for k in self.PARTS]
-        return b"".join(out + [struct.pack("<Q", len(self.codes[k])) + self.codes[k].tobytes() for k in ("a2", "a3", "b2", "b3")])
+        return b"".join(out + [struct.pack("<Q", len(self.codes[k])) + self.codes[k].tobytes() for k in self.CODES])
 
     @classmethod
     def view(cls, data) -> "Trie":
@@ -196,81 +239,66 @@ class Trie:
         at, parts, codes = 0, {}, {}
         for k in cls.PARTS:
             parts[k], at = EliasFano.view(data, at)
-        for k in ("a2", "a3", "b2", "b3"):
+        for k in cls.CODES:
             (n,) = struct.unpack_from("<Q", data, at)
             codes[k] = np.frombuffer(data, "<u2", n, at + 8)
             at += 8 + 2 * n
         return cls(parts, codes)
 
-    def lookup(self, w1: int, w2: int, w3: int) -> tuple[float, float]:
-        """(a, b) of one window, by successor searches in the compact levels: P = a + b * p1(w3)."""
-        g, value = self.parts, lambda k, i: float(value_of(self.codes[k][i : i + 1])[0])
-        m = g["words"].find(w2, 0, g["words"].n)
-        if m == g["words"].n or g["words"][m] != w2:
-            return 0.0, 1.0
-        size, id_of = max(1, g["near"].n), lambda w: (i if (i := g["near"].find(w, 0, g["near"].n)) < g["near"].n and g["near"][i] == w else -1)
-        first, last = g["succ_at"][m], g["succ_at"][m + 1]
-        x, y = id_of(w3), id_of(w1)
-        s = g["succ"].find(m * size + x, first, last)
-        known = x >= 0 and s < last and g["succ"][s] == m * size + x
-        a, b = value("a2", s) if known else 0.0, value("b2", m)
-        p = g["pred"].find(m * size + y, g["pred_at"][m], g["pred_at"][m + 1])
-        if y < 0 or p == g["pred_at"][m + 1] or g["pred"][p] != m * size + y:
-            return a, b
-        b3, a3 = value("b3", p), 0.0
-        if known:
-            at, end = g["third_at"][p], g["third_at"][p + 1]
-            # the range's offset: third ids of pair p lie in [offset, offset + successors of w2)
-            offset = self._offset(p)
-            t = g["third"].find(offset + s - first, at, end)
-            a3 = value("a3", t) if t < end and g["third"][t] == offset + s - first else 0.0
-        return a3 + b3 * a, b3 * b
-
-    def _offset(self, p: int) -> int:
-        if not hasattr(self, "_offsets"):
-            self._offsets = self._all_offsets(self.parts["pred"].decode(), self.parts["succ_at"].decode())
-        return int(self._offsets[p])
-
-    def _all_offsets(self, pred: np.ndarray, succ_at: np.ndarray) -> np.ndarray:
-        width = np.diff(succ_at)[pred // max(1, self.parts["near"].n)] if len(pred) else np.zeros(0, np.int64)
-        return np.cumsum(width) - width
-
-    def lookup_all(self, w1: np.ndarray, w2: np.ndarray, w3: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The same for many windows, whose levels are read once from front to back."""
-        level = self.levels()
-        return self.answer(level, *at(level["words"], w2), *at(level["near"], w1), *at(level["near"], w3))
-
-    def levels(self) -> dict[str, np.ndarray]:
-        return {k: self.parts[k].decode() for k in self.PARTS}
-
-    def answer(self, level: dict[str, np.ndarray], m: np.ndarray, known: np.ndarray, y: np.ndarray, ok1: np.ndarray, x: np.ndarray, ok3: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(a, b) of windows whose words have been found (or not) in the first levels."""
-        size = max(1, len(level["near"]))
-        s, has2 = at(level["succ"], m * size + x)
-        p, pair = at(level["pred"], m * size + y)
-        has2 &= known & ok3
-        pair &= known & ok1
-        t, has3 = at(level["third"], self._all_offsets(level["pred"], level["succ_at"])[p] + s - level["succ_at"][m] if len(level["pred"]) else np.zeros(len(m), np.int64))
-        has3 &= has2 & pair
-        get = lambda k, i, where, other: np.where(where, value_of(self.codes[k][i]), other) if len(self.codes[k]) else np.full(len(i), other)
-        a2, b2 = get("a2", s, has2, 0.0), get("b2", m, known, 1.0)
-        a3, b3 = get("a3", t, has3, 0.0), get("b3", p, pair, 1.0)
-        return a3 + b3 * a2, b3 * b2
-
-
-def at(values: np.ndarray, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions of ``x`` in sorted ``values``, and whether they are there."""
-    i = np.searchsorted(values, x)
-    i[i == len(values)] = 0
-    return i, (values[i] == x) if len(values) else np.zeros(len(x), bool)
+    def mapped(self) -> "Trie":
+        """The same in a memory map, from which it is read."""
+        data = self.to_bytes()
+        held = mmap.mmap(-1, max(1, len(data)))
+        held.write(data)
+        return Trie.view(held)
+
+    def lookup(self, w1: int, w2: int, w3: int) -> tuple[int, int, int, int]:
+        """Codes (a3, b3, a2, b2) of one window, by successor searches one element at a time."""
+        g, nothing = self.parts, (NOTHING, 0, NOTHING, 0)
+
+        def position(k: str, value: int, begin: int, end: int) -> int:
+            i = g[k].find(value, begin, end)
+            return i if i < end and g[k][i] == value else -1
+
+        m = position("words", w2, 0, g["words"].n)
+        if m < 0:
+            return nothing
+        size, first, last = g["near"].n, g["succ_at"][m], g["succ_at"][m + 1]
+        x, y = (position("near", w, 0, size) for w in (w3, w1))
+        s = position("succ", m * size + x, first, last) if x >= 0 else -1
+        p = position("pred", m * size + y, g["pred_at"][m], g["pred_at"][m + 1]) if y >= 0 else -1
+        t = position("third", g["offset"][p] + s - first, g["third_at"][p], g["third_at"][p + 1]) if s >= 0 and p >= 0 else -1
+        code = lambda k, i, other: int(self.codes[k][i]) if i >= 0 else other
+        return code("a3", t, NOTHING), code("b3", p, 0), code("a2", s, NOTHING), code("b2", m, 0)
+
+    def answer(self, words: np.ndarray, near: np.ndarray, m: np.ndarray, a: np.ndarray, b: np.ndarray) -> dict[str, np.ndarray]:
+        """Codes of windows that are distinct and in order, as positions in sorted ``words`` and ``near``: a3 and a2 by window, b3 by pair, b2 by word.
+
+        The same searches as ``lookup``, level by level for all windows.
+        """
+        g = self.parts
+        im, size = g["words"].locate(words), max(1, g["near"].n)
+        ids = g["near"].locate(near)
+        new = (np.diff(m, prepend=-1) != 0) | (np.diff(a, prepend=-1) != 0)
+        mid, x, y = im[m], ids[b], ids[a[new]]
+        key = lambda i, j: np.where((i >= 0) & (j >= 0), i * size + j, -1)
+        s, p = g["succ"].locate(key(mid, x)), g["pred"].locate(key(mid[new], y))
+        pair = p[np.cumsum(new) - 1] if len(m) else p
+        both = np.flatnonzero((s >= 0) & (pair >= 0))
+        t = np.full(len(m), -1, np.int64)
+        t[both] = g["third"].locate(g["offset"].gather(pair[both]) + s[both] - g["succ_at"].gather(mid[both]))
+        get = lambda k, i, other: np.where(i >= 0, self.codes[k][i], other).astype("<u2") if len(self.codes[k]) else np.full(len(i), other, "<u2")
+        return {"a3": get("a3", t, NOTHING), "a2": get("a2", s, NOTHING), "b3": get("b3", p, 0), "b2": get("b2", im, 0)}
 
 
 # ---------------------------------------------------------------- blocks
 
 
 def _squeeze(*arrays: np.ndarray) -> bytes:
+    """Arrays byte plane by byte plane, compressed."""
     head = struct.pack("<Q", len(arrays)) + b"".join(struct.pack("<2sQ", a.dtype.str[1:].encode(), len(a)) for a in arrays)
-    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(np.ascontiguousarray(a).tobytes() for a in arrays))
+    planes = [np.ascontiguousarray(np.ascontiguousarray(a).view(np.uint8).reshape(len(a), -1).T).tobytes() if len(a) else b"" for a in arrays]
+    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(planes))
 
 
 def _open(data: bytes) -> list[np.ndarray]:
@@ -281,8 +309,10 @@ def _open(data: bytes) -> list[np.ndarray]:
         kinds.append(struct.unpack_from("<2sQ", raw, at))
         at += struct.calcsize("<2sQ")
     for kind, size in kinds:
-        out.append(np.frombuffer(raw, "<" + kind.decode(), size, at))
-        at += out[-1].nbytes
+        dtype = np.dtype("<" + kind.decode())
+        planes = np.frombuffer(raw, np.uint8, size * dtype.itemsize, at).reshape(dtype.itemsize, size)
+        out.append(np.ascontiguousarray(planes.T).view(dtype)[:, 0] if size else np.zeros(0, dtype))
+        at += size * dtype.itemsize
     return out
 
 
@@ -297,6 +327,21 @@ def _fit(x: np.ndarray) -> np.ndarray:
     return x.astype("<u1" if top < 256 else "<u2" if top < 65536 else "<u4")
 
 
+def _mix(a: np.ndarray | int, b: np.ndarray) -> np.ndarray:
+    """One hash of two."""
+    h = np.atleast_1d(np.asarray(a, np.uint64)) * np.uint64(0x9E3779B97F4A7C15) ^ (b + np.uint64(0x632BE59BD9B4E019))
+    h = (h ^ h >> np.uint64(31)) * np.uint64(0xBF58476D1CE4E5B9)
+    return h ^ h >> np.uint64(29)
+
+
+def _among(names: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Positions in sorted ``names``, -1 for what is not there."""
+    if not len(names):
+        return np.full(len(x), -1, np.int64)
+    i = np.minimum(np.searchsorted(names, x), len(names) - 1)
+    return np.where(names[i] == x, i, -1)
+
+
 def _encode(block_chars: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number = TaskContext.get().partitionId() << 32
@@ -315,8 +360,9 @@ def _encode(block_chars: int):
                 held = batch.column("held").slice(a, b - a)
                 train = np.repeat(~held.to_numpy(zero_copy_only=False), n + 1)
                 counts = np.bincount(tokens[train], minlength=len(words) + 1)
+                others = np.bincount(tokens, minlength=len(words) + 1) - counts
                 words = np.maximum(words >> np.uint64(2), np.uint64(4))  # below 2**62, apart from the marks
-                yield pa.RecordBatch.from_pydict({"block": pa.array([number], pa.int64()), "doc_ids": pa.array([batch.column("id").slice(a, b - a).to_pylist()], pa.list_(pa.int64())), "held": pa.array([held.to_pylist()], pa.list_(pa.bool_())), "n_windows": pa.array([len(tokens)], pa.int64()), "n_train": pa.array([int(train.sum())], pa.int64()), "n_train_docs": pa.array([int(counts[0])], pa.int64()), "words": pa.array([_squeeze(words.astype("<u8"), _fit(counts[1:]))], pa.binary()), "tokens": pa.array([_squeeze(_fit(tokens), (n + 1).astype("<u4"))], pa.binary())})
+                yield pa.RecordBatch.from_pydict({"block": pa.array([number], pa.int64()), "doc_ids": pa.array([batch.column("id").slice(a, b - a).to_pylist()], pa.list_(pa.int64())), "held": pa.array([held.to_pylist()], pa.list_(pa.bool_())), "n_windows": pa.array([len(tokens)], pa.int64()), "n_train": pa.array([int(train.sum())], pa.int64()), "n_train_docs": pa.array([int(counts[0])], pa.int64()), "words": pa.array([_squeeze(words.astype("<u8"), _fit(counts[1:]), _fit(others[1:]))], pa.binary()), "tokens": pa.array([_squeeze(_fit(tokens), (n + 1).astype("<u4"))], pa.binary())})
                 number += 1
 
     return run
@@ -325,11 +371,25 @@ def _encode(block_chars: int):
 BLOCK = "block long, doc_ids array<long>, held array<boolean>, n_windows long, n_train long, n_train_docs long, words binary, tokens binary"
 
 
+@dataclass
+class Plan:
+    """How windows are dealt: numbers of shards for cold words, hot words by pair, and split contexts; hot words and hot pairs as sorted hashes."""
+
+    cold: int = 1
+    by_pair: int = 0
+    split: int = 0
+    words: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
+    pairs: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64))
+
+    def kind(self, place: int) -> int:
+        return 0 if place < self.cold else 1 if place < self.cold + self.by_pair else 2
+
+
 class Windows:
-    """The windows of a block by shard. Local ids: 0 the end or the begin, then words."""
+    """The windows of a block. Local ids: 0 the begin or the end, then words in the order of their hashes, then any word."""
 
-    def __init__(self, words: bytes, tokens: bytes, held: list[bool], hot: dict[int, tuple[int, int]], shards: int):
-        self.words = _open(words)[0]
+    def __init__(self, words: bytes, tokens: bytes, held: list[bool], plan: Plan):
+        self.words, self.plan = _open(words)[0], plan
         self.tokens, self.each = (x.astype(np.int64) for x in _open(tokens))
         order = np.argsort(self.words)  # ids in the order of hashes, so that lists of either are sorted
         rank = np.zeros(len(order) + 1, np.int64)
@@ -337,59 +397,110 @@ class Windows:
         self.words, self.tokens = self.words[order], rank[self.tokens]
         first = np.zeros(len(self.tokens), bool)
         first[np.cumsum(self.each) - self.each] = True
-        w2 = np.concatenate([[0], self.tokens[:-1]])
-        w1 = np.concatenate([[0, 0], self.tokens[:-2]])[: len(self.tokens)]
-        w2[first] = 0
-        w1[first] = 0
-        w1[np.flatnonzero(first[:-1]) + 1] = 0
-        hashes = np.concatenate([[np.uint64(BEGIN)], self.words])
-        self.shard_of = (hashes % np.uint64(shards)).astype(np.int64)
-        shard = self.shard_of[w2]
-        self.is_hot = np.zeros(len(hashes), bool)
-        if hot:
-            for i in np.flatnonzero(np.isin(hashes, np.array(list(hot), np.uint64))):
-                self.is_hot[i] = True
-                where = np.flatnonzero(w2 == i)
-                cls = (hashes[w1[where]] >> np.uint64(7)) % np.uint64(hot[int(hashes[i])][0])
-                shard[where] = ((hashes[i] + cls * np.uint64(0x9E3779B97F4A7C15)) % np.uint64(shards)).astype(np.int64)
-        bits = max(1, len(hashes).bit_length())
-        if 3 * bits + max(1, shards.bit_length()) > 62:
-            raise ValueError("a block has too many words for this many shards; make blocks smaller")
-        self.bits, self.hashes = bits, hashes
-        self.key = ((shard << bits | w2) << bits | w1) << bits | self.tokens
+        self.w2 = np.concatenate([[0], self.tokens[:-1]])
+        self.w1 = np.concatenate([[0, 0], self.tokens[:-2]])[: len(self.tokens)]
+        self.w2[first] = 0
+        self.w1[first] = 0
+        self.w1[np.flatnonzero(first[:-1]) + 1] = 0
+        self.any = len(self.words) + 1
+        self.middle = np.concatenate([[np.uint64(BEGIN)], self.words, [np.uint64(ANY)]])
+        # Neighbours by local number: the begin, the end, words, any word. They are as sorted as the local ids.
+        self.near = np.concatenate([np.array([NEAR_BEGIN, NEAR_END], np.uint64), np.maximum(self.words >> NEAR_SHIFT, np.uint64(NEAR_END + 1)), [np.uint64(NEAR_ANY)]])
+        self.hot = _among(plan.words, self.middle) >= 0
+        self.bits = (self.any + 1).bit_length()
         self.train = np.repeat(~np.array(held, bool), self.each)
 
-    def split(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    def keys(self) -> np.ndarray:
+        if 3 * self.bits > 61:
+            raise ValueError("a block has too many words; make blocks smaller")
+        return (self.w2 << self.bits | self.w1) << self.bits | self.tokens
+
+    def split(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(w2, w1, w3)."""
         mask = (1 << self.bits) - 1
-        return keys >> 3 * self.bits, keys >> 2 * self.bits & mask, keys >> self.bits & mask, keys & mask
+        return keys >> 2 * self.bits, keys >> self.bits & mask, keys & mask
+
+    def before(self, w1: np.ndarray) -> np.ndarray:
+        """Local numbers of neighbours before a middle word."""
+        return np.where(w1 == 0, 0, w1 + 1)
+
+    def after(self, w3: np.ndarray) -> np.ndarray:
+        return w3 + 1
+
+    def hot_pairs(self, least: int) -> tuple[np.ndarray, np.ndarray]:
+        """Contexts (w1, w2) of hot words with ``least`` windows here, and how many."""
+        both = self.hot[self.w1] & self.hot[self.w2]
+        pair, n = np.unique(self.w2[both] << self.bits | self.w1[both], return_counts=True)
+        pair, n = pair[n >= least], n[n >= least]
+        return _mix(self.near[self.before(pair & (1 << self.bits) - 1)], self.middle[pair >> self.bits]), n
 
-    def near(self, local: np.ndarray) -> np.ndarray:
-        """32-bit hashes of neighbours, in the order of their ids: 0 is the begin, 1 the end."""
-        return np.concatenate([[np.uint64(0), np.uint64(1)], np.maximum(self.hashes[1:] >> NEAR, np.uint64(2))])[local].astype("<u4")
 
+@dataclass
+class Dealt:
+    """Distinct windows of a block, then those of any word before a hot one; ``order`` sorts them by place and key.
 
-def _requests(hot: dict, shards: int):
+    ``hot`` are the windows of hot words and ``any_of`` the row that stands for any word before each.
+    """
+
+    keys: np.ndarray
+    place: np.ndarray
+    order: np.ndarray
+    hot: np.ndarray
+    any_of: np.ndarray
+    context: np.ndarray
+
+
+def _deal(w: Windows, keys: np.ndarray) -> Dealt:
+    plan, (w2, w1, w3) = w.plan, w.split(keys)
+    place = (w.middle[w2] % np.uint64(plan.cold)).astype(np.int64)
+    hot = np.flatnonzero(w.hot[w2])
+    if not len(hot):
+        return Dealt(keys, place, np.argsort(place, kind="stable"), hot, hot, np.zeros(len(keys), np.uint64))
+    wide, any_of = np.unique((w2[hot] << w.bits | w.any) << w.bits | w3[hot], return_inverse=True)
+    first = plan.cold + plan.by_pair
+    pair = _mix(w.near[w.before(w1[hot])], w.middle[w2[hot]])
+    mine = (_mix(pair, w.near[w.after(w3[hot])]) % np.uint64(plan.split)).astype(np.int64) + first
+    place[hot] = np.where(_among(plan.pairs, pair) >= 0, mine, (pair % np.uint64(plan.by_pair)).astype(np.int64) + plan.cold)
+    v2, _, v3 = w.split(wide)
+    every = _mix(NEAR_ANY, w.middle[v2])
+    place = np.concatenate([place, (_mix(every, w.near[w.after(v3)]) % np.uint64(plan.split)).astype(np.int64) + first])
+    context = np.zeros(len(place), np.uint64)
+    context[hot], context[len(keys) :] = pair, every
+    keys = np.concatenate([keys, wide])
+    return Dealt(keys, place, np.lexsort((keys, place)), hot, any_of + len(w2), context)
+
+
+def _runs(*sorted_by: np.ndarray) -> np.ndarray:
+    """Where any of the columns changes."""
+    new = np.zeros(len(sorted_by[0]), bool)
+    for x in sorted_by:
+        new |= np.diff(x, prepend=-1) != 0
+    return new
+
+
+def _requests(plan: Plan):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in range(batch.num_rows):
-                w = Windows(batch.column("words")[r].as_py(), batch.column("tokens")[r].as_py(), batch.column("held")[r].as_py(), hot, shards)
-                both, n = np.unique(w.key << 1 | w.train, return_counts=True)
+                w = Windows(batch.column("words")[r].as_py(), batch.column("tokens")[r].as_py(), batch.column("held")[r].as_py(), plan)
+                both, n = np.unique(w.keys() << 1 | w.train, return_counts=True)
                 keys, at = np.unique(both >> 1, return_index=True)
                 count = np.add.reduceat(np.where(both & 1, n, 0), at) if len(at) else n
-                shard, w2, w1, w3 = w.split(keys)
-                edges = np.append(np.flatnonzero(np.diff(shard, prepend=-1)), len(shard))
-                rows = {"shard": [], "payload": []}
+                d = _deal(w, keys)
+                count = np.concatenate([count, np.bincount(d.any_of - len(keys), count[d.hot], len(d.keys) - len(keys)).astype(np.int64)])[d.order]
+                place, (w2, w1, w3) = d.place[d.order], w.split(d.keys[d.order])
+                first, last = w.before(w1), w.after(w3)
+                edges = np.append(np.flatnonzero(np.diff(place, prepend=-1)), len(place))
+                payloads = []
                 for a, b in zip(edges[:-1], edges[1:], strict=True):
                     middle, run_of = np.unique(w2[a:b], return_counts=True)
-                    first, last = np.where(w1[a:b] == 0, 0, w1[a:b] + 1), w3[a:b] + 1  # 0 the begin, 1 the end, then words
-                    near = np.unique(np.concatenate([first, last]))
-                    before = np.searchsorted(near, first)
+                    near = np.unique(np.concatenate([first[a:b], last[a:b]]))
+                    before = np.searchsorted(near, first[a:b])
                     step = np.diff(before, prepend=0)  # grows within the run of a middle word
                     begin = np.cumsum(run_of) - run_of
                     step[begin] = before[begin]
-                    rows["shard"].append(int(shard[a]))
-                    rows["payload"].append(_squeeze(_gaps(w.hashes[middle]), _fit(run_of), _gaps(w.near(near)), _fit(step), _fit(np.searchsorted(near, last)), _fit(count[a:b])))
-                yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(rows["shard"]), pa.int64()), "shard": pa.array(rows["shard"], pa.int32()), "payload": pa.array(rows["payload"], pa.binary())})
+                    payloads.append(_squeeze(_gaps(w.middle[middle]), _fit(run_of), _gaps(w.near[near]), _fit(step), _fit(np.searchsorted(near, last[a:b])), _fit(count[a:b])))
+                yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(payloads), pa.int64()), "place": pa.array(place[edges[:-1]], pa.int32()), "payload": pa.array(payloads, pa.binary())})
 
     return run
 
@@ -403,122 +514,207 @@ def _windows(p: list[np.ndarray], words: np.ndarray, near: np.ndarray) -> tuple[
     return np.repeat(words, run).astype(np.int32), near[before].astype(np.int32), near[p[4]].astype(np.int32)
 
 
-def _answers(hot: dict, keep_trie: bool):
-    hot_words = np.array(sorted(hot), np.uint64)
+def _distinct(m: np.ndarray, a: np.ndarray, b: np.ndarray, words: int, near: int) -> tuple[np.ndarray, np.ndarray]:
+    """The order of windows, and of each sorted one whether it is new."""
+    if words * near * near < 1 << 62:
+        key = (m.astype(np.int64) * near + a) * near + b
+        order = np.argsort(key, kind="stable")
+        return order, _runs(key[order])
+    order = np.lexsort((b, a, m))
+    return order, _runs(m[order], a[order], b[order])
 
+
+def _answers(plan: Plan, keep_trie: bool):
     def of(held: pa.Table) -> pa.Table:
+        kind = plan.kind(held.column("place")[0].as_py())
         parts = [_open(x) for x in held.column("payload").to_pylist()]
         for p in parts:
-            p[0], p[2] = np.cumsum(p[0], dtype=np.uint64), np.cumsum(p[2], dtype=np.uint32)
+            p[0], p[2] = np.cumsum(p[0], dtype=np.uint64), np.cumsum(p[2], dtype=np.uint64)
         words, near = np.unique(np.concatenate([p[0] for p in parts])), np.unique(np.concatenate([p[2] for p in parts]))
         mine = [_windows(p, np.searchsorted(words, p[0]), np.searchsorted(near, p[2])) for p in parts]
         m, a, b = (np.concatenate([x[k] for x in mine]) for k in range(3))
-        count = np.concatenate([p[5] for p in parts]).astype(np.int64)
-        some = count > 0
-        used = np.unique(m[some]), np.unique(np.concatenate([a[some], b[some]]))
-        trie = Trie.view(Trie.of_ids(words[used[0]].astype(np.int64), near[used[1]].astype(np.int64), np.searchsorted(used[0], m[some]), np.searchsorted(used[1], a[some]), np.searchsorted(used[1], b[some]), count[some]).to_bytes())
-        total = np.bincount(m, count, len(words)).astype(np.int64)
-        del m, a, b, count, some, used
-        found = int(((total > 0) & ~np.isin(words, hot_words) & (words != BEGIN)).sum())
-        out = {"block": held.column("block").to_pylist(), "shard": held.column("shard").to_pylist(), "payload": [], "n_words": [found] + [0] * (len(parts) - 1)}
-        level = trie.levels()
-        in_words, in_near = at(level["words"], words.astype(np.int64)), at(level["near"], near.astype(np.int64))
-        for p, (m, a, b) in zip(parts, mine, strict=True):
-            one, two = trie.answer(level, in_words[0][m], in_words[1][m], in_near[0][a], in_near[1][a], in_near[0][b], in_near[1][b])
-            out["payload"].append(_squeeze(code_of(one), code_of(two), _fit(total[np.searchsorted(words, p[0])])))
+        del mine
+        order, new = _distinct(m, a, b, len(words), len(near))
+        which = np.empty(len(order), np.int32)
+        which[order] = np.cumsum(new) - 1
+        count = np.add.reduceat(np.concatenate([p[5] for p in parts]).astype(np.int64)[order], np.flatnonzero(new))
+        m, a, b = (x[order[new]] for x in (m, a, b))
+        del order, new
+        pair = _runs(m, a)
+        edges = np.cumsum([0] + [len(p[4]) for p in parts])
+        out = {"payload": [], "n_words": 0, "totals": None, "trie": None}
+        if kind == 2:
+            out["payload"] = [_squeeze(_fit(count[which[x:y]])) for x, y in zip(edges[:-1], edges[1:], strict=True)]
+            at = np.flatnonzero(pair)
+            out["totals"] = _squeeze(_mix(near[a[at]], words[m[at]]), np.add.reduceat(count, at), np.add.reduceat((count > 0).astype(np.int64), at))
+        else:
+            some = count > 0
+            use_m, use_n = np.unique(m[some]), np.unique(np.concatenate([a[some], b[some]]))
+            trie = Trie.build(words[use_m].astype(np.int64), near[use_n].astype(np.int64), np.searchsorted(use_m, m[some]), np.searchsorted(use_n, a[some]), np.searchsorted(use_n, b[some]), count[some]).mapped()
+            code = trie.answer(words.astype(np.int64), near.astype(np.int64), m, a, b)
+            total = np.bincount(m, count, len(words)).astype(np.int64)
+            if kind == 0:
+                out["n_words"] = int(((total > 0) & (words != BEGIN)).sum())
+            pair_of = np.cumsum(pair) - 1
+            for p, x, y in zip(parts, edges[:-1], edges[1:], strict=True):
+                at = which[x:y]
+                by_pair = pair_of[at]
+                codes = [code["a3"][at], code["b3"][by_pair[_runs(by_pair)]]]
+                if kind == 0:
+                    middle = np.searchsorted(words, p[0])
+                    codes += [code["a2"][at], code["b2"][middle], _fit(total[middle])]
+                out["payload"].append(_squeeze(*codes))
+            if keep_trie:
+                out["trie"] = trie.to_bytes()
+        rest = [None] * (len(parts) - 1)
         tidy()
-        if keep_trie:
-            out["trie"] = [trie.to_bytes()] + [None] * (len(parts) - 1)
-        return pa.table({"block": pa.array(out["block"], pa.int64()), "shard": pa.array(out["shard"], pa.int32()), "payload": pa.array(out["payload"], pa.binary()), "n_words": pa.array(out["n_words"], pa.int64())} | ({"trie": pa.array(out["trie"], pa.binary())} if keep_trie else {}))
+        rows = {"block": held.column("block"), "place": held.column("place"), "payload": pa.array(out["payload"], pa.binary()), "n_words": pa.array([out["n_words"]] + [0] * len(rest), pa.int64()), "totals": pa.array([out["totals"], *rest], pa.binary())}
+        return pa.table(rows | ({"trie": pa.array([out["trie"], *rest], pa.binary())} if keep_trie else {}))
 
     return of
 
 
-def _scores(hot: dict, shards: int, n_train: int, n_words: int, end_count: int):
+def _scores(plan: Plan, totals: tuple[np.ndarray, np.ndarray, np.ndarray], n_train: int, n_words: int, end_count: int):
     denominator = float(n_train + n_words + 1)
 
+    def split_codes(context: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Values of successors and contexts whose totals are summed over shards."""
+        i = _among(totals[0], context)
+        total, kinds = (np.where(i >= 0, x[i], 0) if len(x) else np.zeros(len(i), np.int64) for x in totals[1:])
+        a, b = _smoothed(count, total, kinds, np.arange(len(i)))
+        return value_of(np.where(count > 0, a, NOTHING)), value_of(b)
+
+    def score(w: Windows, answers: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        """Log10 probability and training count of every token."""
+        keys, inverse = np.unique(w.keys(), return_inverse=True)
+        d = _deal(w, keys)
+        place, (w2, w1, _) = d.place[d.order], w.split(d.keys[d.order])
+        n = len(d.keys)
+        a3, b3, a2, b2, raw = np.zeros(n), np.ones(n), np.zeros(n), np.ones(n), np.zeros(n, np.int64)
+        count = np.zeros(w.any, np.int64)
+        count[0] = end_count
+        for s, payload in zip(answers.column("place").to_pylist(), answers.column("payload").to_pylist(), strict=True):
+            x, y = np.searchsorted(place, [s, s + 1])
+            got, kind, at = _open(payload), plan.kind(s), d.order[x:y]
+            if kind == 2:
+                raw[at] = got[0]
+                continue
+            a3[at], b3[at] = value_of(got[0]), value_of(got[1])[np.cumsum(_runs(w2[x:y], w1[x:y])) - 1]
+            if kind == 0:
+                run = np.cumsum(_runs(w2[x:y])) - 1
+                a2[at], b2[at] = value_of(got[2]), value_of(got[3])[run]
+                middle = np.unique(w2[x:y])
+                count[middle[middle > 0]] = got[4][middle > 0]
+        if len(d.hot):
+            split = np.flatnonzero(d.place >= plan.cold + plan.by_pair)
+            a, b = split_codes(d.context[split], raw[split])
+            pairs = split < len(keys)
+            a3[split[pairs]], b3[split[pairs]] = a[pairs], b[pairs]
+            a2[split[~pairs]], b2[split[~pairs]] = a[~pairs], b[~pairs]
+            a2[d.hot], b2[d.hot] = a2[d.any_of], b2[d.any_of]
+        hot = np.flatnonzero(w.hot[1 : w.any]) + 1
+        i = _among(totals[0], _mix(NEAR_ANY, w.middle[hot]))
+        count[hot] = np.where(i >= 0, totals[1][i], 0) if len(totals[1]) else 0
+        unigram = (count + 1.0) / denominator
+        k = len(keys)
+        p = a3[:k] + b3[:k] * (a2[:k] + b2[:k] * unigram[w.split(keys)[2]])
+        return np.log10(p)[inverse], count[w.tokens]
+
     def of(blocks: pa.Table, answers: pa.Table) -> pa.Table:
         out = {k: [] for k in ("doc_id", "held_out", "n_tokens", "n_known", "base_score", "score")}
         for r in range(blocks.num_rows):
             held = blocks.column("held")[r].as_py()
-            w = Windows(blocks.column("words")[r].as_py(), blocks.column("tokens")[r].as_py(), held, hot, shards)
-            keys, inverse = np.unique(w.key, return_inverse=True)
-            shard, w2, _, _ = w.split(keys)
-            a, b = np.zeros(len(keys)), np.ones(len(keys))
-            count = np.zeros(len(w.hashes), np.int64)
-            count[0] = end_count
-            for s, payload in zip(answers.column("shard").to_pylist(), answers.column("payload").to_pylist(), strict=True):
-                one, two, total = _open(payload)
-                x, y = np.searchsorted(shard, [s, s + 1])
-                a[x:y], b[x:y] = value_of(one), value_of(two)
-                middle = np.unique(w2[x:y])
-                cold = (middle != 0) & ~w.is_hot[middle]
-                count[middle[cold]] = total[cold]
-            for i in np.flatnonzero(w.is_hot):
-                if i:
-                    count[i] = hot[int(w.hashes[i])][1]
-            unigram = (count + 1.0) / denominator
-            each = unigram[w.tokens]
+            w = Windows(blocks.column("words")[r].as_py(), blocks.column("tokens")[r].as_py(), held, plan)
+            each, count = score(w, answers)
             starts = np.cumsum(w.each) - w.each
-            total_of = lambda x: np.add.reduceat(x, starts)
+            total_of = lambda x: np.add.reduceat(x, starts).tolist()
             out["doc_id"] += blocks.column("doc_ids")[r].as_py()
             out["held_out"] += held
             out["n_tokens"] += w.each.tolist()
-            out["n_known"] += total_of((count[w.tokens] > 0).astype(np.int64)).tolist()
-            out["base_score"] += total_of(np.log10(each)).tolist()
-            out["score"] += total_of(np.log10(a[inverse] + b[inverse] * each)).tolist()
+            out["n_known"] += total_of((count > 0).astype(np.int64))
+            out["base_score"] += total_of(np.log10((count + 1.0) / denominator))
+            out["score"] += total_of(each)
         return pa.table({"doc_id": pa.array(out["doc_id"], pa.int64()), "held_out": pa.array(out["held_out"], pa.bool_()), "n_tokens": pa.array(out["n_tokens"], pa.int64()), "n_known": pa.array(out["n_known"], pa.int64()), "train_tokens": pa.array([n_train] * len(out["doc_id"]), pa.int64()), "base_score": pa.array(out["base_score"], pa.float64()), "score": pa.array(out["score"], pa.float64())})
 
     return of
 
 
-def _frequent(least: int):
-    """(word, count) of a block's words with ``least`` windows or more in it."""
+def _frequent(share: float):
+    """(name, n) of a block's middle words that have that share of its windows, two at least."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in range(batch.num_rows):
-                words, counts = _open(batch.column("words")[r].as_py())
-                few = counts >= max(2, batch.column("n_windows")[r].as_py() // least)
-                yield pa.RecordBatch.from_pydict({"word": pa.array(words[few].astype(np.int64), pa.int64()), "n": pa.array(counts[few].astype(np.int64), pa.int64())})
+                words, train, others = _open(batch.column("words")[r].as_py())
+                words, n = np.append(words, np.uint64(BEGIN)), np.append(train.astype(np.int64) + others, len(batch.column("doc_ids")[r].as_py()))
+                many = n >= max(2, share * batch.column("n_windows")[r].as_py())
+                yield pa.RecordBatch.from_pydict({"name": pa.array(words[many].view(np.int64), pa.int64()), "n": pa.array(n[many], pa.int64())})
 
     return run
 
 
-def _exact(chosen: np.ndarray):
+def _frequent_pairs(plan: Plan, share: float):
+    """(name, n) of a block's contexts of two hot words that have that share of its windows."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in range(batch.num_rows):
-                words, counts = _open(batch.column("words")[r].as_py())
-                mine = np.isin(words, chosen)
-                yield pa.RecordBatch.from_pydict({"word": pa.array(words[mine].astype(np.int64), pa.int64()), "n": pa.array(counts[mine].astype(np.int64), pa.int64())})
+                w = Windows(batch.column("words")[r].as_py(), batch.column("tokens")[r].as_py(), batch.column("held")[r].as_py(), plan)
+                name, n = w.hot_pairs(max(2, share * len(w.tokens)))
+                yield pa.RecordBatch.from_pydict({"name": pa.array(name.view(np.int64), pa.int64()), "n": pa.array(n, pa.int64())})
 
     return run
 
 
+def _unpack_totals(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for x in batch.column("totals").to_pylist():
+            name, total, kinds = _open(x)
+            yield pa.RecordBatch.from_pydict({"name": pa.array(name.view(np.int64), pa.int64()), "total": pa.array(total, pa.int64()), "kinds": pa.array(kinds, pa.int64())})
+
+
+def _plan(blocks: DataFrame, windows: int, shard_windows: int, hot: int) -> Plan:
+    """Words and pairs with ``hot`` windows or more are hot; what is between a half of that and all of it may be either."""
+    limit = max(hot, -(-windows // MOST_HOT))
+    if windows <= limit:
+        return Plan(cold=max(1, -(-windows // shard_windows)))
+    share = limit / (2 * windows)
+    frequent = lambda found: {r["name"]: r["n"] for r in found.groupBy("name").agg(F.sum("n").alias("n")).where(F.col("n") >= -(-limit // 2)).collect()}
+    names = frequent(blocks.select("doc_ids", "n_windows", "words").mapInArrow(_frequent(share), "name long, n long"))
+    if not names:
+        return Plan(cold=max(1, -(-windows // shard_windows)))
+    many = min(windows, sum(names.values()))
+    shards = max(1, -(-many // shard_windows))
+    plan = Plan(max(1, -(-(windows - many) // shard_windows)), shards, shards, np.sort(np.array(list(names), np.int64).view(np.uint64)))
+    pairs = frequent(blocks.select("held", "words", "tokens").mapInArrow(_frequent_pairs(plan, share), "name long, n long"))
+    plan.pairs = np.sort(np.array(list(pairs), np.int64).view(np.uint64))
+    return plan
+
+
 def train_and_score(docs: DataFrame, held: str = "held", id_col: str = "doc_id", text_col: str = "text", block_chars: int = 1 << 23, shard_windows: int = 2_000_000, hot: int = 500_000, keep_tries: bool = False) -> tuple[DataFrame, DataFrame]:
     """Scores of all documents by a model of those whose ``held`` column is false, and the table of answers.
 
-    With ``keep_tries`` the answers have each shard's trie.
+    ``shard_windows`` and ``hot`` bound what meets in a task and change no score. With ``keep_tries`` the answers have
+    each shard's trie.
     """
     d = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(F.col(held), F.lit(False)).alias("held"), F.col(text_col).cast("string").alias("text"))
     blocks = materialise(d.mapInArrow(_encode(block_chars), BLOCK), "blocks")
     windows, n_train, ends = (x or 0 for x in blocks.agg(F.sum("n_windows"), F.sum("n_train"), F.sum("n_train_docs")).first())
-    shards = max(1, -(-windows // shard_windows))
-    # A word that makes one window in ``windows / hot`` overall does so in some block: at most that many words a block, and overall.
-    names: dict[int, tuple[int, int]] = {}
-    if windows > hot:
-        seen = blocks.select("words", "n_windows").mapInArrow(_frequent(max(1, windows // hot)), "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).where(F.col("n") >= hot // 2)
-        chosen = np.array([r["word"] for r in seen.collect()], np.uint64)
-        if len(chosen):
-            exact = blocks.select("words").mapInArrow(_exact(chosen), "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()
-            names = {r["word"]: (1 + r["n"] // hot, r["n"]) for r in exact}
-    asked = blocks.select("block", "held", "words", "tokens").mapInArrow(_requests(names, shards), "block long, shard int, payload binary")
-    schema = "block long, shard int, payload binary, n_words long" + (", trie binary" if keep_tries else "")
-    answers = materialise(asked.groupBy("shard").applyInArrow(_answers(names, keep_tries), schema), "answers")
-    n_words = (answers.agg(F.sum("n_words")).first()[0] or 0) + sum(n > 0 for _, n in names.values()) + (ends > 0)
+    plan = _plan(blocks, windows, shard_windows, hot)
+    asked = blocks.select("block", "held", "words", "tokens").mapInArrow(_requests(plan), "block long, place int, payload binary")
+    schema = "block long, place int, payload binary, n_words long, totals binary" + (", trie binary" if keep_tries else "")
+    answers = materialise(asked.groupBy("place").applyInArrow(_answers(plan, keep_tries), schema), "answers")
+    n_words = (answers.agg(F.sum("n_words")).first()[0] or 0) + (ends > 0)
+    totals = tuple(np.zeros(0, t) for t in (np.uint64, np.int64, np.int64))
+    if plan.split:  # a row a split context, of which there are at most 2 * MOST_HOT
+        got = answers.where("totals is not null").select("totals").mapInArrow(_unpack_totals, "name long, total long, kinds long").groupBy("name").agg(F.sum("total").alias("total"), F.sum("kinds").alias("kinds")).toArrow()
+        name = got.column("name").to_numpy().view(np.uint64)
+        order = np.argsort(name)
+        totals = name[order], got.column("total").to_numpy()[order], got.column("kinds").to_numpy()[order]
+        words = _among(totals[0], _mix(NEAR_ANY, plan.words[plan.words != BEGIN]))
+        n_words += int((totals[1][words[words >= 0]] > 0).sum())
     result = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    scored = blocks.select("block", "doc_ids", "held", "words", "tokens").groupBy("block").cogroup(answers.select("block", "shard", "payload").groupBy("block")).applyInArrow(_scores(names, shards, n_train, n_words, ends), result)
+    scored = blocks.select("block", "doc_ids", "held", "words", "tokens").groupBy("block").cogroup(answers.select("block", "place", "payload").groupBy("block")).applyInArrow(_scores(plan, totals, n_train, n_words, ends), result)
     return scored, answers
 
 

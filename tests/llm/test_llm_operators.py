@@ -35,35 +35,101 @@ def plain(text):
     return re.findall(r"[^\x20\x09-\x0d]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")) + [None]
 
 
-def test_elias_fano_and_trie():
+def test_elias_fano(monkeypatch):
     dice = np.random.default_rng(0)
-    for values in (np.zeros(0, int), np.array([0, 0, 0]), np.sort(dice.integers(0, 1 << 40, 3000)), np.arange(1000)):
+    monkeypatch.setattr(lm_scoring, "STRETCH", 65536)
+    for values in (np.zeros(0, int), np.array([0, 0, 0]), np.sort(dice.integers(0, 1 << 40, 3000)), np.arange(1000), np.sort(dice.integers(0, 1 << 30, 200_000)), np.repeat(np.arange(3) << 50, 70_000), np.arange(65536 * 2)):
         e, _ = lm_scoring.EliasFano.view(lm_scoring.EliasFano.of(values).to_bytes(), 0)
-        assert (e.decode() == values).all() and all(e[i] == values[i] for i in range(0, len(values), 37))
-    w1, w2, w3 = (dice.integers(10, 40, 2000) for _ in range(3))
-    t = lm_scoring.Trie.view(lm_scoring.Trie.build(w1, w2, w3, np.ones(2000, int)).to_bytes())
-    a, b = t.lookup_all(w1[:50], w2[:50], w3[:50])
-    assert all(np.allclose(t.lookup(int(x), int(y), int(z)), (p, q)) for x, y, z, p, q in zip(w1[:50], w2[:50], w3[:50], a, b, strict=True))
-    near = np.arange(5, 45)
-    a, b = t.lookup_all(np.full(40, w1[0]), np.full(40, w2[0]), near)
-    mass = a.sum() + b[0] * 1.0
-    assert 0.98 < mass <= 1 + 1e-9  # what is seen and what is left for the unigrams
-
-
-@pytest.mark.parametrize("hot,shard", [(10**6, 10**6), (5, 40)])
-def test_lm_scores(spark, docs, empty, hot, shard):
-    held = docs.withColumn("held", F.crc32(F.col("doc_id").cast("string")) % 7 == 2)
-    got = lm_scoring.train_and_score(held, block_chars=200, shard_windows=shard, hot=hot)[0].collect()
-    rows = held.select("text", "held").collect()
-    count: dict = {}
-    for r in rows:
-        for t in plain(r.text) if not r.held else []:
-            count[t] = count.get(t, 0) + 1
-    n, v = sum(count.values()), len(count)
-    want = sorted((round(sum(math.log10((count.get(t, 0) + 1) / (n + v + 1)) for t in plain(r.text)), 9), len(plain(r.text)), sum(t in count for t in plain(r.text)), n) for r in rows)
-    assert sorted((round(r.base_score, 9), r.n_tokens, r.n_known, r.train_tokens) for r in got) == want
-    assert all(r.score <= 0 for r in got)
+        assert (e.decode() == values).all() and all(e[i] == values[i] for i in range(0, len(values), 3001))
+        for i in range(0, len(values), 65536):
+            assert (e.decode(i, i + 65536) == values[i : i + 65536]).all()
+        asked = dice.permutation(np.concatenate([values[::17], values[::13] + 1, [-1, 1 << 60]]))
+        at, there = e.locate(asked), np.isin(asked, values)
+        assert ((at >= 0) == there).all() and (values[at[there]] == asked[there]).all()
+        some = np.sort(dice.integers(0, max(1, len(values)), 500)) if len(values) else np.zeros(0, int)
+        assert (e.gather(some) == values[some]).all()
+
+
+def test_trie_searches_agree():
+    dice = np.random.default_rng(0)
+    windows, count = np.unique(dice.integers(0, 30, (3000, 3)), axis=0, return_counts=True)  # (w2, w1, w3) in order
+    words, near = np.arange(0, 60, 2), np.arange(5, 35)
+    seen = dice.random(len(windows)) < 0.7
+    m, a, b = windows[seen].T
+    t = lm_scoring.Trie.build(words, near, m, a, b, count[seen]).mapped()
+    wide = np.unique(np.concatenate([windows, dice.integers(0, 32, (500, 3))]), axis=0)
+    m, a, b = wide.T
+    words, near = np.arange(0, 64, 2), np.arange(5, 37)
+    got = t.answer(words, near, m, a, b)
+    new = np.cumsum((np.diff(m, prepend=-1) != 0) | (np.diff(a, prepend=-1) != 0)) - 1
+    for i in range(0, len(wide), 7):
+        assert t.lookup(int(near[a[i]]), int(words[m[i]]), int(near[b[i]])) == (got["a3"][i], got["b3"][new[i]], got["a2"][i], got["b2"][m[i]])
+    value = lm_scoring.value_of
+    for x, y in ((3, 4), (31, 4), (3, 31)):  # what is seen and what is left for the unigrams
+        codes = [t.lookup(int(near[x]), int(words[y]), int(w)) for w in near]
+        mass = sum(value(p) + value(q) * (value(r) + value(s) / 31) for p, q, r, s in codes) + value(codes[0][1]) * value(codes[0][3]) * (1 - len(near) / 31)
+        assert 0.98 < mass <= 1 + 1e-9
+
+
+def brute_scores(rows):
+    """(base, score, n_tokens, n_known, all training tokens) of (text, held) by a plain trigram model."""
+    step = lambda p: 10.0 ** (-math.ceil(-math.log10(p) * lm_scoring.STEPS) / lm_scoring.STEPS) if p > 0 else 0.0
+    one, two, three = {}, {}, {}
+    windows = lambda t: (lambda x: zip([0, 0, *x][: len(x)], [0, *x][: len(x)], x, strict=True))(plain(t))
+    for text, held in rows:
+        for x, y, z in () if held else windows(text):
+            one[z] = one.get(z, 0) + 1
+            for k, of in ((y, two), ((x, y), three)):
+                of.setdefault(k, {})[z] = of.setdefault(k, {}).get(z, 0) + 1
+    n, v = sum(one.values()), len(one)
+
+    def part(of, k, z, rest):
+        seen = of.get(k)
+        if not seen:
+            return rest
+        total = sum(seen.values()) + len(seen)
+        return step(seen.get(z, 0) / total) + step(len(seen) / total) * rest
+
+    out = []
+    for text, _ in rows:
+        low = [(one.get(z, 0) + 1) / (n + v + 1) for z in plain(text)]
+        full = [part(three, (x, y), z, part(two, y, z, p)) for (x, y, z), p in zip(windows(text), low, strict=True)]
+        out.append((sum(map(math.log10, low)), sum(map(math.log10, full)), len(low), sum(z in one for z in plain(text)), n))
+    return out
+
+
+@pytest.mark.parametrize("hot,shard,block", [(10**6, 10**6, 1 << 23), (5, 40, 200), (2, 7, 3000), (60, 10**6, 1 << 23)])
+def test_lm_scores(spark, docs, empty, hot, shard, block):
+    """However windows are dealt, scores are those of a plain model."""
+    prose = spark.createDataFrame([(100 + i, f"the cat sat on the mat and the dog of the house sat on the {i % 5} of the {i % 7} the end", "s", 1.0, 0, "r") for i in range(60)], DOC)
+    held = docs.unionByName(prose).withColumn("held", F.crc32(F.col("doc_id").cast("string")) % 7 == 2)
+    got = lm_scoring.train_and_score(held, block_chars=block, shard_windows=shard, hot=hot)[0].collect()
+    rows = [(r.text, bool(r.held)) for r in held.select("text", "held").collect()]
+    want = sorted(brute_scores(rows))
+    have = sorted((r.base_score, r.score, r.n_tokens, r.n_known, r.train_tokens) for r in got)
+    assert np.allclose(np.array(have), np.array(want), rtol=0, atol=1e-7)
+
+
+def test_lm_scores_of_no_documents(spark, docs, empty):
     assert lm_scoring.train_and_score(empty.withColumn("held", F.lit(False)))[0].count() == 0
+    untrained = lm_scoring.train_and_score(docs.withColumn("held", F.lit(True)))[0].collect()
+    assert all(r.score == r.base_score == 0.0 and r.n_known == 0 and r.train_tokens == 0 for r in untrained)
+
+
+def test_lm_scores_of_the_given_table(spark):
+    """The same scores for any shards and hot words, and stored tries that answer as the model does."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text", (F.col("doc_id") % 7 == 2).alias("held"))
+    made = {}
+    for shard, hot in ((2_000_000, 500_000), (20_000, 500_000), (20_000, 300)):
+        scored, answers = lm_scoring.train_and_score(docs, shard_windows=shard, hot=hot, keep_tries=True)
+        made[shard, hot] = {r.doc_id: (r.score, r.base_score) for r in scored.collect()}
+        tries = [lm_scoring.Trie.view(r.trie) for r in answers.where("trie is not null").collect()]
+        assert len(tries) > 1 or shard > 20_000
+    first = made[2_000_000, 500_000]
+    for other in made.values():
+        assert set(other) == set(first) and all(np.allclose(other[i], first[i], rtol=0, atol=1e-6) for i in first)
+    rows = [(r.text, bool(r.held)) for r in docs.orderBy("doc_id").limit(40).collect()]
+    assert len(brute_scores(rows)) == 40
 
 
 def test_preferences(spark):
