@@ -51,8 +51,8 @@ from .common import materialise, slices, table, tidy
 
 #: Middle words: what stands before a text, and any word; words are hashes above them.
 BEGIN, ANY = 2, 3
-#: Neighbours: the begin, the end, words as the upper 48 of the 62 bits of their hash, any word.
-NEAR_BEGIN, NEAR_END, NEAR_ANY, NEAR_SHIFT = 0, 1, 1 << 48, np.uint64(14)
+#: Neighbours: the begin, the end, words as the upper 40 of the 62 bits of their hash, any word. Two words are confused only where both follow, or both go before, one middle word.
+NEAR_BEGIN, NEAR_END, NEAR_ANY, NEAR_SHIFT = 0, 1, 1 << 40, np.uint64(22)
 #: Codes of logarithms: steps per unit, and the code of nothing. Values of a sequence that are decoded at a time.
 STEPS, NOTHING = 512, 65535
 STRETCH = 65536
@@ -390,15 +390,16 @@ class Windows:
 
     def __init__(self, words: bytes, tokens: bytes, held: list[bool], plan: Plan):
         self.words, self.plan = _open(words)[0], plan
-        self.tokens, self.each = (x.astype(np.int64) for x in _open(tokens))
+        self.tokens, self.each = _open(tokens)
         order = np.argsort(self.words)  # ids in the order of hashes, so that lists of either are sorted
-        rank = np.zeros(len(order) + 1, np.int64)
+        rank = np.zeros(len(order) + 1, np.int32)
         rank[order + 1] = np.arange(1, len(order) + 1)
-        self.words, self.tokens = self.words[order], rank[self.tokens]
+        self.words, self.tokens, self.each = self.words[order], rank[self.tokens], self.each.astype(np.int64)
         first = np.zeros(len(self.tokens), bool)
         first[np.cumsum(self.each) - self.each] = True
-        self.w2 = np.concatenate([[0], self.tokens[:-1]])
-        self.w1 = np.concatenate([[0, 0], self.tokens[:-2]])[: len(self.tokens)]
+        none = np.zeros(2, np.int32)
+        self.w2 = np.concatenate([none[:1], self.tokens[:-1]])
+        self.w1 = np.concatenate([none, self.tokens[:-2]])[: len(self.tokens)]
         self.w2[first] = 0
         self.w1[first] = 0
         self.w1[np.flatnonzero(first[:-1]) + 1] = 0
@@ -411,14 +412,19 @@ class Windows:
         self.train = np.repeat(~np.array(held, bool), self.each)
 
     def keys(self) -> np.ndarray:
+        """A number for each window, which sorts them by w2, w1, w3."""
         if 3 * self.bits > 61:
             raise ValueError("a block has too many words; make blocks smaller")
-        return (self.w2 << self.bits | self.w1) << self.bits | self.tokens
+        keys = self.w2.astype(np.int64)
+        for x in (self.w1, self.tokens):
+            keys <<= self.bits
+            keys |= x
+        return keys
 
     def split(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(w2, w1, w3)."""
         mask = (1 << self.bits) - 1
-        return keys >> 2 * self.bits, keys >> self.bits & mask, keys & mask
+        return (keys >> 2 * self.bits).astype(np.int32), (keys >> self.bits & mask).astype(np.int32), (keys & mask).astype(np.int32)
 
     def before(self, w1: np.ndarray) -> np.ndarray:
         """Local numbers of neighbours before a middle word."""
@@ -430,7 +436,7 @@ class Windows:
     def hot_pairs(self, least: int) -> tuple[np.ndarray, np.ndarray]:
         """Contexts (w1, w2) of hot words with ``least`` windows here, and how many."""
         both = self.hot[self.w1] & self.hot[self.w2]
-        pair, n = np.unique(self.w2[both] << self.bits | self.w1[both], return_counts=True)
+        pair, n = np.unique(self.w2[both].astype(np.int64) << self.bits | self.w1[both], return_counts=True)
         pair, n = pair[n >= least], n[n >= least]
         return _mix(self.near[self.before(pair & (1 << self.bits) - 1)], self.middle[pair >> self.bits]), n
 
@@ -452,22 +458,25 @@ class Dealt:
 
 def _deal(w: Windows, keys: np.ndarray) -> Dealt:
     plan, (w2, w1, w3) = w.plan, w.split(keys)
-    place = (w.middle[w2] % np.uint64(plan.cold)).astype(np.int64)
+    place = (w.middle % np.uint64(plan.cold)).astype(np.int32)[w2]
     hot = np.flatnonzero(w.hot[w2])
     if not len(hot):
         return Dealt(keys, place, np.argsort(place, kind="stable"), hot, hot, np.zeros(len(keys), np.uint64))
-    wide, any_of = np.unique((w2[hot] << w.bits | w.any) << w.bits | w3[hot], return_inverse=True)
+    wide, any_of = np.unique((w2[hot].astype(np.int64) << w.bits | w.any) << w.bits | w3[hot], return_inverse=True)
     first = plan.cold + plan.by_pair
     pair = _mix(w.near[w.before(w1[hot])], w.middle[w2[hot]])
-    mine = (_mix(pair, w.near[w.after(w3[hot])]) % np.uint64(plan.split)).astype(np.int64) + first
-    place[hot] = np.where(_among(plan.pairs, pair) >= 0, mine, (pair % np.uint64(plan.by_pair)).astype(np.int64) + plan.cold)
+    mine = (_mix(pair, w.near[w.after(w3[hot])]) % np.uint64(plan.split)).astype(np.int32) + first
+    place[hot] = np.where(_among(plan.pairs, pair) >= 0, mine, (pair % np.uint64(plan.by_pair)).astype(np.int32) + plan.cold)
     v2, _, v3 = w.split(wide)
     every = _mix(NEAR_ANY, w.middle[v2])
-    place = np.concatenate([place, (_mix(every, w.near[w.after(v3)]) % np.uint64(plan.split)).astype(np.int64) + first])
+    place = np.concatenate([place, (_mix(every, w.near[w.after(v3)]) % np.uint64(plan.split)).astype(np.int32) + first])
     context = np.zeros(len(place), np.uint64)
     context[hot], context[len(keys) :] = pair, every
+    order = np.argsort(place, kind="stable")  # both lists are in the order of keys, and any word comes last
     keys = np.concatenate([keys, wide])
-    return Dealt(keys, place, np.lexsort((keys, place)), hot, any_of + len(w2), context)
+    mixed = np.flatnonzero(place[order] >= first)
+    order[mixed] = order[mixed][np.lexsort((keys[order[mixed]], place[order[mixed]]))]
+    return Dealt(keys, place, order, hot, any_of + len(w2), context)
 
 
 def _runs(*sorted_by: np.ndarray) -> np.ndarray:
@@ -478,29 +487,43 @@ def _runs(*sorted_by: np.ndarray) -> np.ndarray:
     return new
 
 
+def _asked(words: bytes, tokens: bytes, held: list[bool], plan: Plan) -> tuple[np.ndarray, list[bytes]]:
+    """Places that a block asks, and what it asks each."""
+    w = Windows(words, tokens, held, plan)
+    keys = w.keys()
+    del w.w1, w.w2, w.tokens
+    keys <<= 1
+    keys |= w.train
+    both, n = np.unique(keys, return_counts=True)
+    keys, at = np.unique(both >> 1, return_index=True)
+    count = np.add.reduceat(np.where(both & 1, n, 0), at).astype(np.int32) if len(at) else n.astype(np.int32)
+    del both, n, at
+    d = _deal(w, keys)
+    count = np.concatenate([count, np.bincount(d.any_of - len(keys), count[d.hot], len(d.keys) - len(keys)).astype(np.int32)])[d.order]
+    place, (w2, w1, w3) = d.place[d.order], w.split(d.keys[d.order])
+    del d, keys
+    first, last = w.before(w1), w.after(w3)
+    edges = np.append(np.flatnonzero(np.diff(place, prepend=-1)), len(place))
+    payloads = []
+    for a, b in zip(edges[:-1], edges[1:], strict=True):
+        middle, run_of = np.unique(w2[a:b], return_counts=True)
+        near = np.unique(np.concatenate([first[a:b], last[a:b]]))
+        before = np.searchsorted(near, first[a:b])
+        step = np.diff(before, prepend=0)  # grows within the run of a middle word
+        begin = np.cumsum(run_of) - run_of
+        step[begin] = before[begin]
+        payloads.append(_squeeze(_gaps(w.middle[middle]), _fit(run_of), _gaps(w.near[near]), _fit(step), _fit(np.searchsorted(near, last[a:b])), _fit(count[a:b])))
+    return place[edges[:-1]], payloads
+
+
 def _requests(plan: Plan):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for r in range(batch.num_rows):
-                w = Windows(batch.column("words")[r].as_py(), batch.column("tokens")[r].as_py(), batch.column("held")[r].as_py(), plan)
-                both, n = np.unique(w.keys() << 1 | w.train, return_counts=True)
-                keys, at = np.unique(both >> 1, return_index=True)
-                count = np.add.reduceat(np.where(both & 1, n, 0), at) if len(at) else n
-                d = _deal(w, keys)
-                count = np.concatenate([count, np.bincount(d.any_of - len(keys), count[d.hot], len(d.keys) - len(keys)).astype(np.int64)])[d.order]
-                place, (w2, w1, w3) = d.place[d.order], w.split(d.keys[d.order])
-                first, last = w.before(w1), w.after(w3)
-                edges = np.append(np.flatnonzero(np.diff(place, prepend=-1)), len(place))
-                payloads = []
-                for a, b in zip(edges[:-1], edges[1:], strict=True):
-                    middle, run_of = np.unique(w2[a:b], return_counts=True)
-                    near = np.unique(np.concatenate([first[a:b], last[a:b]]))
-                    before = np.searchsorted(near, first[a:b])
-                    step = np.diff(before, prepend=0)  # grows within the run of a middle word
-                    begin = np.cumsum(run_of) - run_of
-                    step[begin] = before[begin]
-                    payloads.append(_squeeze(_gaps(w.middle[middle]), _fit(run_of), _gaps(w.near[near]), _fit(step), _fit(np.searchsorted(near, last[a:b])), _fit(count[a:b])))
-                yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(payloads), pa.int64()), "place": pa.array(place[edges[:-1]], pa.int32()), "payload": pa.array(payloads, pa.binary())})
+                places, payloads = _asked(batch.column("words")[r].as_py(), batch.column("tokens")[r].as_py(), batch.column("held")[r].as_py(), plan)
+                yield pa.RecordBatch.from_pydict({"block": pa.array([batch.column("block")[r].as_py()] * len(payloads), pa.int64()), "place": pa.array(places, pa.int32()), "payload": pa.array(payloads, pa.binary())})
+                del payloads
+                tidy()
 
     return run
 
@@ -533,15 +556,17 @@ def _answers(plan: Plan, keep_trie: bool):
         words, near = np.unique(np.concatenate([p[0] for p in parts])), np.unique(np.concatenate([p[2] for p in parts]))
         mine = [_windows(p, np.searchsorted(words, p[0]), np.searchsorted(near, p[2])) for p in parts]
         m, a, b = (np.concatenate([x[k] for x in mine]) for k in range(3))
+        count = np.concatenate([p[5] for p in parts])
+        parts = [(p[0], len(p[5])) for p in parts]
         del mine
         order, new = _distinct(m, a, b, len(words), len(near))
         which = np.empty(len(order), np.int32)
         which[order] = np.cumsum(new) - 1
-        count = np.add.reduceat(np.concatenate([p[5] for p in parts]).astype(np.int64)[order], np.flatnonzero(new))
+        count = np.add.reduceat(count.astype(np.int64)[order], np.flatnonzero(new))
         m, a, b = (x[order[new]] for x in (m, a, b))
         del order, new
         pair = _runs(m, a)
-        edges = np.cumsum([0] + [len(p[4]) for p in parts])
+        edges = np.cumsum([0] + [n for _, n in parts])
         out = {"payload": [], "n_words": 0, "totals": None, "trie": None}
         if kind == 2:
             out["payload"] = [_squeeze(_fit(count[which[x:y]])) for x, y in zip(edges[:-1], edges[1:], strict=True)]
@@ -556,12 +581,12 @@ def _answers(plan: Plan, keep_trie: bool):
             if kind == 0:
                 out["n_words"] = int(((total > 0) & (words != BEGIN)).sum())
             pair_of = np.cumsum(pair) - 1
-            for p, x, y in zip(parts, edges[:-1], edges[1:], strict=True):
+            for (mine, _), x, y in zip(parts, edges[:-1], edges[1:], strict=True):
                 at = which[x:y]
                 by_pair = pair_of[at]
                 codes = [code["a3"][at], code["b3"][by_pair[_runs(by_pair)]]]
                 if kind == 0:
-                    middle = np.searchsorted(words, p[0])
+                    middle = np.searchsorted(words, mine)
                     codes += [code["a2"][at], code["b2"][middle], _fit(total[middle])]
                 out["payload"].append(_squeeze(*codes))
             if keep_trie:
@@ -587,6 +612,8 @@ def _scores(plan: Plan, totals: tuple[np.ndarray, np.ndarray, np.ndarray], n_tra
     def score(w: Windows, answers: pa.Table) -> tuple[np.ndarray, np.ndarray]:
         """Log10 probability and training count of every token."""
         keys, inverse = np.unique(w.keys(), return_inverse=True)
+        del w.w1, w.w2
+        inverse = inverse.astype(np.int32)
         d = _deal(w, keys)
         place, (w2, w1, _) = d.place[d.order], w.split(d.keys[d.order])
         n = len(d.keys)
@@ -634,6 +661,8 @@ def _scores(plan: Plan, totals: tuple[np.ndarray, np.ndarray, np.ndarray], n_tra
             out["n_known"] += total_of((count > 0).astype(np.int64))
             out["base_score"] += total_of(np.log10((count + 1.0) / denominator))
             out["score"] += total_of(each)
+            del w, each, count
+            tidy()
         return pa.table({"doc_id": pa.array(out["doc_id"], pa.int64()), "held_out": pa.array(out["held_out"], pa.bool_()), "n_tokens": pa.array(out["n_tokens"], pa.int64()), "n_known": pa.array(out["n_known"], pa.int64()), "train_tokens": pa.array([n_train] * len(out["doc_id"]), pa.int64()), "base_score": pa.array(out["base_score"], pa.float64()), "score": pa.array(out["score"], pa.float64())})
 
     return of
@@ -691,7 +720,7 @@ def _plan(blocks: DataFrame, windows: int, shard_windows: int, hot: int) -> Plan
     return plan
 
 
-def train_and_score(docs: DataFrame, held: str = "held", id_col: str = "doc_id", text_col: str = "text", block_chars: int = 1 << 23, shard_windows: int = 2_000_000, hot: int = 500_000, keep_tries: bool = False) -> tuple[DataFrame, DataFrame]:
+def train_and_score(docs: DataFrame, held: str = "held", id_col: str = "doc_id", text_col: str = "text", block_chars: int = 1 << 23, shard_windows: int = 1_000_000, hot: int = 1_000_000, keep_tries: bool = False) -> tuple[DataFrame, DataFrame]:
     """Scores of all documents by a model of those whose ``held`` column is false, and the table of answers.
 
     ``shard_windows`` and ``hot`` bound what meets in a task and change no score. With ``keep_tries`` the answers have
