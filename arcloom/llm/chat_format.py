@@ -3,8 +3,8 @@
 The longest common prefix of turns is rendered once as the prompt; what follows is rendered as two completions. A
 completion's mask lists the character spans that count for the loss: the texts of assistant turns with their end marks.
 
-A turn equals another if role and text are equal (nulls are equal to nulls). Null roles and texts render as empty
-strings. Turns are ordered by their number, then role and text; null numbers come first; repeated turns stay. Equal
+A turn equals another if role and text are equal. Null roles and texts count and render as empty strings, a null
+list of turns as none. Turns are ordered by their number, then role and text; null numbers come first; repeated turns stay. Equal
 conversations give empty completions and status ``identical``. Empty table: no rows. Other columns are not read. A
 conversation is one record and is rendered as a whole.
 """
@@ -26,6 +26,12 @@ def conversations(turns: DataFrame, id_col: str = "conv_id") -> DataFrame:
     return rows.groupBy("id").agg(F.transform(F.sort_array(F.collect_list("t")), lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text"))).alias("turns"))
 
 
+def _whole(turns: Column) -> Column:
+    """Turns without nulls."""
+    part = lambda t, k: F.coalesce(t[k], F.lit("")).alias(k)
+    return F.coalesce(F.transform(turns, lambda t: F.struct(part(t, "role"), part(t, "text"))), F.array().cast("array<struct<role:string,text:string>>"))
+
+
 def _render(turns: Column) -> Column:
     return F.array_join(F.transform(turns, lambda t: F.concat(F.lit(OPEN), t["role"], F.lit(CLOSE), t["text"], F.lit(END))), "")
 
@@ -46,9 +52,10 @@ def _mask(turns: Column) -> Column:
 
 def format_preferences(pairs: DataFrame) -> DataFrame:
     """From (id, chosen, rejected), arrays of turns, to prompt and masked completions."""
+    pairs = pairs.select("id", _whole(F.col("chosen")).alias("chosen"), _whole(F.col("rejected")).alias("rejected"))
     n, m = F.size("chosen"), F.size("rejected")
     least = F.least(n, m)
-    same = F.when(least > 0, F.zip_with(F.slice("chosen", 1, least), F.slice("rejected", 1, least), lambda a, b: a.eqNullSafe(b))).otherwise(F.array().cast("array<boolean>"))
+    same = F.when(least > 0, F.zip_with(F.slice("chosen", 1, least), F.slice("rejected", 1, least), lambda a, b: a == b)).otherwise(F.array().cast("array<boolean>"))
     miss = F.array_position(same, False)
     p = pairs.withColumn("n_prompt_turns", F.when(miss > 0, miss - 1).otherwise(least).cast("int"))
     rest = {k: F.slice(k, F.col("n_prompt_turns") + 1, F.greatest(F.size(k) - F.col("n_prompt_turns"), F.lit(0))) for k in ("chosen", "rejected")}

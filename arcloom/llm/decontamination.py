@@ -14,7 +14,7 @@ Benchmark items are the stated query set. They are taken in blocks of at most ``
 ``block_chars`` characters; a block's hash table is bounded and goes to every task, and the documents are scanned
 once per block, so a benchmark of any size is matched whole without a shuffle of document hashes.
 
-Null or empty texts match nothing. Items under ``min_item`` words are too general and are not searched. Items shorter
+Null or empty texts match nothing. Very long texts are searched whole, a few MB of words at a time. Items under ``min_item`` words are too general and are not searched. Items shorter
 than ``min_overlap`` words must be matched over their whole length, whose ends may be substituted. Null ids pass through. Repeated rows
 each get a row. Empty tables: no rows. Other columns are not read.
 """

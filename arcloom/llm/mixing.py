@@ -11,9 +11,10 @@ The classifier is naive Bayes over the presence of hashed words and of style cla
 ``sample`` labelled documents, those with the smallest hash of their id (documented parameter). Its table has a row
 per telling bucket, at most 2**BITS, which bounds what is broadcast.
 
-Null or empty text: no tokens, the prior as posterior. Null labels are not used. Null ids pass through. Repeated rows
-get equal rates. No labels: equal priors. A domain without documents cannot meet a target; the others still do. Empty
-table: no rows. Other columns are not read by ``document_rates`` and pass through ``draw``.
+Null or empty text: no tokens, the posterior of such texts. Very long texts are read whole. Null labels are not used. Null ids
+pass through. Repeated rows get equal rates. No labels: equal priors. A domain without documents cannot meet a
+target; the others still do. Empty table: no rows. Other columns are not read by ``document_rates`` and pass through
+``draw`` with their values, whatever their names; a kept column named as one of the result raises.
 """
 
 from __future__ import annotations
@@ -22,13 +23,14 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import LOWER, UPPER, materialise, table
+from .common import LOWER, UPPER, materialise, table, unused
 
 DOMAINS = ("clean", "poor", "toxic")
+FEATURES = "features of the text"
 BITS = 16
-#: Marks that are dropped from words, white space that becomes a blank, and strings whose share marks a style.
+#: Marks that are dropped from words, white space that becomes a blank, and ASCII marks that plain prose does without.
 MARKS, BLANKS = ".,;:?", "\t\n\x0b\x0c\r"
-STYLES = ("!!", "***", "&&&", "$$$", "###", "%%%", " | ")
+SYMBOLS = "!#$%&*+/<=>@[\\]^_`{|}~"
 
 
 #: Documents that the share of a bucket in all domains counts for in each; a domain without documents says nothing.
@@ -49,14 +51,17 @@ def _words(text: Column) -> Column:
 
 
 def with_features(docs: DataFrame, keep: list[str], text_col: str = "text") -> DataFrame:
-    """``keep``, n_tokens, and the buckets of words and styles that are present."""
-    d = docs.select(*keep, F.col(text_col).cast("string").alias("_text")).withColumn("_words", _words(F.col("_text"))).withColumn("n_tokens", F.size("_words").cast("long")).withColumn("_set", F.array_distinct("_words"))
-    text = F.coalesce("_text", F.lit(""))
-    counts = [(s, (F.length(text) - F.length(F.replace(text, F.lit(s), F.lit("")))) / len(s)) for s in STYLES]
-    style = [F.concat(F.lit(f" {s} "), _share_class(n, F.col("n_tokens")).cast("string")) for s, n in counts]
-    style.append(F.concat(F.lit(" distinct "), F.floor(10 * F.size("_set") / F.greatest(F.col("n_tokens"), F.lit(1))).cast("string")))
+    """``keep``, n_tokens, and the words and styles that are present."""
+    if clash := {c.lower() for c in keep} & {"n_tokens", "rate", *(f"p{k}" for k in range(len(DOMAINS)))}:
+        raise ValueError(f"kept columns clash with the result: {sorted(clash)}")
+    _text, _list, _set = unused([*keep, "n_tokens", FEATURES], "text", "words", "set")
+    d = docs.select(*keep, F.col(text_col).cast("string").alias(_text)).withColumn(_list, _words(F.col(_text))).withColumn("n_tokens", F.size(_list).cast("long")).withColumn(_set, F.array_distinct(_list))
+    text, tokens = F.coalesce(_text, F.lit("")), F.greatest(F.col("n_tokens"), F.lit(1))
+    style = [F.concat(F.lit(" symbols "), _share_class(F.length(text) - F.length(F.translate(text, SYMBOLS, "")), F.col("n_tokens")).cast("string"))]
+    style.append(F.concat(F.lit(" distinct "), F.floor(10 * F.size(_set) / tokens).cast("string")))
     style.append(F.concat(F.lit(" capitals "), F.floor(10 * (F.length(text) - F.length(F.translate(text, UPPER, ""))) / F.greatest(F.length(text), F.lit(1))).cast("string")))
-    return d.select(*keep, "n_tokens", F.concat("_set", F.array(*style)).alias("_features"))
+    style.append(F.concat(F.lit(" letters "), F.least(F.floor(F.length(text) / tokens), F.lit(20)).cast("string")))
+    return d.select(*keep, "n_tokens", F.concat(_set, F.array(*style)).alias(FEATURES))
 
 
 def _bucket(feature: Column) -> Column:
@@ -68,7 +73,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 12_000, id_col: str =
     spark = docs.sparkSession
     chosen = labels.select(F.col(id_col).alias("_id"), F.col("domain")).where("_id is not null and domain is not null").groupBy("_id").agg(F.max("domain").alias("domain")).orderBy(F.xxhash64("_id"), "_id").limit(sample)
     mine = docs.select(F.col(id_col).alias("_id"), F.col(text_col)).join(F.broadcast(chosen), "_id")
-    seen = materialise(with_features(mine, ["domain"], text_col).select("domain", F.explode_outer("_features").alias("f")).groupBy(_bucket(F.col("f")).alias("bucket"), "domain").agg(F.count("*").alias("n")), "buckets")
+    seen = materialise(with_features(mine, ["domain"], text_col).select("domain", F.explode_outer(FEATURES).alias("f")).groupBy(_bucket(F.col("f")).alias("bucket"), "domain").agg(F.count("*").alias("n")), "buckets")
     sizes = {r[0]: r[1] for r in materialise(mine.groupBy("domain").agg(F.count("*").alias("n")), "domains").collect()}
     n = [sizes.get(k, 0) for k in range(len(DOMAINS))]
     total = sum(n) + len(n)
@@ -83,11 +88,12 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 12_000, id_col: str =
 
 def posteriors(docs: DataFrame, weights: DataFrame, priors: list[float], keep: list[str], text_col: str = "text") -> DataFrame:
     """``keep``, n_tokens, p0, p1, ... One scan; the only exchange has a partial sum a document."""
-    features = with_features(docs, keep, text_col).withColumn("_row", F.monotonically_increasing_id())
-    names = [f"w{k}" for k in range(1, len(DOMAINS))]
-    each = features.select("_row", *keep, "n_tokens", F.explode_outer("_features").alias("f")).select("_row", *keep, "n_tokens", _bucket(F.col("f")).alias("bucket"))
-    sums = each.join(F.broadcast(weights), "bucket", "left").groupBy("_row").agg(*[F.first(c).alias(c) for c in [*keep, "n_tokens"]], *[F.coalesce(F.sum(w), F.lit(0.0)).alias(w) for w in names])
-    logit = [F.lit(priors[0]), *[F.lit(priors[k]) + F.greatest(F.lit(-60.0), F.least(F.lit(60.0), F.col(f"w{k}"))) for k in range(1, len(DOMAINS))]]
+    row, feature, bucket, *names = unused([*keep, "n_tokens", FEATURES], "row", "feature", "bucket", *[f"w{k}" for k in range(1, len(DOMAINS))])
+    features = with_features(docs, keep, text_col).withColumn(row, F.monotonically_increasing_id())
+    each = features.select(row, *keep, "n_tokens", F.explode_outer(FEATURES).alias(feature)).select(row, *keep, "n_tokens", _bucket(F.col(feature)).alias(bucket))
+    by_bucket = weights.select(F.col("bucket").alias(bucket), *[F.col(f"w{k}").alias(w) for k, w in enumerate(names, 1)])
+    sums = each.join(F.broadcast(by_bucket), bucket, "left").groupBy(row).agg(*[F.first(c).alias(c) for c in [*keep, "n_tokens"]], *[F.coalesce(F.sum(w), F.lit(0.0)).alias(w) for w in names])
+    logit = [F.lit(priors[0]), *[F.lit(priors[k]) + F.greatest(F.lit(-60.0), F.least(F.lit(60.0), F.col(w))) for k, w in enumerate(names, 1)]]
     top = F.greatest(*logit)
     share = [F.exp(x - top) for x in logit]
     return sums.select(*keep, "n_tokens", *[(x / sum(share[1:], share[0])).alias(f"p{k}") for k, x in enumerate(share)])
@@ -152,11 +158,12 @@ def draw(docs: DataFrame, rates: DataFrame, id_col: str = "doc_id", text_col: st
 
     ``rates`` has (id, text_hash, rate); chance is a hash of the id, so a rerun draws alike.
     """
-    by = rates.select(F.col(id_col).alias("_id"), F.col("text_hash").alias("_hash"), F.col("rate").alias("_rate")).dropDuplicates(["_id", "_hash"])
-    keyed = docs.withColumn("_key", F.xxhash64(text_col))
-    chance = F.pmod(F.xxhash64(F.lit(seed), F.col("_id"), "_hash"), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    drawn = keyed.join(by, keyed[id_col].eqNullSafe(by["_id"]) & (keyed["_key"] == by["_hash"])).withColumn("_times", F.floor(F.col("_rate") + chance).cast("int"))
-    return drawn.where("_times > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*[keyed[c] for c in docs.columns])
+    key, of, hash_, rate, times, copy = unused(docs.columns, "key", "rate_of", "rate_hash", "rate", "times", "copy")
+    by = rates.select(F.col(id_col).alias(of), F.col("text_hash").alias(hash_), F.col("rate").alias(rate)).dropDuplicates([of, hash_])
+    keyed = docs.withColumn(key, F.xxhash64(text_col))
+    chance = F.pmod(F.xxhash64(F.lit(seed), F.col(of), F.col(hash_)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    drawn = keyed.join(by, keyed[id_col].eqNullSafe(by[of]) & (keyed[key] == by[hash_])).withColumn(times, F.floor(F.col(rate) + chance).cast("int"))
+    return drawn.where(F.col(times) > 0).withColumn(copy, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[keyed[c] for c in docs.columns])
 
 
 SHARES = [0.94, 0.04, 0.02]

@@ -7,7 +7,7 @@ with as many of the run as fit, which is what packing them one by one does), and
 groups by their rank within their size.
 
 Null text: 8 bytes, in one group with the empty text. Null ids are kept. Repeated rows are members of one group.
-Empty table: no rows. A group larger than an even share gets a shard of its own. Other columns are not read.
+Texts of any length are whole. Empty table: no rows. A group larger than an even share gets a shard of its own. Other columns are not read.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from collections.abc import Iterable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import gapless_rank, materialise, table
+from .common import gapless_rank, materialise, small, table
 
 
 class Treap:
@@ -139,7 +139,7 @@ def pack_groups(docs: DataFrame, shards: int | None = None, capacity: int | None
         runs = even_bins(histogram, shards or 1)
     placed = spark.createDataFrame(runs, "bytes long, a long, b long, shard int")
     ranked = gapless_rank(groups, ["bytes"], ["h1", "h2"], "rank", n_groups)
-    where = ranked.join(placed, "bytes").where("rank >= a and rank < b").select("h1", "h2", "shard")
+    where = ranked.join(small(placed, 28), "bytes").where("rank >= a and rank < b").select("h1", "h2", "shard")
     dealt = rows.join(where, ["h1", "h2"]).select("_id", "size", "text_crc32", "shard", "h1")
     return gapless_rank(dealt, ["shard"], ["_id", "h1"], "slot", n_rows).select(F.col("_id").alias(id_col), "size", "text_crc32", "shard", "slot")
 

@@ -142,6 +142,15 @@ def test_preferences(spark):
     assert chat_format.format_preferences(chat_format.stale_pairs(turns.limit(0))).count() == 0
 
 
+def test_preferences_with_nulls(spark):
+    turn = "struct<role:string,text:string>"
+    rows = [(1, [("user", "a"), ("assistant", None)], [("user", "a"), ("assistant", "b")]), (2, [("user", None)], [("user", "")]), (3, None, [(None, "x")])]
+    got = {r.id: r for r in chat_format.format_preferences(spark.createDataFrame(rows, f"id int, chosen array<{turn}>, rejected array<{turn}>")).collect()}
+    assert got[1].chosen_completion == "<|assistant|>\n<|end|>\n" and got[1].chosen_mask == "14-22" and got[1].rejected_mask == "14-23" and got[1].n_prompt_turns == 1
+    assert got[2].status == "identical" and got[2].prompt == "<|user|>\n<|end|>\n"
+    assert got[3].chosen_completion == "" and got[3].rejected_completion == "<||>\nx<|end|>\n" and got[3].status == "pair"
+
+
 def test_jaccard_classes(spark, docs, empty):
     got = {}
     for r in ngram_join.jaccard_classes(docs).collect():
@@ -251,11 +260,148 @@ def test_mixing(spark, empty):
     assert len(got) == 92 and all(r.rate >= 0 and abs(r.p0 + r.p1 + r.p2 - 1) < 1e-9 for r in got)
     tokens = [sum(r.n_tokens * r[f"p{k}"] * r.rate for r in got) for k in range(3)]
     assert abs(tokens[0] - said["targets"][0]) < 1e-3 * tokens[0] and abs(tokens[2] - said["targets"][2]) < 1e-2 * tokens[0]
-    drawn = mixing.draw(docs, rates)
-    assert drawn.columns == docs.columns and drawn.where("doc_id < 60").count() >= 60
+    clashing = docs.withColumnsRenamed({"shard": "key", "size": "times", "_key": "copy"})
+    drawn = mixing.draw(clashing, rates)
+    assert drawn.columns == clashing.columns and drawn.where("doc_id < 60").count() >= 60
+    assert {tuple(r) for r in drawn.drop("text").collect()} <= {tuple(r) for r in clashing.drop("text").collect()}
+    with pytest.raises(ValueError):
+        mixing.with_features(docs, ["rate"])
     assert mixing.document_rates(empty, mixing.domain_labels(labels), [1.0, 0.1, 0.1], ["doc_id"])[0].count() == 0
 
 
+def test_mixing_against_plain_numbers(spark):
+    """Posteriors of all documents by a plain naive Bayes, and the rates by a plain projected solution."""
+    import xxhash
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    labels = mixing.domain_labels(spark.read.parquet("/root/testdata/sf0.001/labels.parquet"))
+    rows = {r.doc_id: r.text for r in docs.collect()}
+    domain = {}
+    for r in labels.collect():
+        if r.domain is not None and r.doc_id in rows:
+            domain[r.doc_id] = max(r.domain, domain.get(r.doc_id, 0))
+    blank = str.maketrans({**dict.fromkeys(mixing.BLANKS, " "), **dict.fromkeys(mixing.MARKS), **{u: u.lower() for u in mixing.UPPER}})
+
+    def features(text):
+        text = text or ""
+        tokens = [w for w in text.translate(blank).split(" ") if w]
+        n, symbols = len(tokens), sum(c in mixing.SYMBOLS for c in text)
+        share = symbols / max(n, 1)
+        style = [f" symbols {0 if not symbols else 1 if share < 0.02 else 2 if share < 0.1 else 3 if share < 0.4 else 4}", f" distinct {10 * len(set(tokens)) // max(n, 1)}"]
+        style += [f" capitals {10 * sum(c in mixing.UPPER for c in text) // max(len(text), 1)}", f" letters {min(len(text) // max(n, 1), 20)}"]
+
+        def bucket(f):
+            h = xxhash.xxh64_intdigest(f, 42)
+            h -= (h >> 63) << 64
+            return -(abs(h) % 1_000_003) - 1 if f[0] == " " else h % (1 << mixing.BITS)
+
+        return n, [bucket(f) for f in [*set(tokens), *style]]
+
+    every = {i: features(t) for i, t in rows.items()}
+    size = [sum(d == k for d in domain.values()) for k in range(3)]
+    seen: dict = {}
+    for i, d in domain.items():
+        for f in every[i][1]:
+            seen.setdefault(f, [0, 0, 0])[d] += 1
+    weight = {}
+    for f, c in seen.items():
+        log_p = [math.log((c[k] + sum(c) / sum(size)) / (size[k] + 1)) for k in range(3)]
+        w = [log_p[1] - log_p[0], log_p[2] - log_p[0]]
+        if sum(c) >= 5 and max(map(abs, w)) >= 1:
+            weight[f] = w
+    prior = [math.log((x + 1) / (sum(size) + 3)) for x in size]
+    model, priors = mixing.fit(docs, labels)
+    got = {r.doc_id: r for r in mixing.posteriors(docs, model, priors, ["doc_id"]).collect()}
+    for i, (n, fs) in every.items():
+        logit = [prior[0], *[prior[k] + max(-60, min(60, sum(weight[f][k - 1] for f in fs if f in weight))) for k in (1, 2)]]
+        p = np.exp(np.array(logit) - max(logit))
+        assert got[i].n_tokens == n and np.allclose([got[i].p0, got[i].p1, got[i].p2], p / p.sum(), atol=1e-9)
+    rates, said = mixing.document_rates(docs, labels, [0.9, 0.06, 0.04], ["doc_id"])
+    found = rates.collect()
+    a = np.array([[r.n_tokens * r[f"p{k}"] for k in range(3)] for r in found])
+    rate = np.array([r.rate for r in found])
+    assert (rate >= 0).all() and np.allclose(a.T @ rate, said["targets"], rtol=1e-3) and np.allclose(said["targets"][0], a[:, 0].sum())
+
+
+def test_pipeline_stages_against_brute_force(spark):
+    """Every stage on what the stage before kept."""
+    import corpus_pipeline
+    from tokenizers import Tokenizer
+
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    run = dict(corpus_pipeline.STAGES)
+    keep = lambda df: {r.doc_id: r.text for r in df.collect()}
+    good = run["quality"](spark, docs, sf)
+    assert good.columns == docs.columns
+    graded = {r.doc_id: r for r in spark.read.parquet(f"{sf}/labels.parquet").collect()}
+    kept, before = keep(good), keep(docs)
+    clean = [i for i, r in graded.items() if i in before and r.quality == 1 and not r.toxic]
+    assert sum(i in kept for i in clean) >= 0.95 * len(clean)
+    single = run["near_duplicates"](spark, good, sf)
+    rows = sorted(kept.items())
+    sets, links = jaccard_links(rows)
+    root = {s: s for s in sets}
+
+    def find(s):
+        while root[s] != s:
+            s = root[s]
+        return s
+
+    for a, b in links:
+        root[find(a)] = find(b)
+    first: dict = {}
+    for (i, _), s in zip(rows, sets, strict=True):
+        first.setdefault(find(s) if s else i, i)
+    assert single.columns == docs.columns and set(keep(single)) == set(first.values())
+    apart = run["decontamination"](spark, single, sf)
+    items = [words(r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    want = {i for i, t in keep(single).items() if not brute_overlap(words(t), items)}
+    assert apart.columns == docs.columns and set(keep(apart)) == want
+    mixed = run["mixing"](spark, apart, sf)
+    assert mixed.columns == docs.columns and set(keep(mixed)) <= want and len(keep(mixed)) >= 0.5 * len(want)
+    tok, at, digest = Tokenizer.from_file(token_output.tokenizer_file()), 0, []
+    for i, t in sorted((r.doc_id, r.text) for r in mixed.collect()):
+        ids = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 2], "<u4")
+        digest.append((i, at, len(ids), zlib.crc32(ids)))
+        at += len(ids)
+    assert sorted(map(tuple, run["tokens"](spark, mixed, sf).collect()), key=lambda r: r[1]) == digest
+    empty = docs.limit(0)
+    assert all(run[s](spark, empty, sf).count() == 0 for s in ("quality", "near_duplicates", "decontamination", "mixing", "tokens"))
+
+
+def brute_overlap(doc, items, need=12, identity=0.75):
+    """Whether an item overlaps on some diagonal: matching ends, long and similar enough."""
+    for item in items:
+        if len(item) < 5:
+            continue
+        diagonals: dict = {}
+        where: dict = {}
+        for j, w in enumerate(item):
+            where.setdefault(w, []).append(j)
+        for i, w in enumerate(doc):
+            for j in where.get(w, ()):
+                diagonals.setdefault(i - j, []).append(i)
+        for d, at in diagonals.items():
+            if len(item) < need:
+                if 0 <= d <= len(doc) - len(item) and len(at) >= identity * len(item):
+                    return True
+                continue
+            for x in range(len(at)):
+                for y in range(x, len(at)):
+                    n = at[y] - at[x] + 1
+                    if n >= need and y - x + 1 >= identity * n:
+                        return True
+    return False
+
+
+def test_decontamination_against_brute_force_on_the_given_table(spark):
+    docs, bench = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "benchmark"))
+    items = [words(r.text) for r in bench.collect()]
+    want = {r.doc_id for r in docs.collect() if brute_overlap(words(r.text), items)}
+    assert {r.id for r in decontamination.find_overlaps(docs, bench).collect()} == want
+
+
 def test_pipeline_mixing_meets_its_shares(spark, tmp_path, caplog):
     """Domains that have less than is asked for are raised, and what is attained is said."""
     import corpus_pipeline
