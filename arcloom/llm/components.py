@@ -40,13 +40,15 @@ def connected_components(edges: DataFrame) -> DataFrame:
     while True:
         total = 2 * now.count()
         both = _symmetric(now)
-        least = materialise(both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n"), "least")
-        large = materialise(keyed_join(both, least, ["a"], total).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct(), "large")
-        lower = materialise(large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")), "lower")
+        least = both.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).select("a", F.least("a", "m").alias("m"), "n").persist()
+        large = keyed_join(both, least, ["a"], total).where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct().persist()
+        lower = large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")).persist()
         star = F.when(F.col("b") > F.col("m"), F.array(F.struct(F.col("b").alias("a"), F.col("m").alias("b")), F.struct("a", F.col("m").alias("b")))).otherwise(F.array(F.struct("a", F.col("m").alias("b"))))
         small = keyed_join(large, lower, ["a"], total).select(F.explode(star).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
         new = materialise(small, "links")
-        release(now, least, large, lower)
+        for df in (lower, large, least):
+            df.unpersist()
+        release(now)
         now = new
         seen = now.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(seen) == mark:

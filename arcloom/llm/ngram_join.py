@@ -229,25 +229,30 @@ def jaccard_classes(docs: DataFrame, threshold: float = 0.8, n: int = 5, trees:
 
     paths = units.select("unit", F.posexplode("prefixes").alias("tree", "path"))
     found = paths.groupBy("tree", "path").agg(F.count("*").alias("n"), F.min("unit").alias("low"), F.sum(F.xxhash64("unit").cast("decimal(20,0)")).alias("sig")).where("n > 1")
-    found = materialise(found.groupBy("n", "low", "sig").agg(F.min(F.struct("tree", "path")).alias("k")).select("k.tree", "k.path", "low", "n"), "prefixes")
+    found = found.groupBy("n", "low", "sig").agg(F.min(F.struct("tree", "path")).alias("k")).select("k.tree", "k.path", "low", "n").persist()
     near = keyed_join(paths, found, ["tree", "path"], trees * units.count()).where("unit <> low").select(F.col("unit").alias("a"), F.col("low").alias("b")).distinct()
     groups = connected_components(near)
+    found.unpersist()
 
-    sizes = materialise(groups.groupBy("root").agg(F.count("*").alias("members")), "groups")
+    sizes = groups.groupBy("root").agg(F.count("*").alias("members")).persist()
     total = sizes.agg(F.coalesce(F.sum("members"), F.lit(0))).first()[0]
     member = keyed_join(groups, sizes, ["root"], total, "members").select(F.col("node").alias("unit"), "root", "members")
     involved = materialise(member.join(units.select("unit", *by, "copy_of", "prefixes"), "unit"), "involved")
+    sizes.unpersist()
 
     carriers = involved.select(F.col("copy_of").alias("id")).distinct()
     hosts = d.join(carriers, d["id"].eqNullSafe(carriers["id"]), "left_semi")
     sets = hosts.mapInArrow(_reshingle(n), "id long, h1 long, h2 long, shingles binary").dropDuplicates(by).select(*by, "shingles")
     ready = materialise(involved.join(sets, by).select("unit", "root", "members", "shingles", F.when(F.col("members") > tile, F.col("prefixes")).alias("prefixes")), "sets")
-    links = materialise(_tiles(ready, tile).groupBy("bundle").applyInArrow(_verify_table(threshold), "unit long, n long, other long"), "verified")
+    tiles, held = _tiles(ready, tile)
+    links = materialise(tiles.groupBy("bundle").applyInArrow(_verify_table(threshold), "unit long, n long, other long"), "verified")
+    for df in held:
+        df.unpersist()
 
     linked = links.where("other is null").groupBy("unit").agg(F.sum("n").alias("n_links"))
     classes = connected_components(links.where("other is not null").select(F.col("unit").alias("a"), F.col("other").alias("b")))
     placed = units.drop("prefixes").join(linked, "unit", "left").join(classes.withColumnRenamed("node", "unit"), "unit", "left")
-    firsts = _named(materialise(placed.select(*by, "copy_of", "n_copies", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("root", "unit").alias("root")), "placed"))
+    firsts = _named(materialise(placed.select(*by, "copy_of", "n_copies", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), "root"), "placed"))
     out = signed.select("id", "text_hash", *by, "size").join(firsts, by, "left")
     alone = F.col("size") == 0
     own = {"class_id": F.col("id"), "copy_of": F.col("id"), "n_copies": F.lit(1).cast("long"), "n_links": F.lit(0).cast("long"), "class_key": F.xxhash64("id", "text_hash")}
@@ -255,15 +260,22 @@ def jaccard_classes(docs: DataFrame, threshold: float = 0.8, n: int = 5, trees:
 
 
 def _named(placed: DataFrame) -> DataFrame:
-    """Units with the name and key of their class, which is that of ``root``."""
-    each = materialise(placed.groupBy("root").agg(F.min("copy_of").alias("least"), F.min("h1").alias("class_key"), F.count("*").alias("n")), "classes")
-    taken = each.groupBy("least").agg(F.min("class_key").alias("first"), F.count("*").alias("many")).where("many > 1 and least is not null").drop("many")
-    named = each.join(taken, "least", "left").select("root", "n", "class_key", F.when(F.col("first") < F.col("class_key"), F.col("class_key")).otherwise(F.coalesce("least", "class_key")).alias("class_id"))
-    return keyed_join(placed, materialise(named, "names"), ["root"], placed.count()).drop("root", "n")
-
-
-def _tiles(ready: DataFrame, tile: int) -> DataFrame:
-    """(unit, grp, side, bundle, shingles): the units of each tile. Side 2: all pairs; else pairs of side 0 and side 1.
+    """Units with the name and key of their class, which is that of ``root``, or their own where that is null."""
+    classes = placed.where("root is not null").groupBy("root").agg(F.min("copy_of").alias("least"), F.min("h1").alias("class_key"), F.count("*").alias("n"))
+    classes = materialise(classes, "classes")
+    single = placed.where("root is null").select("*", F.col("copy_of").alias("least"), F.col("h1").alias("class_key"))
+    rest = ["h1", "h2", "copy_of", "n_copies", "n_links", "least", "class_key"]
+    every = keyed_join(placed.where("root is not null"), classes, ["root"], placed.count()).select(*rest).unionByName(single.select(*rest))
+    taken = classes.select("least", "class_key").unionByName(single.select("least", "class_key")).where("least is not null")
+    taken = taken.groupBy("least").agg(F.min("class_key").alias("first"), F.count("*").alias("many")).where("many > 1").drop("many")
+    if taken.isEmpty():
+        return every.withColumn("class_id", F.coalesce("least", "class_key")).drop("least")
+    named = every.join(materialise(taken, "taken"), "least", "left")
+    return named.withColumn("class_id", F.when(F.col("first") < F.col("class_key"), F.col("class_key")).otherwise(F.coalesce("least", "class_key"))).drop("least", "first")
+
+
+def _tiles(ready: DataFrame, tile: int) -> tuple[DataFrame, list[DataFrame]]:
+    """(unit, grp, side, bundle, shingles): the units of each tile. Side 2: all pairs; else pairs of side 0 and side 1. Also what is cached.
 
     A small group is a tile and shares a task with others. Large groups are in the order of their prefixes; a tile is a block or a pair of blocks.
     """
@@ -271,17 +283,17 @@ def _tiles(ready: DataFrame, tile: int) -> DataFrame:
     bundles = max(8, -(-total[0] // 2048), -(-(total[1] or 0) // (1 << 23)))
     out = ready.where(F.col("members") <= tile).select("unit", F.col("root").alias("grp"), F.lit(2).alias("side"), F.pmod(F.xxhash64("root"), F.lit(bundles)).alias("bundle"), "shingles")
     if not total[2]:
-        return out
+        return out, []
     ranged = ready.where(F.col("members") > tile).withColumn("p0", F.col("prefixes")[0]).withColumn("p1", F.try_element_at("prefixes", F.lit(2))).repartitionByRange("root", "p0", "p1", "unit").sortWithinPartitions("root", "p0", "p1", "unit")
-    ranged = materialise(ranged.select("unit", "prefixes", "shingles", F.spark_partition_id().alias("part"), (F.monotonically_increasing_id() % (1 << 33)).alias("own")), "ranged")
+    ranged = first = ranged.select("unit", "prefixes", "shingles", F.spark_partition_id().alias("part"), (F.monotonically_increasing_id() % (1 << 33)).alias("own")).persist()
     before = ranged.groupBy("part").agg(F.count("*").alias("n")).select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
     ranged = ranged.join(F.broadcast(before), "part").withColumn("block", F.floor((F.col("before") + F.col("own")) / tile)).drop("part", "own", "before")
-    held = materialise(ranged.select("block", F.posexplode("prefixes").alias("tree", "path")).distinct(), "blocks")
+    held = ranged.select("block", F.posexplode("prefixes").alias("tree", "path")).distinct().persist()
     pairs = held.withColumnRenamed("block", "a").join(held.withColumnRenamed("block", "b"), ["tree", "path"]).where("a <= b").select("a", "b").distinct()
     member = lambda block, side: F.struct(F.col(block).alias("block"), F.lit(side).alias("side"))
     sides = pairs.select("a", "b", F.explode(F.when(F.col("a") == F.col("b"), F.array(member("a", 2))).otherwise(F.array(member("a", 0), member("b", 1)))).alias("t")).select(F.xxhash64("a", "b").alias("grp"), "t.block", "t.side")
     big = ranged.join(sides, "block").select("unit", "grp", "side", F.col("grp").bitwiseOR(F.lit(-(2**63))).alias("bundle"), "shingles")
-    return out.unionByName(big)
+    return out.unionByName(big), [first, held]
 
 
 def _verify_table(threshold: float):
