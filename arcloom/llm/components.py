@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, release
+from .common import BROADCAST_BYTES, materialise, release
 
 #: Keys with one in so many of all rows are hubs; there are no more hubs than that, which bounds what is broadcast.
 HUB_SHARE = 1 << 16
@@ -14,14 +14,13 @@ HUB_SHARE = 1 << 16
 def keyed_join(rows: DataFrame, per_key: DataFrame, keys: list[str], total: int, count: str = "n", least: int = 256) -> DataFrame:
     """``rows`` with the columns of ``per_key``, which has a row a key and the number of its rows in ``count``.
 
-    The rows of a hub do not meet in one task: what belongs to hubs is broadcast, the rest is shuffled.
+    The rows of a hub do not meet in one task: ``per_key`` is broadcast if it is small, else what belongs to hubs is, and the rest is shuffled.
     """
+    if per_key.count() * 8 * len(per_key.columns) <= BROADCAST_BYTES // 2:
+        return rows.join(F.broadcast(per_key), keys)
     hub = F.col(count) >= max(least, total // HUB_SHARE)
-    hubs = per_key.where(hub)
-    if hubs.isEmpty():
-        return rows.join(per_key, keys)
-    few = rows.join(F.broadcast(hubs.select(*keys)), keys, "left_anti").join(per_key.where(~hub), keys)
-    return few.unionByName(rows.join(F.broadcast(hubs), keys))
+    hubs = F.broadcast(per_key.where(hub))
+    return rows.join(hubs.select(*keys), keys, "left_anti").join(per_key.where(~hub), keys).unionByName(rows.join(hubs, keys))
 
 
 def _symmetric(edges: DataFrame) -> DataFrame:

@@ -240,8 +240,8 @@ def jaccard_classes(docs: DataFrame, threshold: float = 0.8, n: int = 5, trees:
     involved = materialise(member.join(units.select("unit", *by, "copy_of", "prefixes"), "unit"), "involved")
     sizes.unpersist()
 
-    carriers = involved.select(F.col("copy_of").alias("id")).distinct()
-    hosts = d.join(carriers, d["id"].eqNullSafe(carriers["id"]), "left_semi")
+    carriers = small(involved.select(F.col("copy_of").alias("carrier")).distinct())
+    hosts = d.join(carriers, F.col("id").eqNullSafe(F.col("carrier")), "left_semi")
     sets = hosts.mapInArrow(_reshingle(n), "id long, h1 long, h2 long, shingles binary").dropDuplicates(by).select(*by, "shingles")
     ready = materialise(involved.join(sets, by).select("unit", "root", "members", "shingles", F.when(F.col("members") > tile, F.col("prefixes")).alias("prefixes")), "sets")
     tiles, held = _tiles(ready, tile)

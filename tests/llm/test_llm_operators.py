@@ -221,9 +221,12 @@ def test_jaccard_against_brute_force_on_the_given_table(spark):
     assert sum(got[i].class_id == (first[find(s)] if s else i) for (i, _), s in zip(rows, sets, strict=True)) >= 0.995 * len(rows)
 
 
-def test_components_with_a_hub(spark):
+@pytest.mark.parametrize("most", [0, 32 << 20])
+def test_components_with_a_hub(spark, monkeypatch, most):
+    from arcloom.llm import components
     from arcloom.llm.components import connected_components, keyed_join
 
+    monkeypatch.setattr(components, "BROADCAST_BYTES", most)
     edges = [(0, i) for i in range(1, 700)] + [(1000 + i, 1001 + i) for i in range(40)] + [(5000, 5000)]
     got = {r.node: r.root for r in connected_components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert got == {i: 0 for i in range(700)} | {i: 1000 for i in range(1000, 1041)}
