@@ -109,7 +109,7 @@ def words(text: str | None) -> list[str]:
 class TokenHasher:
     """Words to 64-bit hashes by way of a bounded cache."""
 
-    def __init__(self, most: int = 200_000):
+    def __init__(self, most: int = 100_000):
         self.most, self.seen = most, {}
 
     def __call__(self, tokens: list[str]) -> np.ndarray:

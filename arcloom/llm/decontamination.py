@@ -37,7 +37,7 @@ MASKS = ("11101", "100111")
 SHORT_MASKS = ("111", "1101")
 FILTER_BITS = 20
 #: Hits that are looked at together.
-HITS = 1 << 17
+HITS = 1 << 15
 SPAN = "array<struct<item_id:long,doc_start:int,doc_end:int,item_start:int,matched:int>>"
 
 
@@ -211,7 +211,7 @@ def _search(batches: Iterator[pa.RecordBatch], index: SeedIndex, text_col: str |
     hasher = hasher or TokenHasher()
     for batch in batches:
         texts = batch.column(text_col)
-        for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 22):
+        for a, b in slices(pc.fill_null(pc.utf8_length(texts), 0).to_pylist(), 1 << 21):
             lists = [words(t) for t in texts.slice(a, b - a).to_pylist()]
             ends = np.cumsum([len(x) for x in lists])
             tokens = hasher([w for x in lists for w in x])

@@ -301,7 +301,9 @@ def _verify_table(threshold: float):
 
     def of(held: pa.Table) -> pa.Table:
         schema = pa.schema([("unit", pa.int64()), ("n", pa.int64()), ("other", pa.int64())])
-        return pa.Table.from_batches(list(run(iter(held.to_batches()))), schema)
+        out = pa.Table.from_batches(list(run(iter(held.to_batches()))), schema)
+        tidy()
+        return out
 
     return of
 

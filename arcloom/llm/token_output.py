@@ -49,7 +49,7 @@ _encoders: dict[str, "ChunkEncoder"] = {}
 
 
 class ChunkEncoder:
-    def __init__(self, path: str, most: int = 300_000):
+    def __init__(self, path: str, most: int = 100_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -178,13 +178,18 @@ def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.n
             break
         same = seq[:-1] == seq[1:]
         ok = _apart(seq, same)
-        at = np.flatnonzero(ok if live is None else ok & (live | same))
-        keys = seq[at].astype(np.int64) << 32 | seq[at + 1]
-        slot = (keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - SLOT_BITS)).astype(np.int32)
+        at = np.flatnonzero(ok if live is None else ok & (live | same)).astype(np.int32)
+        keys = seq[at].astype(np.int64)
+        keys <<= 32
+        keys |= seq[at + 1]
+        slot = keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+        slot >>= np.uint64(64 - SLOT_BITS)
+        slot = slot.astype(np.int32)
         counts = np.bincount(slot, minlength=1 << SLOT_BITS)
         floor = max(least, (floor or int(counts.max())) // FALL)
         some = (counts >= floor)[slot]
         at, keys = at[some], keys[some]
+        del slot, some
         pairs, times = np.unique(keys, return_counts=True)
         pairs, times = pairs[times >= floor], times[times >= floor]
         if not len(pairs):
@@ -324,6 +329,7 @@ def _writer(path: str, shard_tokens: int):
         def flush() -> pa.RecordBatch:
             nonlocal chunk, begun, held, docs, lens
             ids = np.concatenate(held)
+            held.clear()
             row = pa.RecordBatch.from_pydict({"part": pa.array([part], pa.int32()), "chunk": pa.array([chunk], pa.int32()), "local_start": [begun], "n_ids": [len(ids)], "doc_ids": pa.array([docs], pa.list_(pa.int64())), "n_tokens": pa.array([lens], pa.list_(pa.int64())), "payload": pa.array([pack(ids)], pa.binary())})
             chunk, begun, held, docs, lens = chunk + 1, begun + len(ids), [], [], []
             return row
@@ -331,7 +337,7 @@ def _writer(path: str, shard_tokens: int):
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             sizes = pc.fill_null(pc.utf8_length(texts), 0).to_pylist()
-            for a, b in slices(sizes, 1 << 23):
+            for a, b in slices(sizes, 1 << 22):
                 flat, n = enc.encode(texts.slice(a, b - a))
                 held.append(flat)
                 docs += ids[a:b]
@@ -345,7 +351,7 @@ def _writer(path: str, shard_tokens: int):
     return run
 
 
-def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 22) -> DataFrame:
+def write_tokens(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 1 << 21) -> DataFrame:
     """Write the shards to the shared folder; returns the table of shards read back."""
     d = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).cast("string").alias("text")).withColumn("h", F.xxhash64("text"))
     ordered = d.repartitionByRange("id", "h").sortWithinPartitions("id", "h").select("id", "text")
