@@ -114,8 +114,10 @@ def fit_rates(members: DataFrame, targets: list[float], most: int = 40, toleranc
     rate = best_rate = F.lit(1.0)
     best, attained, residual, gram, damping, passes = np.inf, np.zeros(n), np.zeros(n), np.eye(n), 1e-6, 0
     for passes in range(1, most + 1):
-        active = F.when(rate > 0, 1.0).otherwise(0.0)
-        got = members.agg(*[F.sum(tokens * p[i] * rate) for i in k], *[F.sum(tokens * p[i] * p[j] * active) for i in k for j in k]).first()
+        # The rate is a column of its own, so that a pass has its expression once.
+        rated = members.select("n_tokens", *[f"p{i}" for i in k], rate.alias("now"))
+        active = F.when(F.col("now") > 0, 1.0).otherwise(0.0)
+        got = rated.agg(*[F.sum(tokens * p[i] * F.col("now")) for i in k], *[F.sum(tokens * p[i] * p[j] * active) for i in k for j in k]).first()
         now = np.array(got[:n], float) / total
         value = float(((now - goal) ** 2).sum())
         if value < best:
