@@ -49,7 +49,7 @@ _encoders: dict[str, "ChunkEncoder"] = {}
 
 
 class ChunkEncoder:
-    def __init__(self, path: str, most: int = 100_000):
+    def __init__(self, path: str, most: int = 250_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -169,6 +169,15 @@ def _apart(seq: np.ndarray, same: np.ndarray) -> np.ndarray:
     return ok
 
 
+def _slot(left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """A hash of pairs of 32-bit symbols."""
+    h = left.view(np.uint32) * np.uint32(0x9E3779B1)
+    h += right.view(np.uint32)
+    h *= np.uint32(0x85EBCA6B)
+    h >>= np.uint32(32 - SLOT_BITS)
+    return h
+
+
 def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.ndarray, np.ndarray, int]:
     """Sequence, rules (left, right) and the id of the first nonterminal. ``rounds`` is a bound that raises."""
     base = int(ids.max()) + 1 if len(ids) else 0
@@ -177,19 +186,20 @@ def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.n
         if len(seq) < 2 * least:
             break
         same = seq[:-1] == seq[1:]
-        ok = _apart(seq, same)
-        at = np.flatnonzero(ok if live is None else ok & (live | same)).astype(np.int32)
-        keys = seq[at].astype(np.int64)
-        keys <<= 32
-        keys |= seq[at + 1]
-        slot = keys.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
-        slot >>= np.uint64(64 - SLOT_BITS)
-        slot = slot.astype(np.int32)
+        at = None if live is None else np.flatnonzero(live | same).astype(np.int32)
+        if same.any():
+            ok = _apart(seq, same)
+            at = np.flatnonzero(ok).astype(np.int32) if at is None else at[ok[at]]
+        left, right = (seq[:-1], seq[1:]) if at is None else (seq[at], seq[at + 1])
+        slot = _slot(left, right)
         counts = np.bincount(slot, minlength=1 << SLOT_BITS)
         floor = max(least, (floor or int(counts.max())) // FALL)
-        some = (counts >= floor)[slot]
-        at, keys = at[some], keys[some]
-        del slot, some
+        some = np.flatnonzero((counts >= floor)[slot])
+        keys = left[some].astype(np.int64)
+        keys <<= 32
+        keys |= right[some]
+        at, slot = some.astype(np.int32) if at is None else at[some], slot[some]
+        del left, right, some
         pairs, times = np.unique(keys, return_counts=True)
         pairs, times = pairs[times >= floor], times[times >= floor]
         if not len(pairs):
@@ -199,12 +209,18 @@ def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.n
         order = np.argsort(-times, kind="stable")
         rank = np.empty(len(pairs), np.int32)
         rank[order] = np.arange(len(pairs))
-        j = np.minimum(np.searchsorted(pairs, keys), len(pairs) - 1)
+        own = _slot((pairs >> 32).astype(np.int32), pairs.astype(np.int32))
+        table = np.zeros(1 << SLOT_BITS, np.int32)
+        table[own[order[::-1]]] = order[::-1]  # of pairs with one slot, the most frequent
+        j = table[slot]
         hit = pairs[j] == keys
+        lost = pairs[table[own] != np.arange(len(pairs))]
+        later = at[np.isin(keys, lost)] if len(lost) else at[:0]
         at, mine = at[hit], rank[j[hit]]
-        around = np.full(len(seq) + 1, len(pairs), np.int32)  # the rank of position i at i + 1
-        around[at + 1] = mine
-        won = (mine < around[at]) & (mine < around[at + 2])
+        touch, more = at[1:] == at[:-1] + 1, mine[1:] < mine[:-1]
+        won = np.ones(len(at), bool)
+        won[1:] &= ~touch | more
+        won[:-1] &= ~touch | (mine[:-1] < mine[1:])
         kept = np.bincount(mine[won], minlength=len(pairs)) >= least
         won &= kept[mine]
         name = (n + np.cumsum(kept) - 1).astype(np.int32)
@@ -213,7 +229,7 @@ def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.n
         seq[at[won]] = name[mine[won]]
         if floor == least:
             left = np.zeros(len(seq), bool)
-            left[at[~won]] = True
+            left[at[~won]] = left[later] = True
         seq = seq[stay]
         if floor == least:
             fresh = seq >= n
@@ -337,7 +353,7 @@ def _writer(path: str, shard_tokens: int):
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             sizes = pc.fill_null(pc.utf8_length(texts), 0).to_pylist()
-            for a, b in slices(sizes, 1 << 22):
+            for a, b in slices(sizes, 1 << 23):
                 flat, n = enc.encode(texts.slice(a, b - a))
                 held.append(flat)
                 docs += ids[a:b]
