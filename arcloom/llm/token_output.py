@@ -70,7 +70,11 @@ class ChunkEncoder:
             return None
         level = next(p for p in split.get("pretokenizers", [split]) if p["type"] == "ByteLevel")
         spec |= {"normalizer": None, "added_tokens": [], "pre_tokenizer": {"type": "Sequence", "pretokenizers": [{"type": "WhitespaceSplit"}, level | {"use_regex": False, "add_prefix_space": False}]}}
-        return kind.from_str(json.dumps(spec))
+        light = kind.from_str(json.dumps(spec))
+        if hasattr(model := light.model, "_resize_cache"):  # it never sees a word twice
+            model._resize_cache(0)
+            light.model = model
+        return light
 
     def _clear(self) -> None:
         self.atoms: dict[str, int] = {}
@@ -214,8 +218,10 @@ def repair(ids: np.ndarray, least: int = 4, rounds: int = 100_000) -> tuple[np.n
         table[own[order[::-1]]] = order[::-1]  # of pairs with one slot, the most frequent
         j = table[slot]
         hit = pairs[j] == keys
-        lost = pairs[table[own] != np.arange(len(pairs))]
-        later = at[np.isin(keys, lost)] if len(lost) else at[:0]
+        if floor == least:  # what may be of a pair that lost its slot is looked at again
+            shared = np.zeros(1 << SLOT_BITS, bool)
+            shared[own[table[own] != np.arange(len(pairs))]] = True
+            later = at[~hit & shared[slot]]
         at, mine = at[hit], rank[j[hit]]
         touch, more = at[1:] == at[:-1] + 1, mine[1:] < mine[:-1]
         won = np.ones(len(at), bool)
