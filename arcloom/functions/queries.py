@@ -16,9 +16,21 @@ from arcloom.sources.ingest import GRAPHS, SEED, SQL, table
 
 
 def register(spark: SparkSession, g: PropertyGraph, prefix: str) -> None:
-    """Views <prefix>_vertices and <prefix>_edges."""
+    """Views <prefix>_vertices, <prefix>_edges and <prefix>_packed, and the functions binary_entropy and neighbors."""
     g.vertices.createOrReplaceTempView(f"{prefix}_vertices")
     g.edges.createOrReplaceTempView(f"{prefix}_edges")
+    adjacency(g).createOrReplaceTempView(f"{prefix}_packed")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION binary_entropy(p DOUBLE) RETURNS DOUBLE RETURN CASE WHEN p <= 0 OR p >= 1 THEN 0.0D ELSE -p * log2(p) - (1 - p) * log2(1 - p) END")
+    spark.udtf.register("neighbors", Neighbors)
+
+
+@F.udtf(returnType="nbr bigint, weight double")
+class Neighbors:
+    """Neighbours in a packed list."""
+
+    def eval(self, nbrs: list):
+        for n in nbrs or []:
+            yield n["nbr"], n["weight"]
 
 
 @F.pandas_udf(T.DoubleType())
@@ -67,7 +79,7 @@ def fn_hash_rank(spark, sf_dir):
 
 
 def fn_tokens(spark, sf_dir):
-    return table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").select("doc_id", F.size(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).cast("long").alias("words"), F.length("text").cast("long").alias("chars"), F.substring(F.upper("text"), 1, 5).alias("head"), F.concat_ws("-", "lang", "source").alias("tag"), F.levenshtein("lang", "source").cast("long").alias("d"))
+    return table(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").select("doc_id", F.size(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).cast("long").alias("words"), F.length("text").cast("long").alias("chars"), F.translate(F.substring("text", 1, 5), "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ").alias("head"), F.concat_ws("-", "lang", "source").alias("tag"), F.levenshtein("lang", "source").cast("long").alias("d"))
 
 
 def fn_hrefs(spark, sf_dir):
@@ -130,6 +142,12 @@ def udtf_csr_expand(spark, sf_dir):
     return spark.sql("SELECT x.src, x.dst, round(x.weight, 6) AS weight FROM csr_blocks b, LATERAL csr_expand(b.lo, b.offsets, b.targets, b.weights) x")
 
 
+def udtf_neighbors(spark, sf_dir):
+    """Neighbours of a vertex through the SQL surface, and the entropy of their weights."""
+    register(spark, GRAPHS["cosupp"](spark, sf_dir), "u")
+    return spark.sql("SELECT p.id, n.nbr, round(binary_entropy(n.weight), 6) AS h FROM u_packed p, LATERAL neighbors(p.nbrs) n")
+
+
 def sql_scalar_sub(spark, sf_dir):
     register(spark, GRAPHS["copart"](spark, sf_dir), "g")
     return spark.sql("SELECT id FROM g_vertices v WHERE color > (SELECT avg(color) FROM g_vertices) AND EXISTS (SELECT 1 FROM g_edges e WHERE e.src = v.id AND e.weight < 0.5)")
@@ -145,13 +163,13 @@ def sql_recursive_levels(spark, sf_dir):
     return spark.sql("WITH RECURSIVE t(id, level) AS (SELECT id, 0 FROM g_vertices WHERE id % 8 = 3 UNION ALL SELECT e.dst, t.level + 1 FROM t JOIN g_edges e ON e.src = t.id WHERE CASE t.id % 8 WHEN 3 THEN e.dst % 8 = 4 WHEN 4 THEN e.dst % 8 IN (1, 2) ELSE false END) SELECT level, count(*) AS n FROM t GROUP BY level")
 
 
-NAMES = "fn_math_entropy fn_hash_rank fn_tokens fn_hrefs fn_event_buckets fn_adjacency_arrays fn_csr_slice fn_cosine udf_cosine fn_neighbor_map fn_struct_min fn_props_json fn_null_degree udaf_tail udtf_csr_expand sql_scalar_sub sql_neighbors sql_recursive_levels".split()
+NAMES = "fn_math_entropy fn_hash_rank fn_tokens fn_hrefs fn_event_buckets fn_adjacency_arrays fn_csr_slice fn_cosine udf_cosine fn_neighbor_map fn_struct_min fn_props_json fn_null_degree udaf_tail udtf_csr_expand udtf_neighbors sql_scalar_sub sql_neighbors sql_recursive_levels".split()
 QUERIES = {n: globals()[n] for n in NAMES}
 _COS = "SELECT a.vec_id, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cos FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1"
 ORACLES = {
     "fn_math_entropy": f"WITH {SQL['partsupp']} SELECT src, dst, round(CASE WHEN weight <= 0 OR weight >= 1 THEN 0.0 ELSE -weight * log2(weight) - (1 - weight) * log2(1 - weight) END, 6) AS h, round(sqrt(weight), 6) AS root, ((src - dst) % 7 + 7) % 7 AS m FROM e WHERE src < dst",
     "fn_hash_rank": f"SELECT p_partkey, {rng.sql_bits(SEED, 'rank', 'p_partkey')} AS r FROM part",
-    "fn_tokens": "SELECT doc_id, len(regexp_extract_all(lower(text), '[a-z]+')) AS words, length(text) AS chars, upper(text)[1:5] AS head, lang || '-' || source AS tag, levenshtein(lang, source) AS d FROM documents",
+    "fn_tokens": "SELECT doc_id, len(regexp_extract_all(lower(text), '[a-z]+')) AS words, length(text) AS chars, translate(text[1:5], 'abcdefghijklmnopqrstuvwxyz', 'ABCDEFGHIJKLMNOPQRSTUVWXYZ') AS head, lang || '-' || source AS tag, levenshtein(lang, source) AS d FROM documents",
     "fn_hrefs": "SELECT page_id, len(list_distinct(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) AS hrefs, regexp_extract(url, 'https?://([^/]*)', 1) AS host FROM pages",
     "fn_event_buckets": "SELECT strftime(date_trunc('month', ts), '%Y-%m-%d') AS month, event_type, count(*) AS n, max(epoch_us(ts)) AS last, max(datediff('day', DATE '2020-01-01', ts::DATE)) AS days FROM events GROUP BY 1, 2",
     "fn_adjacency_arrays": f"WITH {SQL['userseq']} SELECT id, count(*) FILTER (weight < 0.5) AS light, round(coalesce(sum(weight), 0.0), 6) AS total, coalesce(max(dst), -1) AS last FROM v LEFT JOIN e ON id = src GROUP BY 1",
@@ -164,6 +182,7 @@ ORACLES = {
     "fn_null_degree": f"WITH {SQL['userseq']} SELECT id, round(coalesce(1.0 / nullif(count(dst), 0), -1.0)::DOUBLE, 6) AS inverse FROM v LEFT JOIN e ON id = src GROUP BY 1",
     "udaf_tail": f"WITH {SQL['custsupp']}, d AS (SELECT id % 8 AS kind, count(dst) AS degree FROM v LEFT JOIN e ON id = src GROUP BY id) SELECT kind::INTEGER AS kind, round(1 + count(*) FILTER (degree >= 4) / sum(ln(degree / 3.5)) FILTER (degree >= 4), 6) AS exponent FROM d GROUP BY 1",
     "udtf_csr_expand": f"WITH {SQL['cosupp']} SELECT src, dst, round(weight, 6) AS weight FROM e",
+    "udtf_neighbors": f"WITH {SQL['cosupp']} SELECT src AS id, dst AS nbr, round(CASE WHEN weight <= 0 OR weight >= 1 THEN 0.0 ELSE -weight * log2(weight) - (1 - weight) * log2(1 - weight) END, 6) AS h FROM e",
     "sql_scalar_sub": f"WITH {SQL['copart']} SELECT id FROM v WHERE color > (SELECT avg(color) FROM v) AND id IN (SELECT src FROM e WHERE weight < 0.5)",
     "sql_neighbors": f"WITH {SQL['geo']} SELECT src AS id, dst, round(weight, 6) AS weight FROM e WHERE src % 8 = 3",
     "sql_recursive_levels": "SELECT 0::INTEGER AS level, count(*) AS n FROM region UNION ALL SELECT 1, count(*) FROM nation UNION ALL SELECT 2, (SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier)",

@@ -8,11 +8,11 @@ from pyspark.sql import functions as F
 from arcloom.model import PropertyGraph, both_ways, simplify
 from arcloom.operators.coalesce import hierarchy
 from arcloom.operators.grouping import cut_size
-from arcloom.operators.metrics import group_arcs, modularity
+from arcloom.operators.metrics import flows, group_arcs, modularity
 from arcloom.operators.represent import adjacency
-from arcloom.operators.search import components
+from arcloom.operators.search import components, local
 from arcloom.plans.iterate import cut
-from arcloom.sources.ingest import GRAPHS, SQL, table
+from arcloom.sources.ingest import GRAPHS, SQL, stored, table
 
 
 def construct(tuples: DataFrame) -> DataFrame:
@@ -29,9 +29,9 @@ def extreme_edges(g: PropertyGraph, which: str = "max") -> DataFrame:
 
 
 def multilevel(g: PropertyGraph, parts: int, levels: int = 2, gamma: float = 0.1, moves: int = 3) -> DataFrame:
-    """(id, group): coarsen, cut the coarsest by id ranges of its hash, project back, and move boundary vertices."""
+    """(id, group): coarsen, cut the coarsest by growing parts from seeds, project back, and move boundary vertices."""
     graphs, maps = hierarchy(PropertyGraph(cut(g.vertices), cut(g.edges)), [gamma] * levels)
-    groups = cut(graphs[-1].vertices.select("id", F.pmod(F.xxhash64("id"), F.lit(parts)).alias("group")))
+    groups = cut(grown(graphs[-1], parts))
     for level in range(levels, 0, -1):
         groups = cut(maps.where(F.col("level") == level).select("id", F.col("parent").alias("p")).join(groups.withColumnRenamed("id", "p"), "p").select("id", "group"))
         fine = graphs[level - 1]
@@ -45,28 +45,34 @@ def multilevel(g: PropertyGraph, parts: int, levels: int = 2, gamma: float = 0.1
     return groups
 
 
+def grown(g: PropertyGraph, parts: int) -> DataFrame:
+    """(id, group): greedy parts of equal size, each grown breadth-first from the smallest vertex that is left. One task: for the coarsest graph."""
+
+    def work(adjacent):
+        left, room = set(adjacent), -(-len(adjacent) // parts)
+        order, part, size, queue = iter(sorted(adjacent)), 0, 0, []
+        while left:
+            if not queue:
+                queue = [next(i for i in order if i in left)]
+            v = queue.pop(0)
+            if v not in left:
+                continue
+            left.discard(v)
+            yield v, part
+            size += 1
+            queue += [u for u, _ in adjacent[v] if u in left]
+            if size == room and part < parts - 1:
+                part, size, queue = part + 1, 0, queue[:1]
+
+    return local(g, "id long, group long", work)
+
+
 def edge_betweenness(g: PropertyGraph) -> DataFrame:
-    """(src, dst, score) along fewest-hop paths, every edge once. For small graphs: a row a source and vertex."""
-    arcs = g.edges.select("src", "dst")
-    levels = [cut(g.vertices.select(F.col("id").alias("s"), "id", F.lit(1.0).alias("paths")))]
-    seen = levels[0].select("s", "id")
-    while True:
-        step = levels[-1].join(arcs.withColumnRenamed("src", "id"), "id").groupBy("s", F.col("dst").alias("id")).agg(F.sum("paths").alias("paths"))
-        new = cut(step.join(seen, ["s", "id"], "left_anti"))
-        if new.isEmpty():
-            break
-        levels.append(new)
-        seen = cut(seen.unionByName(new.select("s", "id")))
-    total, out = levels[-1].select("s", "id", F.lit(0.0).alias("dep")), None
-    for upper, lower in zip(levels[-2::-1], levels[:0:-1], strict=True):
-        share = lower.join(total, ["s", "id"]).select("s", F.col("id").alias("dst"), ((F.col("dep") + 1) / F.col("paths")).alias("share"))
-        flow = cut(arcs.join(share, "dst").join(upper.select("s", F.col("id").alias("src"), "paths"), ["s", "src"]).select("s", "src", "dst", (F.col("share") * F.col("paths")).alias("flow")))
-        out = flow if out is None else out.unionByName(flow)
-        back = flow.groupBy("s", F.col("src").alias("id")).agg(F.sum("flow").alias("dep"))
-        total = cut(upper.select("s", "id").join(back, ["s", "id"], "left").select("s", "id", F.coalesce("dep", F.lit(0.0)).alias("dep")))
-    if out is None:
+    """(src, dst, score) along fewest-hop paths, every edge once. For small graphs: a row a source and arc."""
+    f = flows(g, g.vertices)
+    if f is None:
         return g.spark.createDataFrame([], "src long, dst long, score double")
-    return out.groupBy(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg((F.sum("flow") / 2).alias("score"))
+    return f.groupBy(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).agg((F.sum("flow") / 2).alias("score"))
 
 
 def edge_removal(g: PropertyGraph, max_removals: int) -> tuple[DataFrame, float]:
@@ -91,12 +97,24 @@ def base_construct(spark: SparkSession, sf_dir: str) -> DataFrame:
     return construct(t).select("id", F.size("nbrs").cast("long").alias("degree"), F.round(F.aggregate("nbrs", F.lit(0.0), lambda a, n: a + n["weight"]), 6).alias("weight"))
 
 
+def base_edge_removal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of highest modularity while up to six edges are taken out of the first conversations, which are paths."""
+    e = stored(GRAPHS["dialog"](spark, sf_dir)).edges
+    low = e.agg(F.min("src")).first()[0]
+    e = e.where(f"src < {low + 4096} and dst < {low + 4096}")
+    groups, q = edge_removal(PropertyGraph(e.select(F.col("src").alias("id")).distinct().withColumn("color", F.lit(0.0)), cut(e)), 6)
+    return groups.groupBy("group").agg(F.count("*").alias("n"), F.lit(round(q, 6)).alias("q"))
+
+
 QUERIES = {
+    "base_edge_removal": base_edge_removal,
+    "base_extreme_min": lambda spark, sf_dir: extreme_edges(GRAPHS["partsupp"](spark, sf_dir), "min").select("src", "dst", F.round("weight", 6).alias("weight")),
     "base_construct": base_construct,
     "base_extreme_edges": lambda spark, sf_dir: extreme_edges(GRAPHS["partsupp"](spark, sf_dir)).select("src", "dst", F.round("weight", 6).alias("weight")),
-    "base_multilevel_cut": lambda spark, sf_dir: cut_size(GRAPHS["docline"](spark, sf_dir), multilevel(GRAPHS["docline"](spark, sf_dir), 4)),
+    "base_multilevel_cut": lambda spark, sf_dir: (lambda g: cut_size(g, multilevel(g, 4)))(stored(GRAPHS["docline"](spark, sf_dir))),
 }
 ORACLES = {
+    "base_extreme_min": f"WITH {SQL['partsupp']} SELECT src, dst, round(weight, 6) AS weight FROM e WHERE src < dst AND weight = (SELECT min(weight) FROM e)",
     "base_construct": "WITH t AS (SELECT l_partkey AS a, l_suppkey + 10000000 AS b, min(l_discount) AS w FROM lineitem GROUP BY 1, 2), e AS (SELECT a AS id, w FROM t UNION ALL SELECT b, w FROM t) SELECT id, count(*) AS degree, round(sum(w), 6) AS weight FROM e GROUP BY 1",
     "base_extreme_edges": f"WITH {SQL['partsupp']} SELECT src, dst, round(weight, 6) AS weight FROM e WHERE src < dst AND weight = (SELECT max(weight) FROM e)",
 }

@@ -20,8 +20,8 @@ from arcloom.functions.scalar import binary_entropy
 from arcloom.model import PropertyGraph, induced
 from arcloom.operators.metrics import brands, group_arcs
 from arcloom.operators.search import MAX_LOCAL_ARCS, local
-from arcloom.plans.iterate import cut
-from arcloom.sources.ingest import GRAPHS, SEED, SQL
+from arcloom.plans.iterate import cut, release
+from arcloom.sources.ingest import GRAPHS, SEED, SQL, stored
 
 
 def induce(g: PropertyGraph, alpha: float) -> PropertyGraph:
@@ -78,6 +78,7 @@ class Splitter:
         self.group = dict.fromkeys(self.adjacent, 0)
         self.size = [len(self.adjacent)]
         self.block = [[sum(len(r) for r in self.adjacent.values())]]
+        self.total = self._touching(0, 0)
 
     def _outer(self, g: int) -> int:
         return 2 * (sum(self.block[g]) - self.block[g][g])
@@ -92,23 +93,26 @@ class Splitter:
             return _h(min(1.0, inner / outer)) if outer else 0.0
         return _h(inner / (inner + outer)) if inner + outer else 0.0
 
-    def value(self) -> float:
-        k = len(self.size)
-        live = [g for g in range(k) if self.size[g]]
+    def _cell(self, g: int, h: int) -> float:
+        cells = self.size[g] * (self.size[g] - 1) if g == h else self.size[g] * self.size[h]
+        return cells * _h(self.block[g][h] / cells) if cells else 0.0
+
+    def _touching(self, g: int, h: int) -> float:
+        """The part of the objective that a move between g and h may change."""
+        both = {g, h}
         if self.kind != "cells":
-            if len(live) == 1:
-                return math.inf if self.direction == "decrease" else -math.inf
-            return sum(self._term(g) for g in live)
-        total = 0.0
-        for g in live:
-            for h in live:
-                cells = self.size[g] * (self.size[g] - 1) if g == h else self.size[g] * self.size[h]
-                if cells:
-                    total += cells * _h(self.block[g][h] / cells)
-        return total
+            return sum(self._term(x) for x in both if self.size[x])
+        return sum(self._cell(x, y) * (1 if y in both else 2) for x in both for y in range(len(self.size)))
+
+    def value(self) -> float:
+        """The objective, kept up to date by moves."""
+        if self.kind != "cells" and sum(s > 0 for s in self.size) == 1:
+            return math.inf if self.direction == "decrease" else -math.inf
+        return self.total
 
     def move(self, v: int, to: int) -> None:
         own = self.group[v]
+        before = self._touching(own, to)
         for u, _ in self.adjacent[v]:
             h = self.group[u]
             self.block[own][h] -= 1
@@ -118,6 +122,7 @@ class Splitter:
         self.group[v] = to
         self.size[own] -= 1
         self.size[to] += 1
+        self.total += self._touching(own, to) - before
 
     def run(self, m: int) -> int:
         """At most m rounds; returns the number of groups."""
@@ -158,7 +163,7 @@ def split(g: PropertyGraph, alpha: float, m: int, objective: str = "ratio", dire
     """(id, group) after at most m rounds.
 
     ``sequential`` sweeps vertices in order in one task and refuses graphs over ``most`` arcs; ``batched`` sweeps on all
-    tasks: gains against the frozen grouping, a hashed fraction of the gainers moves, kept only if the objective improves.
+    tasks (``_split_batched``).
     """
     inner = induce(g, alpha)
     if sweep == "batched":
@@ -179,32 +184,121 @@ def batched_gains(g: PropertyGraph, groups: DataFrame, target: int) -> DataFrame
     return arcs.groupBy(F.col("src").alias("id")).agg(F.sum((F.col("h") == target).cast("long")).alias("inside"), F.sum((F.col("h") != target).cast("long")).alias("outside"))
 
 
-def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction: float, seed: int) -> DataFrame:
+@dataclass
+class Totals:
+    """Sizes of groups and arcs between them: numbers that are bounded by the square of the number of groups."""
+
+    size: list[int]
+    block: list[list[int]]
+
+    @classmethod
+    def of(cls, g: PropertyGraph, groups: DataFrame, k: int) -> "Totals":
+        size = {r["group"]: r["count"] for r in groups.groupBy("group").count().collect()}
+        block = [[0] * k for _ in range(k)]
+        for r in group_arcs(g.edges.select("src", "dst"), groups).groupBy("g", "h").count().collect():
+            block[r["g"]][r["h"]] = r["count"]
+        return cls([size.get(i, 0) for i in range(k)], block)
+
+    def value(self, kind: str, direction: str) -> float:
+        s = Splitter({}, kind, direction)
+        s.size, s.block, live = self.size, self.block, [i for i, n in enumerate(self.size) if n]
+        if kind == "cells":
+            return sum(s._cell(x, y) for x in live for y in live)
+        if len(live) == 1:
+            return math.inf if direction == "decrease" else -math.inf
+        return sum(s._term(x) for x in live)
+
+
+def move_gains(g: PropertyGraph, groups: DataFrame, totals: Totals, s: int, t: int, kind: str) -> DataFrame:
+    """(id, own, gain): by how much the objective falls if a member of s moved to t, or one of t to s, and all else stayed.
+
+    A vertex brings its arcs by group, the rest are totals: the change is an expression of numbers of one row.
+    """
+    k = len(totals.size)
+    member = groups.where(F.col("group").isin(s, t)).select("id", F.col("group").alias("own"))
+    arcs = group_arcs(g.edges.select("src", "dst"), groups).where(F.col("g").isin(s, t))
+    x = arcs.groupBy(F.col("src").alias("id")).agg(*[F.sum((F.col("h") == h).cast("long")).alias(f"x{h}") for h in range(k)])
+    rows = member.join(x, "id", "left").na.fill(0)
+    n, b = totals.size, totals.block
+
+    def cell(cells, filled) -> Column:
+        cells, filled = F.lit(cells).cast("double"), F.lit(filled).cast("double")
+        return F.when(cells > 0, cells * binary_entropy(filled / cells)).otherwise(0.0)
+
+    def term(inner, outer) -> Column:
+        inner, outer = F.lit(inner).cast("double"), F.lit(outer).cast("double")
+        if kind == "ratio":
+            return F.when(outer > 0, binary_entropy(F.least(F.lit(1.0), inner / outer))).otherwise(0.0)
+        return F.when(inner + outer > 0, binary_entropy(inner / (inner + outer))).otherwise(0.0)
+
+    def change(a: int, z: int) -> Column:
+        """Fall of the objective if the vertex moves from a to z."""
+        at = lambda h: F.col(f"x{h}")
+        if kind != "cells":
+            degree = sum((at(h) for h in range(k)), F.lit(0))
+            new = [(b[a][a] - 2 * at(a), sum(b[a]) - degree), (b[z][z] + 2 * at(z), sum(b[z]) + degree)]
+            was = [(b[i][i], sum(b[i])) for i in (a, z)]
+            return sum((term(i, 2 * (total - i)) for i, total in was), F.lit(0.0)) - sum((term(i, (total - i) * 2) for i, total in new), F.lit(0.0))
+        out = cell(n[a] * (n[a] - 1), b[a][a]) - cell((n[a] - 1) * (n[a] - 2), b[a][a] - 2 * at(a))
+        out += cell(n[z] * (n[z] - 1), b[z][z]) - cell((n[z] + 1) * n[z], b[z][z] + 2 * at(z))
+        out += 2 * (cell(n[a] * n[z], b[a][z]) - cell((n[a] - 1) * (n[z] + 1), b[a][z] - at(z) + at(a)))
+        for h in range(k):
+            if h not in (a, z) and n[h]:
+                out += 2 * (cell(n[a] * n[h], b[a][h]) + cell(n[z] * n[h], b[z][h]) - cell((n[a] - 1) * n[h], b[a][h] - at(h)) - cell((n[z] + 1) * n[h], b[z][h] + at(h)))
+        return out
+
+    return rows.select("id", "own", F.when(F.col("own") == s, change(s, t)).otherwise(change(t, s)).alias("gain"))
+
+
+def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction: float, seed: int, sweeps: int = 8) -> DataFrame:
+    """Rounds that split the least dense group. The new group starts from the vertex that gains most alone, and its neighbours in the group;
+    then sweeps score the members of both groups against the frozen grouping, and a hashed fraction of those that gain
+    changes side, kept only if the objective improves, else half as many. The round stays only if it improves the whole.
+    """
     g = PropertyGraph(cut(g.vertices), cut(g.edges))
     groups = cut(g.vertices.select("id", F.lit(0).cast("long").alias("group")))
-    best = objective(g, groups, kind).first()[0] if kind == "cells" else (math.inf if direction == "decrease" else -math.inf)
-    k = 1
+    sign, k = (1.0 if direction == "decrease" else -1.0), 1
+    totals = Totals.of(g, groups, 1)
+    if not totals.size[0]:
+        return groups
+    best = totals.value(kind, direction)
+    better = lambda x, y: sign * x < sign * y - 1e-9
     for r in range(m):
-        d = density(g, groups).orderBy(F.coalesce("density", F.lit(float("inf"))), "group").limit(1).first()
-        if d is None or d["size"] < 2:
+        shape = Splitter({}, kind, direction)
+        shape.size, shape.block = totals.size, totals.block
+        s, t = min((i for i in range(k) if totals.size[i]), key=lambda i: (shape._density(i), i)), k
+        if totals.size[s] < 2:
             break
-        target, share, moved = d["group"], fraction, False
-        inside = d["inner"] / d["size"]
-        gains = cut(groups.where(F.col("group") == target).select("id").join(batched_gains(g, groups, target), "id", "left").na.fill(0))
-        while share * d["size"] >= 1:
-            chosen = gains.where((F.col("inside") <= inside) & (rng.uniform(seed, f"move{r}", "id") < share)).select("id", F.lit(True).alias("go"))
-            trial = cut(groups.join(chosen, "id", "left").select("id", F.when(F.col("go"), F.lit(k)).otherwise(F.col("group")).cast("long").alias("group")))
-            counts = {x["group"]: x["count"] for x in trial.where(F.col("group").isin(k, target)).groupBy("group").count().collect()}
-            value = objective(g, trial, kind).first()[0]
-            if counts.get(k) and counts.get(target) and ((value < best) if direction == "decrease" else (value > best)):
-                groups, best, moved, k = trial, value, True, k + 1
+        wide = Totals([*totals.size, 0], [*[[*row, 0] for row in totals.block], [0] * (k + 1)])
+        first = move_gains(g, groups, wide, s, t, kind).orderBy(F.desc(F.round(F.col("gain") * sign, 9)), "id").select("id").limit(1)
+        start = cut(first.unionByName(g.edges.join(F.broadcast(first.withColumnRenamed("id", "src")), "src", "left_semi").select(F.col("dst").alias("id")).join(groups.where(F.col("group") == s), "id", "left_semi")).distinct())
+        if start.count() == totals.size[s]:
+            start = cut(first)
+        trial = cut(_moved(groups, start.withColumn("to", F.lit(t).cast("long"))))
+        now = Totals.of(g, trial, k + 1)
+        value, share = now.value(kind, direction), fraction
+        for sweep in range(sweeps):
+            gains = move_gains(g, trial, now, s, t, kind).where(F.col("gain") * sign > 1e-9)
+            go = cut(gains.where(rng.uniform(seed, f"move{r}:{sweep}", "id") < share).select("id", F.when(F.col("own") == s, t).otherwise(s).cast("long").alias("to")))
+            if go.isEmpty():
                 break
-            share /= 2
-        if not moved:
+            tried = cut(_moved(trial, go))
+            after = Totals.of(g, tried, k + 1)
+            if after.size[s] and after.size[t] and better(after.value(kind, direction), value):
+                release(trial)
+                trial, now, value = tried, after, after.value(kind, direction)
+            else:
+                share /= 2
+        if not better(value, best):
             break
+        groups, totals, best, k = trial, now, value, k + 1
     return groups
 
 
+def _moved(groups: DataFrame, go: DataFrame) -> DataFrame:
+    return groups.join(go, "id", "left").select("id", F.coalesce("to", "group").alias("group"))
+
+
 def purity(groups: DataFrame, truth: DataFrame) -> DataFrame:
     """Share of vertices that are in the most frequent true class (id, label) of their group."""
     n = groups.join(truth, "id").groupBy("group", "label").agg(F.count("*").alias("n"))
@@ -223,6 +317,30 @@ def k5_split_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def split_grid(g: PropertyGraph, alphas: list[float], rounds: list[int], kinds: list[str]) -> DataFrame:
+    """(alpha, m, objective, k, value): the split loop over a grid of its inputs, a task an alpha."""
+    out = None
+    for alpha in alphas:
+
+        def work(adjacent):
+            for kind in kinds:
+                for m in rounds:
+                    s = Splitter(adjacent, kind)
+                    k = s.run(m) if adjacent else 0
+                    yield kind, m, k, s.value() if k > 1 else None
+
+        one = local(induce(g, alpha), "objective string, m long, k long, value double", work).withColumn("alpha", F.lit(alpha))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def k5_move_gains(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Change of the objective for every vertex that moves between the even and the odd ids."""
+    g = stored(induce(GRAPHS["copart"](spark, sf_dir), 0.5))
+    groups = g.vertices.select("id", (F.col("id") % 2).alias("group"))
+    return move_gains(g, groups, Totals.of(g, groups, 2), 0, 1, "cells").select("id", "own", F.round("gain", 4).alias("gain"))
+
+
 def k5_batched_round(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = induce(GRAPHS["copart"](spark, sf_dir), 0.5)
     return batched_gains(g, g.vertices.select("id", (F.col("id") % 2).alias("group")), 0)
@@ -247,11 +365,14 @@ QUERIES = {
     "k5_split_k": k5_split_k,
     "k5_split_batched": lambda spark, sf_dir: split(GRAPHS["copart"](spark, sf_dir), ALPHA, 3, "cells", sweep="batched"),
     "k5_batched_round": k5_batched_round,
+    "k5_move_gains": k5_move_gains,
+    "grid_optimise": lambda spark, sf_dir: split_grid(stored(GRAPHS["userseq"](spark, sf_dir)), [0.1, 0.2], [5, 10], ["ratio", "share", "cells"]).select("alpha", "m", "objective", "k", F.round("value", 4).alias("value")),
 }
 
 _G = "g AS (SELECT p_partkey AS id, p_brand AS \"group\" FROM part), a AS MATERIALIZED (SELECT x.\"group\" AS g, y.\"group\" AS h, src, dst FROM e JOIN g x ON x.id = src JOIN g y ON y.id = dst), z AS (SELECT \"group\" AS g, count(*) AS size FROM g GROUP BY 1), d AS (SELECT z.g AS \"group\", size, count(*) FILTER (a.g = h) AS \"inner\", 2 * count(*) FILTER (a.g <> h) AS \"outer\" FROM z LEFT JOIN a ON a.g = z.g GROUP BY 1, 2)"
 _H = "CASE WHEN {0} <= 0 OR {0} >= 1 THEN 0.0 ELSE -{0} * log2({0}) - (1 - {0}) * log2(1 - {0}) END"
 ORACLES = {
+    "k5_move_gains": f"WITH {SQL['copart']}, w AS (SELECT id, id % 2 AS z FROM v WHERE color > 0.5), y AS MATERIALIZED (SELECT src, a.z AS g, b.z AS h FROM e JOIN w a ON a.id = src JOIN w b ON b.id = dst), t AS (SELECT (SELECT count(*) FROM w WHERE z = 0)::DOUBLE AS n0, (SELECT count(*) FROM w WHERE z = 1)::DOUBLE AS n1, count(*) FILTER (g = 0 AND h = 0)::DOUBLE AS b00, count(*) FILTER (g = 1 AND h = 1)::DOUBLE AS b11, count(*) FILTER (g = 0 AND h = 1)::DOUBLE AS b01 FROM y), x AS (SELECT w.id, w.z AS own, count(*) FILTER (h = w.z)::DOUBLE AS same, count(*) FILTER (h = 1 - w.z)::DOUBLE AS other FROM w LEFT JOIN y ON src = w.id GROUP BY 1, 2), u AS (SELECT id, own, same, other, CASE own WHEN 0 THEN n0 ELSE n1 END AS na, CASE own WHEN 0 THEN n1 ELSE n0 END AS nz, CASE own WHEN 0 THEN b00 ELSE b11 END AS baa, CASE own WHEN 0 THEN b11 ELSE b00 END AS bzz, b01 FROM x, t), c AS (SELECT id, own, unnest([{{'s': 1, 'n': na * (na - 1), 'b': baa}}, {{'s': -1, 'n': (na - 1) * (na - 2), 'b': baa - 2 * same}}, {{'s': 1, 'n': nz * (nz - 1), 'b': bzz}}, {{'s': -1, 'n': (nz + 1) * nz, 'b': bzz + 2 * other}}, {{'s': 2, 'n': na * nz, 'b': b01}}, {{'s': -2, 'n': (na - 1) * (nz + 1), 'b': b01 - other + same}}]) AS r FROM u), q AS (SELECT id, own, r.s AS s, r.n AS n, r.b / r.n AS p FROM c) SELECT id, own, round(sum(s * n * {_H.format('p')}), 4) AS gain FROM q GROUP BY 1, 2",
     "k5_induced": f"WITH {SQL['copart']} SELECT src, dst, round(weight, 6) AS weight FROM e WHERE src IN (SELECT id FROM v WHERE color > {ALPHA}) AND dst IN (SELECT id FROM v WHERE color > {ALPHA})",
     "k5_density": f"WITH {SQL['copart']}, {_G} SELECT *, round(\"inner\" / nullif(\"outer\", 0), 6) AS density FROM d",
     "k5_entropy": f"WITH {SQL['copart']} SELECT id, round({_H.format('color')}, 6) AS h FROM v",

@@ -6,16 +6,14 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from arcloom import rng
-from arcloom.model import PropertyGraph, degrees
+from arcloom.model import PropertyGraph, degrees, numbered
 from arcloom.plans.iterate import cut
-from arcloom.sources.ingest import GRAPHS, SEED, SQL, table
+from arcloom.sources.ingest import GRAPHS, SEED, SQL, stored, table
 
 
 def sample_vertices(vertices: DataFrame, m: int, seed: int = SEED, replacement: bool = False) -> DataFrame:
     """(id) of m vertices by the rank of a hash: the same on any partitioning. With replacement: (id, draw)."""
     if replacement:
-        from arcloom.model import numbered
-
         n = vertices.count()
         draws = vertices.sparkSession.range(m).select(F.col("id").alias("draw"), rng.randint(seed, "draw", 0, max(0, n - 1), "id").alias("pos"))
         return numbered(vertices.select("id"), "id", "pos").join(draws, "pos").select("id", "draw")
@@ -84,37 +82,48 @@ def modularity(g: PropertyGraph, groups: DataFrame) -> DataFrame:
     return by.crossJoin(F.broadcast(all_arcs)).select("group", "inner", "total", (F.col("inner") / F.col("m") - (F.col("total") / F.col("m")) ** 2).alias("q"))
 
 
-def betweenness(g: PropertyGraph, sources: DataFrame | None = None, max_depth: int = 1000) -> DataFrame:
-    """(id, score): dependency of each vertex from all sources, or the given ones (id), along fewest-hop paths.
+def flows(g: PropertyGraph, sources: DataFrame) -> DataFrame | None:
+    """(s, src, dst, flow): what goes from source s along an arc if every vertex is sent one unit over its fewest-hop paths; None without arcs.
 
-    Breadth-first with path counts keyed by source, then dependencies are summed back level by level. Halved, as
-    every pair is seen from both ends when all are sources.
+    Breadth-first with path counts keyed by source, then dependencies are summed back level by level.
     """
     arcs = g.arcs()
-    start = (g.vertices if sources is None else sources).select(F.col("id").alias("s"), "id")
-    levels = [cut(start.select("s", "id", F.lit(1.0).alias("paths")))]
+    levels = [cut(sources.select(F.col("id").alias("s"), "id", F.lit(1.0).alias("paths")))]
     seen = levels[0].select("s", "id")
-    while len(levels) <= max_depth:
+    while True:
         step = levels[-1].join(arcs.withColumnRenamed("src", "id"), "id").groupBy("s", F.col("dst").alias("id")).agg(F.sum("paths").alias("paths"))
         new = cut(step.join(seen, ["s", "id"], "left_anti"))
         if new.isEmpty():
             break
         levels.append(new)
-        seen = cut(seen.unionByName(new.select("s", "id")))
-    total = levels[-1].select("s", "id", F.lit(0.0).alias("dep"))
-    parts = []
+        seen = seen.unionByName(new.select("s", "id"))
+    total, out = levels[-1].select("s", "id", F.lit(0.0).alias("dep")), None
     for upper, lower in zip(levels[-2::-1], levels[:0:-1], strict=True):
-        below = lower.join(total, ["s", "id"]).select("s", F.col("id").alias("dst"), ((F.col("dep") + 1) / F.col("paths")).alias("share"))
-        parts.append(total)
-        back = arcs.join(below, "dst").select("s", F.col("src").alias("id"), "share").join(upper, ["s", "id"]).groupBy("s", "id").agg(F.sum(F.col("share") * F.col("paths")).alias("dep"))
+        share = lower.join(total, ["s", "id"]).select("s", F.col("id").alias("dst"), ((F.col("dep") + 1) / F.col("paths")).alias("share"))
+        flow = cut(arcs.join(share, "dst").join(upper.select("s", F.col("id").alias("src"), "paths"), ["s", "src"]).select("s", "src", "dst", (F.col("share") * F.col("paths")).alias("flow")))
+        out = flow if out is None else out.unionByName(flow)
+        back = flow.groupBy("s", F.col("src").alias("id")).agg(F.sum("flow").alias("dep"))
         total = cut(upper.select("s", "id").join(back, ["s", "id"], "left").select("s", "id", F.coalesce("dep", F.lit(0.0)).alias("dep")))
     arcs.unpersist()
-    every = None
-    for p in parts:
-        every = p if every is None else every.unionByName(p)
-    if every is None:
+    return out
+
+
+def betweenness(g: PropertyGraph, sources: DataFrame | None = None, batch: int = 512) -> DataFrame:
+    """(id, score): dependency of each vertex from all sources, or the given ones (id), along fewest-hop paths.
+
+    Halved, as every pair is seen from both ends when all are sources. Sources are taken ``batch`` at a time, so that the
+    state is at most that many rows a vertex.
+    """
+    start = cut((g.vertices if sources is None else sources).select("id"))
+    deals, parts = max(1, -(-start.count() // batch)), None
+    for i in range(deals):
+        f = flows(g, start.where(F.pmod(F.xxhash64("id"), F.lit(deals)) == i))
+        if f is not None:
+            one = cut(f.where("s <> src").groupBy(F.col("src").alias("id")).agg((F.sum("flow") / 2).alias("score")))
+            parts = one if parts is None else parts.unionByName(one)
+    if parts is None:
         return g.vertices.select("id", F.lit(0.0).alias("score"))
-    score = every.where("s <> id").groupBy("id").agg((F.sum("dep") / 2).alias("score"))
+    score = parts.groupBy("id").agg(F.sum("score").alias("score"))
     return g.vertices.select("id").join(score, "id", "left").select("id", F.coalesce("score", F.lit(0.0)).alias("score"))
 
 
@@ -128,16 +137,15 @@ def tail(g: PropertyGraph, dmin: int = 4) -> DataFrame:
 
 
 def approx_error(exact: DataFrame, approx: DataFrame, scale: float, top: int = 10) -> DataFrame:
-    """Largest and mean absolute error of scaled scores, rank correlation, and overlap of the top."""
-    from pyspark.sql.window import Window
-
+    """Largest and mean absolute error of scaled scores, rank correlation, and overlap of the top. Ranks are numbered by ranges, not in one task."""
     j = exact.join(approx.select("id", (F.col("score") * scale).alias("guess")), "id")
-    j = j.withColumn("ra", F.rank().over(Window.orderBy(F.desc("score"), "id"))).withColumn("rb", F.rank().over(Window.orderBy(F.desc("guess"), "id")))
-    return j.agg(F.max(F.abs(F.col("score") - F.col("guess"))).alias("max_error"), F.avg(F.abs(F.col("score") - F.col("guess"))).alias("mean_error"), F.corr("ra", "rb").alias("rank_correlation"), (F.sum(((F.col("ra") <= top) & (F.col("rb") <= top)).cast("int")) / top).alias("top_overlap"))
+    for by, rank in (("score", "ra"), ("guess", "rb")):
+        j = numbered(cut(j.withColumn("key", F.struct(-F.round(by, 9), F.col("id")))), "key", rank)
+    return j.agg(F.max(F.abs(F.col("score") - F.col("guess"))).alias("max_error"), F.avg(F.abs(F.col("score") - F.col("guess"))).alias("mean_error"), F.corr("ra", "rb").alias("rank_correlation"), (F.sum(((F.col("ra") < top) & (F.col("rb") < top)).cast("int")) / top).alias("top_overlap"))
 
 
 def _cc(name: str, **options):
-    return lambda spark, sf_dir: clustering(GRAPHS[name](spark, sf_dir), **options).select("id", "degree", "closed", F.round("cc", 6).alias("cc"))
+    return lambda spark, sf_dir: clustering(stored(GRAPHS[name](spark, sf_dir)), **options).select("id", "degree", "closed", F.round("cc", 6).alias("cc"))
 
 
 def brands(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -151,16 +159,36 @@ def k4_triangles(spark: SparkSession, sf_dir: str) -> DataFrame:
     return triangles(g).agg(F.count("*").alias("triangles")).crossJoin(wedges).select("triangles", "wedges", F.round(3 * F.col("triangles") / F.col("wedges"), 6).alias("transitivity"))
 
 
+def grid_metric(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean coefficient over samples of growing size, up to all vertices."""
+    g, out = stored(GRAPHS["userseq"](spark, sf_dir)), None
+    for m in (10, 100, None):
+        one = clustering(g, m).agg(F.lit(m or -1).alias("m"), F.count("*").alias("n"), F.round(F.avg("cc"), 6).alias("cc"), F.sum("closed").alias("closed"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def k4_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Approximate samples: rows a kind of vertex under sample and sampleBy, beside the exact draw of as many."""
+    v = GRAPHS["partsupp"](spark, sf_dir).vertices.withColumn("kind", (F.col("id") % 8).cast("int"))
+    made = {"all": v, "sample": v.sample(0.2, 7), "sampleBy": v.sampleBy("kind", {0: 0.1, 1: 0.5}, 7), "exact": v.join(sample_vertices(v, 50), "id", "left_semi")}
+    out = None
+    for name, rows in made.items():
+        one = rows.groupBy("kind").agg(F.count("*").alias("n")).withColumn("how", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def k4_tail(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tail(GRAPHS["words"](spark, sf_dir)).select("n", F.round("exponent", 6).alias("exponent"), F.round("top_share", 6).alias("top_share"), "max_degree")
 
 
 def k4_bc_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return betweenness(GRAPHS["userseq"](spark, sf_dir)).select("id", F.round("score", 6).alias("score"))
+    return betweenness(stored(GRAPHS["userseq"](spark, sf_dir))).select("id", F.round("score", 6).alias("score"))
 
 
 def _sampled(spark: SparkSession, sf_dir: str, s: int = 32) -> tuple[PropertyGraph, DataFrame, float]:
-    g = GRAPHS["userseq"](spark, sf_dir)
+    g = stored(GRAPHS["userseq"](spark, sf_dir))
     ids = cut(sample_vertices(g.vertices, s))
     return g, betweenness(g, ids), g.vertices.count() / max(1, ids.count())
 
@@ -186,6 +214,8 @@ QUERIES = {
     "k4_triangles": k4_triangles,
     "k4_tail": k4_tail,
     "k4_bc_exact": k4_bc_exact,
+    "grid_metric": grid_metric,
+    "k4_sampling": k4_sampling,
     "k4_bc_sampled": k4_bc_sampled,
     "measure_bc_error": measure_bc_error,
     "sample_vertices": lambda spark, sf_dir: sample_vertices(GRAPHS["copart"](spark, sf_dir).vertices, 100),
@@ -200,9 +230,22 @@ def _mat(graph: str) -> str:
     return "WITH " + SQL[graph].replace("e AS (", "e AS MATERIALIZED (", 1)
 
 
+def _sql_bc(score: str, sources: str, depth: int = 5) -> str:
+    """Scores by path counts of all pairs up to a depth that covers the graph."""
+    out = [_mat("userseq"), "a0 AS MATERIALIZED (SELECT id AS s, id AS t, 0 AS d, 1.0::DOUBLE AS n FROM v)"]
+    for d in range(1, depth + 1):
+        out.append(f"b{d} AS MATERIALIZED (SELECT s, dst AS t, {d} AS d, sum(n) AS n FROM a{d - 1} JOIN e ON src = t WHERE d = {d - 1} GROUP BY 1, 2), a{d} AS MATERIALIZED (SELECT * FROM a{d - 1} UNION ALL SELECT * FROM b{d} WHERE (s, t) NOT IN (SELECT (s, t) FROM a{d - 1}))")
+    out.append(f"c AS (SELECT x.t AS id, sum(x.n * y.n / z.n) / 2 AS score FROM a{depth} x JOIN a{depth} y ON y.s = x.t JOIN a{depth} z ON z.s = x.s AND z.t = y.t AND z.d = x.d + y.d WHERE x.s <> x.t AND y.s <> y.t AND x.s IN ({sources}) GROUP BY 1)")
+    return ", ".join(out) + f" SELECT id, round({score}, 6) AS score FROM v LEFT JOIN c USING (id)"
+
+
 _RANK = f"SELECT id FROM v ORDER BY {rng.sql_bits(SEED, 'sample', 'id')}, id LIMIT 100"
 _BRAND = "g AS (SELECT p_partkey AS id, p_brand AS \"group\" FROM part), a AS (SELECT x.\"group\" AS g, y.\"group\" AS h FROM e JOIN g x ON x.id = src JOIN g y ON y.id = dst)"
+_SOURCES = f"SELECT id FROM (SELECT id FROM v ORDER BY {rng.sql_bits(SEED, 'sample', 'id')}, id LIMIT 32)"
 ORACLES = {
+    "k4_bc_exact": _sql_bc("coalesce(score, 0.0)", "SELECT id FROM v"),
+    "k4_bc_sampled": _sql_bc(f"coalesce(score, 0.0) * ((SELECT count(*) FROM v)::DOUBLE / (SELECT count(*) FROM ({_SOURCES})))", _SOURCES),
+    "grid_metric": f"{_mat('userseq')}, r AS MATERIALIZED (SELECT id, row_number() OVER (ORDER BY {rng.sql_bits(SEED, 'sample', 'id')}, id) AS k FROM v), d AS MATERIALIZED (SELECT id, k, count(dst) AS degree FROM r LEFT JOIN e ON id = src GROUP BY 1, 2), c AS MATERIALIZED (SELECT a.src AS id, count(*) AS closed FROM e a JOIN e b ON b.src = a.dst JOIN e c ON c.src = a.src AND c.dst = b.dst GROUP BY 1), f AS (SELECT k, degree, coalesce(closed, 0) AS closed FROM d LEFT JOIN c USING (id)) SELECT m::INTEGER AS m, count(*) AS n, round(avg(CASE WHEN degree > 1 THEN closed / (degree * (degree - 1)) END), 6) AS cc, sum(closed)::BIGINT AS closed FROM f, (SELECT unnest([10, 100, -1]) AS m) WHERE m = -1 OR k <= m GROUP BY 1",
     "k4_cc_sample": _sql_cc("copart", _RANK),
     "k4_cc_all": _sql_cc("copart"),
     "k4_cc_arrays": _sql_cc("userseq"),

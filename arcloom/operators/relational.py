@@ -174,20 +174,25 @@ def topk_per_group(spark, sf_dir):
     return d.withColumn("r", F.row_number().over(Window.partitionBy("p_brand").orderBy(F.desc("degree"), "id"))).where("r <= 3").select("p_brand", "id", "r")
 
 
-def _pairs(spark, sf_dir, name):
-    return GRAPHS[name](spark, sf_dir).edges.where("src % 8 = 2").select("src")
+def _pairs(spark, sf_dir, what):
+    """Arcs of the co-purchase graph: the heavy ones, or those between dark vertices."""
+    g = GRAPHS["copart"](spark, sf_dir)
+    if what == "heavy":
+        return g.edges.where("weight >= 0.5").select("src", "dst")
+    dark = g.vertices.where("color > 0.8").select("id")
+    return g.edges.select("src", "dst").join(dark.withColumnRenamed("id", "src"), "src", "left_semi").join(dark.withColumnRenamed("id", "dst"), "dst", "left_semi").select("src", "dst")
 
 
 def set_union_edges(spark, sf_dir):
-    return _pairs(spark, sf_dir, "custsupp").unionByName(_pairs(spark, sf_dir, "custpart")).distinct()
+    return _pairs(spark, sf_dir, "heavy").unionByName(_pairs(spark, sf_dir, "dark")).distinct()
 
 
 def set_intersect_edges(spark, sf_dir):
-    return _pairs(spark, sf_dir, "custsupp").intersectAll(_pairs(spark, sf_dir, "custpart")).groupBy("src").agg(F.count("*").alias("n"))
+    return _pairs(spark, sf_dir, "heavy").intersectAll(_pairs(spark, sf_dir, "dark"))
 
 
 def set_except_edges(spark, sf_dir):
-    return _pairs(spark, sf_dir, "custpart").exceptAll(_pairs(spark, sf_dir, "custsupp")).groupBy("src").agg(F.count("*").alias("n"))
+    return _pairs(spark, sf_dir, "dark").exceptAll(_pairs(spark, sf_dir, "heavy"))
 
 
 NAMES = "filter_color filter_weight_range join_adjacency join_broadcast_frontier join_induced_semi join_unvisited_anti join_degree_outer graph_diff_full join_slot_range join_asof_events join_lateral_topk agg_strength agg_color_mean agg_distinct_neighbors agg_approx_neighbors agg_rollup_geo agg_cube_kind agg_grouping_sets agg_pivot_degree win_rank_score win_ntile_degree win_lead_transitions win_csr_offsets win_range_value topk_eigen topk_per_group set_union_edges set_intersect_edges set_except_edges".split()
@@ -202,6 +207,7 @@ _DEG = f"{_C}, d AS (SELECT id, count(dst) AS degree FROM v LEFT JOIN e ON id =
 _GEO = "WITH g AS (SELECT kind, r_name AS region, n_name AS nation, b FROM (SELECT 'customer' AS kind, c_nationkey AS k, c_acctbal AS b FROM customer UNION ALL SELECT 'supplier', s_nationkey, s_acctbal FROM supplier) JOIN nation ON n_nationkey = k JOIN region ON r_regionkey = n_regionkey)"
 _GSEL = lambda keys, by: f"{_GEO} SELECT " + ", ".join(f"coalesce({k}, 'all') AS {k}" for k in keys) + f", count(*) AS n, round(sum(b), 2) AS balance FROM g GROUP BY {by}"
 _CS, _CP = "(SELECT DISTINCT o_custkey * 8 + 2 AS src, l_suppkey AS d FROM orders JOIN lineitem ON o_orderkey = l_orderkey)", "(SELECT DISTINCT o_custkey * 8 + 2 AS src, l_partkey AS d FROM orders JOIN lineitem ON o_orderkey = l_orderkey)"
+_SETS = f"{_C}, heavy AS (SELECT src, dst FROM e WHERE weight >= 0.5), dark AS (SELECT src, dst FROM e WHERE src IN (SELECT id FROM v WHERE color > 0.8) AND dst IN (SELECT id FROM v WHERE color > 0.8))"
 ORACLES = {
     "filter_color": f"{_C} SELECT id, round(color, 6) AS color FROM v WHERE color BETWEEN 0.25 AND 0.5",
     "filter_weight_range": f"{_C} SELECT src, dst, round(weight, 6) AS weight FROM e WHERE weight < 1 AND weight >= 0.3",
@@ -228,7 +234,7 @@ ORACLES = {
     "win_range_value": "SELECT event_id, count(*) OVER w AS n, round(max(value) OVER w, 4) AS high FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW)",
     "topk_eigen": sql_power("copart", 10) + " SELECT id, round(x, 9) AS x FROM x10 ORDER BY round(x, 12) DESC, id LIMIT 10",
     "topk_per_group": f"{_DEG} SELECT p_brand, id, row_number() OVER (PARTITION BY p_brand ORDER BY degree DESC, id) AS r FROM b QUALIFY r <= 3",
-    "set_union_edges": f"SELECT src FROM {_CS} UNION SELECT src FROM {_CP}",
-    "set_intersect_edges": f"SELECT src, count(*) AS n FROM (SELECT src FROM {_CS} INTERSECT ALL SELECT src FROM {_CP}) GROUP BY 1",
-    "set_except_edges": f"SELECT src, count(*) AS n FROM (SELECT src FROM {_CP} EXCEPT ALL SELECT src FROM {_CS}) GROUP BY 1",
+    "set_union_edges": f"{_SETS} SELECT * FROM heavy UNION SELECT * FROM dark",
+    "set_intersect_edges": f"{_SETS} SELECT * FROM heavy INTERSECT ALL SELECT * FROM dark",
+    "set_except_edges": f"{_SETS} SELECT * FROM dark EXCEPT ALL SELECT * FROM heavy",
 }

@@ -2,8 +2,10 @@
 
 Only state moves: arcs are dealt by source once and kept. A round joins the vertices that just improved with
 their arcs, takes the least offer a vertex, and accepts strict improvements, so every search ends when nothing
-improves. Weights are zero or more; a result has no row for vertices that are not reached (``unreached``: rows with
-infinity or null instead).
+improves; rounds are not bounded unless a bound is asked for. A label is (distance, hops, predecessor) and the least one wins, so
+predecessors lead to the source over arcs of weight zero too. A round writes the labels that improved, not the whole
+state, which is put together again when what was added outgrows it. Weights are zero or more; a result has no row
+for vertices that are not reached (``unreached``: rows with infinity or null instead).
 """
 
 from __future__ import annotations
@@ -14,19 +16,24 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from arcloom.model import PropertyGraph, both_ways, small
-from arcloom.plans.iterate import Loop, cut
-from arcloom.sources.ingest import GRAPHS, SQL
+from arcloom import rng
+from arcloom.model import PropertyGraph, small
+from arcloom.plans.iterate import Loop, cut, release
+from arcloom.sources.ingest import GRAPHS, SEED, SQL, stored
 
 
 @dataclass
 class Searched:
-    """State rows and the trace: a row a round with the frontier and what was accepted."""
+    """Labels (source, id, d, hops, pred) and the trace: a row a round with the frontier, offers along arcs, and improved labels."""
 
     state: DataFrame
     trace: list[dict]
     converged: bool
 
+    def work(self) -> dict[str, int]:
+        """Counters over all rounds: what was shuffled (offers) and what was kept."""
+        return {"rounds": len(self.trace), **{k: sum(t.get(k, 0) for t in self.trace) for k in ("frontier", "offers", "improved")}}
+
 
 def _start(g: PropertyGraph, sources: DataFrame | list[int] | int) -> DataFrame:
     if isinstance(sources, DataFrame):
@@ -35,43 +42,91 @@ def _start(g: PropertyGraph, sources: DataFrame | list[int] | int) -> DataFrame:
     return g.spark.createDataFrame([(i, i) for i in ids], "source long, id long")
 
 
-def relax(g: PropertyGraph, sources, step, first: float | int, max_rounds: int = 1000, max_value: float | None = None, full: bool = False, target: int | None = None, delta: float | None = None) -> Searched:
+KEY = ["source", "id"]
+
+
+def _least(rows: DataFrame) -> DataFrame:
+    """The least label of every vertex."""
+    return rows.groupBy(*KEY).agg(F.min(F.struct("d", "hops", "pred")).alias("l")).select(*KEY, "l.d", "l.hops", "l.pred")
+
+
+class _Labels:
+    """Labels as a base table and what later rounds have improved."""
+
+    def __init__(self, base: DataFrame, rows: int):
+        self.tables, self.base_rows, self.added = [base], rows, 0
+
+    def all(self) -> DataFrame:
+        out = self.tables[0]
+        for t in self.tables[1:]:
+            out = out.unionByName(t)
+        return out
+
+    def add(self, improved: DataFrame, rows: int) -> None:
+        self.tables.append(improved)
+        self.added += rows
+        if self.added > self.base_rows and len(self.tables) > 4:
+            self.compact()
+
+    def compact(self) -> DataFrame:
+        if len(self.tables) > 1:
+            new = cut(_least(self.all()))
+            self.tables, self.base_rows, self.added = [new], new.count(), 0
+        return self.tables[0]
+
+
+def relax(g: PropertyGraph, sources, step, first: float | int, max_rounds: int | None = None, max_value: float | None = None, full: bool = False, target: int | None = None, delta: float | None = None) -> Searched:
     """Label correction keyed by (source, id). ``step(d, weight)`` is what an arc adds.
 
     ``full``: all reached vertices send each round. ``target``: offers over the target's present value are dropped.
-    ``delta``: only improved vertices in the lowest bucket of that width send; the rest wait.
+    ``delta``: only improved vertices in the lowest bucket of that width send; the rest wait. ``max_rounds``: stop
+    there; ``converged`` says whether that was the end.
     """
     arcs = g.arcs("weight")
-    start = _start(g, sources).join(g.vertices.select("id"), "id", "left_semi")
-    state = cut(start.select("source", "id", F.lit(first).cast("double").alias("d"), F.lit(True).alias("open")))
+    label = [F.lit(first).cast("double").alias("d"), F.lit(0).cast("long").alias("hops"), F.lit(None).cast("long").alias("pred")]
+    base = cut(_start(g, sources).distinct().join(g.vertices.select("id"), "id", "left_semi").select(*KEY, *label))
+    known, best = _Labels(base, base.count()), [None]
 
-    def one(state: DataFrame, r: int):
-        facts = state.agg(F.sum(F.col("open").cast("int")).alias("n"), F.min(F.when(F.col("open"), F.col("d"))).alias("low"), F.min(F.when(F.col("id") == F.lit(target), F.col("d"))).alias("best")).first()
-        if not facts["n"]:
-            return state, {"frontier": 0}
-        sends = F.lit(True) if full else F.col("open")
+    def one(front: DataFrame, r: int):
+        if delta is not None:
+            front = cut(_least(front))
+        sent = front.agg(F.count("*").alias("n"), F.min("d").alias("low")).first()
+        if not sent["n"]:
+            return front, {"frontier": 0, "offers": 0, "improved": 0}
+        later = None
         if delta is not None:
-            sends = F.col("open") & (F.col("d") < (int(facts["low"] / delta) + 1) * delta)
-        front = state.where(sends).select("source", F.col("id").alias("src"), "d")
-        offers = arcs.join(small(front, facts["n"], 24) if not full else front, "src").select("source", F.col("dst").alias("id"), step(F.col("d"), F.col("weight")).alias("o"))
+            edge = (int(sent["low"] / delta) + 1) * delta
+            front, later = front.where(F.col("d") < edge), front.where(F.col("d") >= edge)
+        senders = known.compact() if full else front
+        moves = small(senders.select("source", F.col("id").alias("src"), "d", "hops"), sent["n"], 32) if not full else senders.select("source", F.col("id").alias("src"), "d", "hops")
+        offers = arcs.join(moves, "src").select("source", F.col("dst").alias("id"), step(F.col("d"), F.col("weight")).alias("d"), (F.col("hops") + 1).alias("hops"), F.col("src").alias("pred"))
         if max_value is not None:
-            offers = offers.where(F.col("o") <= max_value)
-        if facts["best"] is not None:
-            offers = offers.where(F.col("o") <= facts["best"])
-        offers = offers.groupBy("source", "id").agg(F.min("o").alias("o"))
-        kept = state.withColumn("waits", F.col("open") & ~sends)
-        new = kept.join(offers, ["source", "id"], "full")
-        better = F.col("o").isNotNull() & (F.col("d").isNull() | (F.col("o") < F.col("d")))
-        return cut(new.select("source", "id", F.when(better, F.col("o")).otherwise(F.col("d")).alias("d"), (better | F.coalesce("waits", F.lit(False))).alias("open"))), {"frontier": facts["n"]}
-
-    loop = Loop(one, lambda f: f["frontier"] == 0, max_rounds + 1)
-    state = loop.run(state)
+            offers = offers.where(F.col("d") <= max_value)
+        if best[0] is not None:
+            offers = offers.where(F.col("d") <= best[0])
+        offers = cut(offers.groupBy(*KEY).agg(F.min(F.struct("d", "hops", "pred")).alias("o"), F.count("*").alias("n")))
+        made = offers.agg(F.count("*").alias("rows"), F.coalesce(F.sum("n"), F.lit(0)).alias("n"), F.min(F.when(F.col("id") == F.lit(target), F.col("o.d"))).alias("hit")).first()
+        if made["hit"] is not None:
+            best[0] = made["hit"] if best[0] is None else min(best[0], made["hit"])
+        old = known.all().join(small(offers.select(*KEY), made["rows"]), KEY, "left_semi").groupBy(*KEY).agg(F.min(F.struct("d", "hops", "pred")).alias("l"))
+        nearer = F.col("l").isNull() | (F.col("o.d") < F.col("l.d")) | ((F.col("o.d") == F.col("l.d")) & (F.col("o.hops") < F.col("l.hops")))
+        better = offers.join(old, KEY, "left").where(F.col("l").isNull() | (F.col("o") < F.col("l")))
+        improved = cut(better.select(*KEY, "o.d", "o.hops", "o.pred", nearer.alias("open")))
+        rows = improved.count()
+        release(offers)
+        if rows:
+            known.add(improved.drop("open"), rows)
+        new = improved.where("open").drop("open")
+        return new if later is None else new.unionByName(later), {"frontier": sent["n"], "offers": made["n"], "improved": rows}
+
+    loop = Loop(one, lambda f: f["improved"] == 0 and (delta is None or f["frontier"] == 0), max_rounds)
+    loop.run(base)
     arcs.unpersist()
-    return Searched(state.select("source", "id", "d"), loop.trace, loop.converged)
+    return Searched(known.compact(), loop.trace, loop.converged)
 
 
-def sssp(g: PropertyGraph, source, engine: str = "frontier", delta: float = 0.25, max_rounds: int = 1000, max_dist: float | None = None, target: int | None = None, unreached: str = "absent") -> DataFrame:
-    """(id, dist) from one source. Engines: frontier, full, bucketed, ordered."""
+def sssp(g: PropertyGraph, source, engine: str = "frontier", delta: float = 0.25, max_rounds: int | None = None, max_dist: float | None = None, target: int | None = None, unreached: str = "absent") -> DataFrame:
+    """(id, dist) from one source. Engines: frontier, full, bucketed, ordered. A bound on rounds or distance is a feature of the result; none is set by default."""
     if engine == "ordered":
         out = ordered(g, source)
     else:
@@ -82,12 +137,13 @@ def sssp(g: PropertyGraph, source, engine: str = "frontier", delta: float = 0.25
     return g.vertices.select("id").join(out, "id", "left").select("id", F.coalesce("dist", fill).alias("dist"))
 
 
-def multi_source(g: PropertyGraph, sources, max_dist: float | None = None, max_rounds: int = 1000) -> DataFrame:
+def multi_source(g: PropertyGraph, sources, max_dist: float | None = None, max_rounds: int | None = None) -> DataFrame:
     """(source, id, dist) for every source."""
-    return relax(g, sources, lambda d, w: d + w, 0.0, max_rounds, max_dist).state.withColumnRenamed("d", "dist")
+    return relax(g, sources, lambda d, w: d + w, 0.0, max_rounds, max_dist).state.select("source", "id", F.col("d").alias("dist"))
 
 
-def bfs(g: PropertyGraph, source, max_depth: int = 1000) -> DataFrame:
+def bfs(g: PropertyGraph, source, max_depth: int | None = None) -> DataFrame:
+    """(id, level), to any depth unless a greatest one is given."""
     return relax(g, source, lambda d, w: d + 1, 0, max_depth).state.select("id", F.col("d").cast("int").alias("level"))
 
 
@@ -151,7 +207,7 @@ def dfs(g: PropertyGraph, source: int, most: int = MAX_LOCAL_ARCS) -> DataFrame:
     return local(g, "id long, position long, parent long", work, most)
 
 
-def components(g: PropertyGraph, max_rounds: int = 100) -> DataFrame:
+def components(g: PropertyGraph) -> DataFrame:
     """(id, component): the smallest id that is reached. Labels jump to the label of their label each round."""
     arcs = g.arcs()
     state = cut(g.vertices.select("id", F.col("id").alias("c")))
@@ -163,19 +219,19 @@ def components(g: PropertyGraph, max_rounds: int = 100) -> DataFrame:
         new = cut(low.join(jump, "n").select("id", F.least("n", "j").alias("c"), (F.least("n", "j") < F.col("c")).alias("moved")))
         return new.select("id", "c"), {"moved": new.where("moved").count()}
 
-    loop = Loop(one, lambda f: f["moved"] == 0, max_rounds)
+    loop = Loop(one, lambda f: f["moved"] == 0)
     state = loop.run(state)
     arcs.unpersist()
     return state.select("id", F.col("c").alias("component"))
 
 
-def msf(g: PropertyGraph, engine: str = "boruvka", max_rounds: int = 64) -> DataFrame:
+def msf(g: PropertyGraph, engine: str = "boruvka") -> DataFrame:
     """Edges (src < dst, weight) of a minimum spanning forest; ties by (weight, src, dst), so all engines agree."""
     if engine in ("kruskal", "prim"):
         return local(g, "src long, dst long, weight double", _kruskal if engine == "kruskal" else _prim)
     edges = cut(g.edges.where("src < dst").select("src", "dst", "weight", F.col("src").alias("a"), F.col("dst").alias("b")))
     chosen = None
-    for _ in range(max_rounds):
+    while True:
         ends = edges.select(F.explode(F.array("a", "b")).alias("c"), F.struct("weight", "src", "dst", "a", "b").alias("e"))
         light = cut(ends.groupBy("c").agg(F.min("e").alias("e")).select("e.*").distinct())
         if light.isEmpty():
@@ -191,12 +247,12 @@ def msf(g: PropertyGraph, engine: str = "boruvka", max_rounds: int = 64) -> Data
     return chosen.distinct() if chosen is not None else g.edges.where("src < dst").select("src", "dst", "weight")
 
 
-def _roots(parents: DataFrame, max_rounds: int = 64) -> DataFrame:
+def _roots(parents: DataFrame) -> DataFrame:
     """(c, p) with p the root: two that chose each other meet at the smaller, then parents jump to their parents."""
     p = cut(parents)
     back = p.select(F.col("c").alias("p"), F.col("p").alias("q"))
     p = cut(p.join(back, "p").select("c", F.when((F.col("q") == F.col("c")) & (F.col("c") < F.col("p")), F.col("c")).otherwise(F.col("p")).alias("p")))
-    for _ in range(max_rounds):
+    while True:
         up = p.select(F.col("c").alias("p"), F.col("p").alias("q"))
         new = cut(p.join(up, "p").select("c", F.col("q").alias("p"), (F.col("q") != F.col("p")).alias("moved")))
         p = new.select("c", "p")
@@ -241,26 +297,23 @@ def _prim(adjacent):
 
 
 def path_tree(g: PropertyGraph, source) -> DataFrame:
-    """(id, dist, pred): pred is the smallest neighbour on a shortest path; the source has none."""
-    dist = cut(sssp(g, source))
-    tight = g.edges.join(dist.select(F.col("id").alias("src"), F.col("dist").alias("ds")), "src").join(dist.select(F.col("id").alias("dst"), F.col("dist").alias("dd")), "dst")
-    pred = tight.where("abs(ds + weight - dd) <= 1e-12 and ds < dd").groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("pred"))
-    return dist.join(pred, "id", "left").select("id", "dist", "pred")
+    """(id, dist, hops, pred): of the shortest paths those of fewest arcs, of these the smallest predecessor; the source has none."""
+    return relax(g, source, lambda d, w: d + w, 0.0).state.select("id", F.col("d").alias("dist"), "hops", "pred")
 
 
-def paths(g: PropertyGraph, source, targets: list[int], max_hops: int = 1000) -> DataFrame:
-    """(target, path, dist) by walking predecessors back, all targets at once."""
+def paths(g: PropertyGraph, source, targets: list[int]) -> DataFrame:
+    """(target, path, dist) by walking predecessors back, all targets at once, as far as the longest path goes."""
     tree = cut(path_tree(g, source))
-    walk = tree.where(F.col("id").isin(targets)).select(F.col("id").alias("target"), "dist", F.array("id").alias("path"), F.col("pred").alias("next"))
-    for _ in range(max_hops):
-        walk = cut(walk.join(tree.select(F.col("id").alias("next"), F.col("pred").alias("after")), "next", "left").select("target", "dist", F.when(F.col("next").isNull(), F.col("path")).otherwise(F.concat(F.array("next"), "path")).alias("path"), F.col("after").alias("next")))
-        if walk.where("next is not null").isEmpty():
-            break
+    walk = cut(tree.where(F.col("id").isin(targets)).select(F.col("id").alias("target"), "dist", F.array("id").alias("path"), F.col("pred").alias("next")))
+    while not walk.where("next is not null").isEmpty():
+        new = cut(walk.join(tree.select(F.col("id").alias("next"), F.col("pred").alias("after")), "next", "left").select("target", "dist", F.when(F.col("next").isNull(), F.col("path")).otherwise(F.concat(F.array("next"), "path")).alias("path"), F.col("after").alias("next")))
+        release(walk)
+        walk = new
     return walk.select("target", "path", "dist")
 
 
 def _graph(name: str, spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    return GRAPHS[name](spark, sf_dir)
+    return stored(GRAPHS[name](spark, sf_dir))
 
 
 def least_id(g: PropertyGraph) -> int:
@@ -294,9 +347,37 @@ def k1_msf_weight(spark: SparkSession, sf_dir: str) -> DataFrame:
     return msf(_graph("copart", spark, sf_dir)).agg(F.count("*").alias("edges"), F.round(F.sum("weight"), 6).alias("weight"))
 
 
-def k1_path_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+def _tree(name: str):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = _graph(name, spark, sf_dir)
+        return path_tree(g, least_id(g)).select("id", F.round("dist", 6).alias("dist"), "hops", F.coalesce("pred", F.lit(-1)).alias("pred"))
+
+    return run
+
+
+def k1_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Paths to all suppliers of the forest that the first region reaches: length, ends, and how many arcs."""
     g = _graph("geo", spark, sf_dir)
-    return path_tree(g, least_id(g)).select("id", F.round("dist", 6).alias("dist"), F.coalesce("pred", F.lit(-1)).alias("pred"))
+    targets = [r["id"] for r in g.vertices.where("id % 8 = 1").select("id").collect()]
+    return paths(g, least_id(g), targets).select("target", F.round("dist", 6).alias("dist"), F.concat_ws("-", "path").alias("path"))
+
+
+def k1_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The smallest id, the hub, and eight drawn ids as sources: reached vertices, largest and mean distance."""
+    g = _graph("userseq", spark, sf_dir)
+    drawn = [r["id"] for r in g.vertices.select("id", rng.bits(SEED, "source", "id").alias("r")).orderBy("r", "id").limit(8).collect()]
+    d = multi_source(g, sorted({least_id(g), hub(g), *drawn}))
+    return d.groupBy("source").agg(F.count("*").alias("reached"), F.round(F.max("dist"), 6).alias("farthest"), F.round(F.avg("dist"), 6).alias("mean"))
+
+
+def measure_search_work(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rounds, offers along arcs and improved labels of the engines on one graph, against its arcs."""
+    g = _graph("userseq", spark, sf_dir)
+    n, rows = g.edges.count(), []
+    for engine, options in (("frontier", {}), ("full", {"full": True}), ("bucketed", {"delta": 0.05})):
+        w = relax(g, least_id(g), lambda d, w: d + w, 0.0, **options).work()
+        rows.append((engine, n, w["rounds"], w["offers"], w["improved"]))
+    return spark.createDataFrame(rows, "engine string, arcs long, rounds long, offers long, improved long")
 
 
 def k1_multi_source(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -323,7 +404,11 @@ QUERIES = {
     "k1_bfs_levels": k1_bfs_levels,
     "k1_dfs_order": k1_dfs_order,
     "k1_msf_weight": k1_msf_weight,
-    "k1_path_tree": k1_path_tree,
+    "k1_path_tree": _tree("geo"),
+    "k1_path_tree_zero": _tree("partsupp"),
+    "k1_paths": k1_paths,
+    "k1_sources": k1_sources,
+    "measure_search_work": measure_search_work,
     "k1_multi_source": k1_multi_source,
     "k1_within": k1_within,
     "k1_components": k1_components,
@@ -336,6 +421,12 @@ def _sp(graph: str, source: str = _LEAST, bound: str = "", add: str = "weight")
     return f"WITH RECURSIVE {SQL[graph]}, s0 AS ({source}), sp(id, dist) USING KEY (id) AS (SELECT id, 0.0::DOUBLE FROM s0 UNION SELECT e.dst, min(sp.dist + {add}) FROM sp JOIN e ON e.src = sp.id LEFT JOIN recurring.sp AS r ON r.id = e.dst WHERE (r.dist IS NULL OR sp.dist + {add} < r.dist) {bound} GROUP BY e.dst)"
 
 
+def _label(graph: str) -> str:
+    """Relation l(id, d, hops): distances, and the fewest arcs of a shortest path."""
+    return _sp(graph) + ", tight AS MATERIALIZED (SELECT e.src, e.dst FROM e JOIN sp a ON a.id = e.src JOIN sp b ON b.id = e.dst WHERE a.dist + e.weight = b.dist), h(id, hops) USING KEY (id) AS (SELECT id, 0 FROM s0 UNION SELECT tight.dst, min(h.hops + 1) FROM h JOIN tight ON tight.src = h.id LEFT JOIN recurring.h AS r ON r.id = tight.dst WHERE r.hops IS NULL OR h.hops + 1 < r.hops GROUP BY 1), l AS MATERIALIZED (SELECT sp.id, dist AS d, hops::BIGINT AS hops FROM sp JOIN h ON h.id = sp.id)"
+
+
+_PRED = " SELECT l.id, round(l.d, 6) AS dist, l.hops, coalesce(min(p.id), -1) AS pred FROM l LEFT JOIN e ON e.dst = l.id LEFT JOIN l p ON p.id = e.src AND p.d + e.weight = l.d AND p.hops + 1 = l.hops GROUP BY 1, 2, 3"
 _ROUND = " SELECT id, round(dist, 6) AS dist FROM sp"
 ORACLES = {
     "k1_sssp_copart": _sp("copart") + _ROUND,
@@ -345,7 +436,10 @@ ORACLES = {
     "k1_sssp_bucketed": _sp("copart") + _ROUND,
     "k1_sssp_ordered": _sp("userseq") + _ROUND,
     "k1_bfs_levels": _sp("copart", add="1") + " SELECT dist::INTEGER AS level, count(*) AS n FROM sp GROUP BY 1",
-    "k1_path_tree": _sp("geo") + " SELECT a.id, round(a.dist, 6) AS dist, coalesce(min(b.id), -1) AS pred FROM sp a LEFT JOIN (SELECT sp.id, sp.dist, e.dst, e.weight FROM e JOIN sp ON sp.id = e.src) b ON b.dst = a.id AND abs(b.dist + b.weight - a.dist) <= 1e-12 AND b.dist < a.dist GROUP BY 1, 2",
+    "k1_path_tree": _label("geo") + _PRED,
+    "k1_path_tree_zero": _label("partsupp") + _PRED,
+    "k1_paths": _label("geo") + ", t AS (SELECT l.id, min(e.src) AS pred FROM l JOIN e ON e.dst = l.id JOIN l p ON p.id = e.src AND p.d + e.weight = l.d AND p.hops + 1 = l.hops GROUP BY 1), w(target, here, path) AS (SELECT id, id, id::VARCHAR FROM l WHERE id % 8 = 1 UNION ALL SELECT target, pred, pred::VARCHAR || '-' || path FROM w JOIN t ON t.id = w.here) SELECT target, round(l.d, 6) AS dist, path FROM w JOIN l ON l.id = target WHERE here IN (SELECT id FROM s0)",
+    "k1_sources": f"WITH RECURSIVE {SQL['userseq']}, s0 AS ({_LEAST} UNION SELECT * FROM ({_HUB}) UNION SELECT * FROM (SELECT id FROM v ORDER BY {rng.sql_bits(SEED, 'source', 'id')}, id LIMIT 8)), sp(source, id, dist) USING KEY (source, id) AS (SELECT id, id, 0.0::DOUBLE FROM s0 UNION SELECT sp.source, e.dst, min(sp.dist + weight) FROM sp JOIN e ON e.src = sp.id LEFT JOIN recurring.sp AS r ON r.id = e.dst AND r.source = sp.source WHERE r.dist IS NULL OR sp.dist + weight < r.dist GROUP BY 1, 2) SELECT source, count(*) AS reached, round(max(dist), 6) AS farthest, round(avg(dist), 6) AS mean FROM sp GROUP BY 1",
     "k1_within": _sp("copart", bound="AND sp.dist + weight <= 1.0") + _ROUND,
     "k1_multi_source": f"WITH RECURSIVE {SQL['cosupp']}, sp(source, id, dist) USING KEY (source, id) AS (SELECT id, id, 0.0::DOUBLE FROM v WHERE color > 0.9 UNION SELECT sp.source, e.dst, min(sp.dist + weight) FROM sp JOIN e ON e.src = sp.id LEFT JOIN recurring.sp AS r ON r.id = e.dst AND r.source = sp.source WHERE r.dist IS NULL OR sp.dist + weight < r.dist GROUP BY 1, 2) SELECT source, id, round(dist, 6) AS dist FROM sp",
     "k1_components": f"WITH RECURSIVE {SQL['docline']}, c(id, component) USING KEY (id) AS (SELECT id, id FROM v UNION SELECT e.dst, min(c.component) FROM c JOIN e ON e.src = c.id JOIN recurring.c AS r ON r.id = e.dst WHERE c.component < r.component GROUP BY 1) SELECT id, component FROM c",

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-MODULES = ("operators.generate", "operators.search", "operators.spectral", "operators.coalesce", "operators.metrics", "operators.grouping", "operators.baselines", "operators.represent", "sources.ingest", "sources.io", "operators.relational", "functions.queries", "streaming.edges")
+MODULES = ("operators.generate", "operators.search", "operators.spectral", "operators.coalesce", "operators.metrics", "operators.grouping", "operators.baselines", "operators.represent", "sources.ingest", "sources.io", "operators.relational", "functions.queries", "streaming.edges", "suite")
 
 
 def _all(what: str) -> dict:

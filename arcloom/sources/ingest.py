@@ -13,6 +13,7 @@ from pyspark.sql.window import Window
 
 from arcloom import rng
 from arcloom.model import PropertyGraph, both_ways
+from arcloom.plans.iterate import cut
 
 SEED = 42
 #: Account balances are scaled from these bounds, which hold all of them.
@@ -24,6 +25,11 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
     return df.select(*columns) if columns else df
 
 
+def stored(g: PropertyGraph) -> PropertyGraph:
+    """The graph built once, for what reads it more than once."""
+    return PropertyGraph(cut(g.vertices), cut(g.edges))
+
+
 def balance(column: str):
     return (F.col(column) - LOW) / (HIGH - LOW)
 
@@ -76,10 +82,11 @@ def custpart(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return _bipartite(_through_orders(spark, sf_dir, "l_partkey"), _side(table(spark, sf_dir, "customer"), "c_custkey", 2, balance("c_acctbal")), _side(table(spark, sf_dir, "part"), "p_partkey", 0, (F.col("p_size") - 1) / 49.0))
 
 
-def transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+def transitions(spark: SparkSession, sf_dir: str, until: int | None = None) -> DataFrame:
     """(a, b): user of an event and of the next one. Days are windows of their own; the last event of a day meets the
     first of the next active day by way of one row a day."""
     ev = table(spark, sf_dir, "events", "event_id", "ts", "user_id").withColumn("day", F.to_date("ts"))
+    ev = ev if until is None else ev.where(F.col("event_id") <= until)
     order = Window.partitionBy("day").orderBy("ts", "event_id")
     firsts = ev.groupBy("day").agg(F.min_by("user_id", F.struct("ts", "event_id")).alias("first"))
     following = firsts.select("day", F.lead("first").over(Window.orderBy("day")).alias("following"))
@@ -87,9 +94,11 @@ def transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return own.join(following, "day").select(F.col("user_id").alias("a"), F.coalesce("b", "following").alias("b")).where("b is not null")
 
 
-def userseq(spark: SparkSession, sf_dir: str) -> PropertyGraph:
-    pairs = transitions(spark, sf_dir).where("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg((F.lit(1.0) / F.count("*")).alias("weight"))
-    ev = table(spark, sf_dir, "events", "user_id", "event_type")
+def userseq(spark: SparkSession, sf_dir: str, until: int | None = None) -> PropertyGraph:
+    """Users whose events follow each other; ``until`` is the last event that counts."""
+    pairs = transitions(spark, sf_dir, until).where("a <> b").groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg((F.lit(1.0) / F.count("*")).alias("weight"))
+    ev = table(spark, sf_dir, "events", "event_id", "user_id", "event_type")
+    ev = ev if until is None else ev.where(F.col("event_id") <= until)
     v = ev.groupBy(F.col("user_id").alias("id")).agg((F.sum(F.when(F.col("event_type") == "error", 1).otherwise(0)) / F.count("*")).alias("color"))
     return PropertyGraph(v, both_ways(pairs, "a", "b"))
 
@@ -104,7 +113,7 @@ def words(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     pairs = table(spark, sf_dir, "documents", "text").select(tokens.alias("t")).where("size(t) > 1")
     pairs = pairs.select(F.explode(F.arrays_zip(F.slice("t", 1, F.size("t") - 1).alias("a"), F.slice("t", 2, F.size("t") - 1).alias("b"))).alias("p")).select("p.a", "p.b").where("a <> b")
     pairs = pairs.groupBy(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).agg((F.lit(1.0) / F.count("*")).alias("weight"))
-    e = both_ways(pairs.select(word_id(F.col("a")).alias("a"), word_id(F.col("b")).alias("b"), "weight"), "a", "b")
+    e = cut(both_ways(pairs.select(word_id(F.col("a")).alias("a"), word_id(F.col("b")).alias("b"), "weight"), "a", "b"))  # vertices come from edges
     ids = e.select(F.col("src").alias("id")).distinct()
     return PropertyGraph(ids.select("id", rng.uniform(SEED, "color", "id").alias("color")), e)
 
@@ -118,7 +127,7 @@ def docline(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     lines = table(spark, sf_dir, "documents", "doc_id", "text").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.md5(F.lower(F.trim("line")).cast("binary")).alias("h"), F.length(F.trim("line")).alias("n")).where("n >= 20").select("doc_id", "h").distinct()
     least = lines.groupBy("h").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).where("n > 1")
     pairs = lines.join(least, "h").where("doc_id <> a").groupBy("a", F.col("doc_id").alias("b")).agg((F.lit(1.0) / F.count("*")).alias("weight"))
-    e = both_ways(pairs, "a", "b")
+    e = cut(both_ways(pairs, "a", "b"))
     quality = table(spark, sf_dir, "labels", "doc_id", "quality").groupBy("doc_id").agg(F.max("quality").alias("q"))
     ids = e.select(F.col("src").alias("id")).distinct()
     return PropertyGraph(ids.join(quality, ids["id"] == quality["doc_id"], "left").select("id", F.coalesce(F.col("q").cast("double"), F.lit(0.5)).alias("color")), e)
@@ -129,7 +138,7 @@ def pageref(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     refs = table(spark, sf_dir, "pages", "page_id", "html").select((F.col("page_id") * 8).alias("a"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("href")).distinct()
     refs = refs.withColumn("b", F.shiftright(word_id(F.col("href")), 4) * 8 + 1)
     n = refs.groupBy("b").agg(F.count("*").alias("n"))
-    e = both_ways(refs.select("a", "b").distinct().join(n, "b").select("a", "b", (F.lit(1.0) / F.col("n")).alias("weight")), "a", "b")
+    e = cut(both_ways(refs.select("a", "b").distinct().join(n, "b").select("a", "b", (F.lit(1.0) / F.col("n")).alias("weight")), "a", "b"))
     return PropertyGraph(e.select(F.col("src").alias("id")).distinct().select("id", rng.uniform(SEED, "color", "id").alias("color")), e)
 
 

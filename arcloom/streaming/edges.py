@@ -10,14 +10,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from arcloom.sources.ingest import table
+from arcloom.model import PropertyGraph
+from arcloom.operators.coalesce import apply_updates
+from arcloom.plans.iterate import cut
+from arcloom.sources.ingest import table, word_id
 from arcloom.sources.io import fresh
 
 EVENT = "event_id BIGINT, ts TIMESTAMP_NTZ, user_id BIGINT, event_type STRING, value DOUBLE, props STRING"
 
 
-def events(spark: SparkSession, sf_dir: str, slices: int = 4, sentinel: bool = True) -> DataFrame:
-    """The events table as a stream of ``slices`` files in time order; a sentinel event far ahead closes all windows.
+def events(spark: SparkSession, sf_dir: str, slices: int = 4, sentinel: bool = True, late: int = 0) -> DataFrame:
+    """The events table as a stream of ``slices`` files in time order; a sentinel event far ahead closes all windows, and ``late`` events come behind it.
 
     A file source reads folders, so the table is written to the shared folder first.
     """
@@ -30,6 +33,8 @@ def events(spark: SparkSession, sf_dir: str, slices: int = 4, sentinel: bool = T
     if sentinel:
         last = ev.agg(F.max("ts").alias("ts")).select(F.lit(-1).cast("long").alias("event_id"), (F.col("ts") + F.expr("INTERVAL 100 DAYS")).alias("ts"), F.lit(-1).cast("long").alias("user_id"), F.lit("sentinel").alias("event_type"), F.lit(0.0).alias("value"), F.lit("{}").alias("props"))
         last.write.mode("append").parquet(path)
+    if late:
+        ev.orderBy("event_id").limit(late).coalesce(1).write.mode("append").parquet(path)
     return spark.readStream.schema(EVENT).option("maxFilesPerTrigger", 1).parquet(path).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
@@ -45,9 +50,15 @@ def collect(df: DataFrame, mode: str) -> DataFrame:
     return spark.table(name)
 
 
+def edges(stream: DataFrame) -> DataFrame:
+    """(src, dst, ts): an event is an edge between its user (id * 8) and its type (hash * 8 + 1)."""
+    return stream.select((F.col("user_id") * 8).alias("src"), (F.shiftright(word_id(F.col("event_type")), 4) * 8 + 1).alias("dst"), "ts")
+
+
 def stream_degree(spark, sf_dir):
-    """Running number of events a user; complete mode, so the last state is the result."""
-    return collect(events(spark, sf_dir, sentinel=False).groupBy("user_id").agg(F.count("*").alias("n")), "complete")
+    """Running degree of every vertex, parallels counted; complete mode, so the last state is the result."""
+    ends = edges(events(spark, sf_dir, sentinel=False)).select(F.explode(F.array("src", "dst")).alias("id"))
+    return collect(ends.groupBy("id").agg(F.count("*").alias("degree")), "complete")
 
 
 def _windows(spark, sf_dir, window):
@@ -89,18 +100,30 @@ def stream_stream_join(spark, sf_dir):
     return collect(a.join(b, F.expr("u = user_id AND ts >= t AND ts <= t + INTERVAL 1 HOUR")).select("click", "purchase"), "append")
 
 
+#: How long a neighbour is remembered.
+TTL = pd.Timedelta(days=20)
+
+
 def _neighbours(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-    seen = set(state.get[0]) if state.exists else set()
+    """Neighbours of a vertex that were met within the last ``TTL`` before its last edge; an idle vertex is forgotten."""
+    if state.hasTimedOut:
+        state.remove()
+        return
+    seen = dict(zip(*state.get, strict=True)) if state.exists else {}
     for f in frames:
-        seen |= set(f["event_type"].tolist())
-    state.update((sorted(seen),))
-    yield pd.DataFrame({"user_id": [key[0]], "types": [len(seen)]})
+        for n, t in zip(f["dst"].tolist(), f["ts"].tolist(), strict=True):
+            seen[n] = max(seen.get(n, 0), int(pd.Timestamp(t).value // 1000))
+    last = max(seen.values())
+    seen = {n: t for n, t in seen.items() if t >= last - TTL.value // 1000}
+    state.update((list(seen), list(seen.values())))
+    state.setTimeoutTimestamp(max(last // 1000 + int(TTL.total_seconds() * 1000), state.getCurrentWatermarkMs() + 1))
+    yield pd.DataFrame({"id": [key[0]], "neighbours": [len(seen)], "last": [last]})
 
 
 def stream_state(spark, sf_dir):
-    """A set a user, kept in state; the largest set reported is the last."""
-    s = events(spark, sf_dir, sentinel=False).select("user_id", "event_type").groupBy("user_id").applyInPandasWithState(_neighbours, "user_id long, types long", "seen array<string>", "update", GroupStateTimeout.NoTimeout)
-    return collect(s, "update").groupBy("user_id").agg(F.max("types").alias("types"))
+    """The neighbour set of every user, kept in state with a time to live; the last one reported is the result."""
+    s = edges(events(spark, sf_dir, sentinel=False)).withWatermark("ts", "1 day").groupBy("src").applyInPandasWithState(_neighbours, "id long, neighbours long, last long", "nbr array<long>, at array<long>", "update", GroupStateTimeout.EventTimeTimeout)
+    return collect(s, "update").groupBy("id").agg(F.max_by("neighbours", "last").alias("neighbours"))
 
 
 def apply_each(stream: DataFrame, work: Callable[[DataFrame, int], None]) -> None:
@@ -109,26 +132,48 @@ def apply_each(stream: DataFrame, work: Callable[[DataFrame, int], None]) -> Non
 
 
 def stream_updates(spark, sf_dir):
-    """Edges between consecutive event types of a slice, merged into a table batch by batch."""
-    path = fresh(spark, "updates")
+    """The graph of users and types under update batches: each adds its edges, and takes those to the first type of errors out again."""
+    none = spark.createDataFrame([], "src long, dst long, weight double")
+    now = [PropertyGraph(none.select(F.col("src").alias("id")).withColumn("color", F.lit(0.0)), none)]
+    gone = F.shiftright(word_id(F.lit("error")), 4) * 8 + 1
 
     def work(batch: DataFrame, number: int) -> None:
-        batch.groupBy("user_id", "event_type").agg(F.count("*").alias("n")).withColumn("batch", F.lit(number)).write.mode("append").parquet(path)
+        pairs = batch.select("src", "dst").distinct().withColumn("weight", F.lit(0.5))
+        after = apply_updates(now[0], pairs.select(F.lit("add").alias("op"), "src", "dst", "weight"))
+        after = PropertyGraph(after.vertices, cut(after.edges))
+        after = apply_updates(after, pairs.where(F.col("dst") == gone).select(F.lit("remove").alias("op"), "src", "dst", "weight"))
+        now[0] = PropertyGraph(after.vertices, cut(after.edges))
+
+    apply_each(edges(events(spark, sf_dir, sentinel=False)), work)
+    return now[0].edges
+
+
+LATE = 3
+
 
-    apply_each(events(spark, sf_dir, sentinel=False), work)
-    return spark.read.parquet(path).groupBy("user_id", "event_type").agg(F.sum("n").alias("n"))
+def stream_late(spark, sf_dir):
+    """Events behind the watermark, planted in a last file, are dropped and counted; windows have all others."""
+    w = events(spark, sf_dir, late=LATE).withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 day").alias("w"), "event_type").agg(F.count("*").alias("n"))
+    path = fresh(spark, "stream")
+    q = w.writeStream.outputMode("append").format("parquet").option("path", path).option("checkpointLocation", fresh(spark, "stream-state")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    dropped = sum(int(o["numRowsDroppedByWatermark"]) for p in q.recentProgress for o in p["stateOperators"])
+    counted = spark.read.schema(w.schema).parquet(path).where("event_type <> 'sentinel'")
+    return counted.agg(F.sum("n").alias("counted")).withColumn("dropped", F.lit(dropped).cast("long"))
 
 
-NAMES = "stream_degree stream_tumbling stream_sliding stream_session stream_dedup stream_static_join stream_stream_join stream_state stream_updates".split()
+NAMES = "stream_degree stream_tumbling stream_sliding stream_session stream_dedup stream_static_join stream_stream_join stream_state stream_updates stream_late".split()
 QUERIES = {n: globals()[n] for n in NAMES}
+_TYPE = "((('0x' || substr(md5(event_type), 1, 13))::BIGINT >> 4) * 8 + 1)"
 ORACLES = {
-    "stream_degree": "SELECT user_id, count(*) AS n FROM events GROUP BY 1",
+    "stream_degree": f"SELECT id, count(*) AS degree FROM (SELECT user_id * 8 AS id FROM events UNION ALL SELECT {_TYPE} FROM events) GROUP BY 1",
+    "stream_late": f"SELECT count(*) AS counted, {LATE}::BIGINT AS dropped FROM events",
     "stream_tumbling": "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2",
     "stream_sliding": "SELECT (epoch(ts)::BIGINT // 21600 - k) * 21600 AS start, event_type, count(*) AS n FROM events, range(4) r(k) GROUP BY 1, 2",
     "stream_session": "WITH g AS (SELECT user_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS f FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(f) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(epoch_us(ts)) AS start, count(*) AS n FROM s GROUP BY user_id, k",
     "stream_dedup": "SELECT DISTINCT user_id, event_type FROM events",
     "stream_static_join": "WITH c AS (SELECT user_id, avg((event_type = 'error')::INT::DOUBLE) AS color FROM events GROUP BY 1) SELECT event_type, count(*) AS n, round(sum(color), 6) AS color FROM events JOIN c USING (user_id) GROUP BY 1",
     "stream_stream_join": "SELECT a.event_id AS click, b.event_id AS purchase FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR",
-    "stream_state": "SELECT user_id, count(DISTINCT event_type) AS types FROM events GROUP BY 1",
-    "stream_updates": "SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2",
+    "stream_state": f"WITH t AS (SELECT user_id, event_type, max(ts) AS ts FROM events GROUP BY 1, 2), u AS (SELECT *, max(ts) OVER (PARTITION BY user_id) AS last FROM t) SELECT user_id * 8 AS id, count(*) AS neighbours FROM u WHERE ts >= last - INTERVAL {TTL.days} DAY GROUP BY 1",
+    "stream_updates": f"WITH p AS (SELECT DISTINCT user_id * 8 AS a, {_TYPE} AS b FROM events WHERE event_type <> 'error') SELECT a AS src, b AS dst, 0.5::DOUBLE AS weight FROM p UNION ALL SELECT b, a, 0.5 FROM p",
 }
