@@ -167,7 +167,7 @@ def split(g: PropertyGraph, alpha: float, m: int, objective: str = "ratio", dire
     """
     inner = induce(g, alpha)
     if sweep == "batched":
-        return _split_batched(inner, m, objective, direction, fraction, seed)
+        return _split_batched(inner, m, objective, direction, fraction, seed, skip_unsplittable)
 
     def work(adjacent):
         s = Splitter(adjacent, objective, direction, skip_unsplittable)
@@ -250,7 +250,7 @@ def move_gains(g: PropertyGraph, groups: DataFrame, totals: Totals, s: int, t: i
     return rows.select("id", "own", F.when(F.col("own") == s, change(s, t)).otherwise(change(t, s)).alias("gain"))
 
 
-def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction: float, seed: int, sweeps: int = 8) -> DataFrame:
+def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction: float, seed: int, skip: bool = False, sweeps: int = 8) -> DataFrame:
     """Rounds that split the least dense group. The new group starts from the vertex that gains most alone, and its neighbours in the group;
     then sweeps score the members of both groups against the frozen grouping, and a hashed fraction of those that gain
     changes side, kept only if the objective improves, else half as many. The round stays only if it improves the whole.
@@ -263,10 +263,14 @@ def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction
         return groups
     best = totals.value(kind, direction)
     better = lambda x, y: sign * x < sign * y - 1e-9
+    stuck: set[int] = set()
     for r in range(m):
         shape = Splitter({}, kind, direction)
         shape.size, shape.block = totals.size, totals.block
-        s, t = min((i for i in range(k) if totals.size[i]), key=lambda i: (shape._density(i), i)), k
+        whole = [i for i in range(k) if totals.size[i] and i not in stuck and not (skip and totals.size[i] < 2)]
+        if not whole:
+            break
+        s, t = min(whole, key=lambda i: (shape._density(i), i)), k
         if totals.size[s] < 2:
             break
         wide = Totals([*totals.size, 0], [*[[*row, 0] for row in totals.block], [0] * (k + 1)])
@@ -290,7 +294,10 @@ def _split_batched(g: PropertyGraph, m: int, kind: str, direction: str, fraction
             else:
                 share /= 2
         if not better(value, best):
-            break
+            if not skip:
+                break
+            stuck.add(s)
+            continue
         groups, totals, best, k = trial, now, value, k + 1
     return groups
 
