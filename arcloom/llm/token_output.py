@@ -24,7 +24,7 @@ import os
 import struct
 import zlib
 from collections.abc import Iterator
-from itertools import chain
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -128,9 +128,11 @@ class ChunkEncoder:
         """Row numbers in the table of atoms."""
         coded = values.dictionary_encode()
         names = coded.dictionary.to_pylist()
-        if new := [x for x in names if x not in self.atoms]:
+        at = np.fromiter(map(self.atoms.get, names, repeat(-1)), np.int64, len(names))
+        if len(missing := np.flatnonzero(at < 0)):
+            new = [names[i] for i in missing.tolist()]
             self._learn(new)
-        at = np.fromiter(map(self.atoms.__getitem__, names), np.int64, len(names))
+            at[missing] = np.fromiter(map(self.atoms.__getitem__, new), np.int64, len(new))
         return at[coded.indices.to_numpy()]
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
