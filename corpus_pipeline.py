@@ -3,6 +3,10 @@
 Each stage takes (spark, docs, sf_dir), works on all documents that the stage before it kept, and returns the columns
 of documents; the last one returns the digest of the token files. Between stages documents are a Parquet table in
 the shared folder.
+
+Every stage takes null and empty texts (they count as texts without words), very long texts (read whole), null ids (kept
+by all stages that drop by id), repeated rows, an empty table (no rows come out), and other columns of any
+name, which pass through with their values.
 """
 
 from __future__ import annotations
@@ -23,22 +27,22 @@ SHARES = [0.9985, 0.001, 0.0005]
 
 
 def select_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose tail probability of the best grade reaches the cut."""
+    """Documents whose tail probability of the best grade reaches the cut. A text without words is judged by the thresholds alone."""
     return quality.select_documents(docs, quality.train(docs, quality.graded(table(spark, sf_dir, "labels"))))
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, the one with the smallest id, of each class of near copies."""
+    """One document, the one with the smallest id, of each class of near copies. Texts without words are no copies of each other; of rows with one id and text one stays."""
     return ngram_join.drop_near_duplicates(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a benchmark passage."""
+    """Documents without a benchmark passage. Without a benchmark all stay."""
     return decontamination.decontaminate(docs, table(spark, sf_dir, "benchmark"))
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents drawn at the fitted rates, those of a short domain more than once. The classifier learns from the whole table of documents."""
+    """Documents drawn at the fitted rates, those of a short domain more than once. The classifier learns from the whole table of documents. A text without words counts no tokens and stays at its rate."""
     keyed = docs.select("doc_id", "text", F.xxhash64("text").alias("text_hash"))
     rates, said = mixing.document_rates(keyed, mixing.domain_labels(table(spark, sf_dir, "labels")), SHARES, ["doc_id", "text_hash"], learn_from=table(spark, sf_dir, "documents"))
     log.log(logging.INFO if said["converged"] else logging.WARNING, "mixing: converged %s, shares %s", said["converged"], said["shares"])
@@ -46,7 +50,7 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def write_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token files and their digest by document."""
+    """Token files and their digest by document. A null or empty text is its end id; null ids come first."""
     return token_output.read_digest(token_output.write_tokens(docs, token_output.tokenizer_file()))
 
 
