@@ -19,7 +19,6 @@ Other columns are not read.
 
 from __future__ import annotations
 
-import json
 import os
 import struct
 import zlib
@@ -59,21 +58,19 @@ class ChunkEncoder:
         vocabulary = self.tokenizer.get_vocab()
         self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
         self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
-        self.light = self._without_normaliser(Tokenizer)
+        self.light = self._without_normaliser()
         self._clear()
 
-    def _without_normaliser(self, kind):
-        """The same model behind blanks alone: plain lower-case words need no normalising and no splitting."""
-        spec = json.loads(self.tokenizer.to_str())
-        split = spec["pre_tokenizer"] or {}
-        if not self.ends.any() or "ByteLevel" not in json.dumps(split):
+    def _without_normaliser(self):
+        """The same model, not a copy, behind blanks alone: plain words need no normalising and no splitting."""
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        if not self.ends.any() or "ByteLevel" not in repr(self.tokenizer.pre_tokenizer):
             return None
-        level = next(p for p in split.get("pretokenizers", [split]) if p["type"] == "ByteLevel")
-        spec |= {"normalizer": None, "added_tokens": [], "pre_tokenizer": {"type": "Sequence", "pretokenizers": [{"type": "WhitespaceSplit"}, level | {"use_regex": False, "add_prefix_space": False}]}}
-        light = kind.from_str(json.dumps(spec))
-        if hasattr(model := light.model, "_resize_cache"):  # it never sees a word twice
+        if hasattr(model := self.tokenizer.model, "_resize_cache"):  # it hardly sees a chunk twice
             model._resize_cache(0)
-            light.model = model
+        light = Tokenizer(model)
+        light.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         return light
 
     def _clear(self) -> None:
@@ -361,7 +358,7 @@ def _writer(path: str, shard_tokens: int):
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1)
             sizes = pc.fill_null(pc.utf8_length(texts), 0).to_pylist()
-            for a, b in slices(sizes, 1 << 23):
+            for a, b in slices(sizes, 6 << 20):
                 flat, n = enc.encode(texts.slice(a, b - a))
                 held.append(flat)
                 docs += ids[a:b]
