@@ -18,6 +18,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+# Arrow's own pool keeps what tasks have freed; the system's gives it back (``tidy``).
+pa.set_memory_pool(pa.system_memory_pool())
+
 #: The ASCII white space of the contracts, and the letters that are lowered.
 SPACES = " \t\n\x0b\f\r"
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
