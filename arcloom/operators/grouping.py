@@ -10,8 +10,10 @@ infinite when the objective is to fall, so the first split always goes ahead.
 from __future__ import annotations
 
 import math
+from collections import Counter
 from dataclasses import dataclass, field
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,7 +21,7 @@ from arcloom import rng
 from arcloom.functions.scalar import binary_entropy
 from arcloom.model import PropertyGraph, induced
 from arcloom.operators.metrics import brands, group_arcs
-from arcloom.operators.search import MAX_LOCAL_ARCS, local
+from arcloom.operators.search import Packed, local
 from arcloom.plans.iterate import cut, release
 from arcloom.sources.ingest import GRAPHS, SEED, SQL, stored
 
@@ -68,7 +70,7 @@ def _h(p: float) -> float:
 class Splitter:
     """The split loop with counts that a move changes by the degree of what moves."""
 
-    adjacent: dict[int, list]
+    adjacent: dict[int, list] | Packed
     kind: str = "ratio"
     direction: str = "decrease"
     skip_unsplittable: bool = False
@@ -77,7 +79,9 @@ class Splitter:
     def __post_init__(self) -> None:
         self.group = dict.fromkeys(self.adjacent, 0)
         self.size = [len(self.adjacent)]
-        self.block = [[sum(len(r) for r in self.adjacent.values())]]
+        packed = isinstance(self.adjacent, Packed)
+        self.labels = np.zeros(len(self.adjacent), np.int64) if packed else None
+        self.block = [[len(self.adjacent.to) if packed else sum(len(r) for r in self.adjacent.values())]]
         self.total = self._touching(0, 0)
 
     def _outer(self, g: int) -> int:
@@ -110,22 +114,29 @@ class Splitter:
             return math.inf if self.direction == "decrease" else -math.inf
         return self.total
 
+    def _groups_near(self, v: int):
+        """(group, arcs of v into it)."""
+        if self.labels is None:
+            return Counter(self.group[u] for u, _ in self.adjacent[v]).items()
+        return [(h, n) for h, n in enumerate(np.bincount(self.labels[self.adjacent.near(v)]).tolist()) if n]
+
     def move(self, v: int, to: int) -> None:
         own = self.group[v]
         before = self._touching(own, to)
-        for u, _ in self.adjacent[v]:
-            h = self.group[u]
-            self.block[own][h] -= 1
-            self.block[h][own] -= 1
-            self.block[to][h] += 1
-            self.block[h][to] += 1
+        for h, n in self._groups_near(v):
+            self.block[own][h] -= n
+            self.block[h][own] -= n
+            self.block[to][h] += n
+            self.block[h][to] += n
         self.group[v] = to
+        if self.labels is not None:
+            self.labels[self.adjacent.at[v]] = to
         self.size[own] -= 1
         self.size[to] += 1
         self.total += self._touching(own, to) - before
 
     def run(self, m: int) -> int:
-        """At most m rounds; returns the number of groups."""
+        """At most m rounds; returns the number of groups. ``trace`` has a row a round with the groups and the value after it."""
         stuck: set[int] = set()
         for r in range(1, m + 1):
             open_ = [g for g in range(len(self.size)) if self.size[g] and g not in stuck and not (self.skip_unsplittable and self.size[g] < 2)]
@@ -147,22 +158,22 @@ class Splitter:
                     best, moved = now, moved + 1
                 else:
                     self.move(v, g)
-            self.trace.append({"round": r, "group": g, "moved": moved, "objective": best})
             if not moved:
                 self.size.pop()
                 self.block.pop()
                 for row in self.block:
                     row.pop()
                 stuck.add(g)
-                if not self.skip_unsplittable:
-                    break
+            self.trace.append({"round": r, "group": g, "moved": moved, "objective": best, "k": sum(1 for s in self.size if s), "value": self.value()})
+            if not moved and not self.skip_unsplittable:
+                break
         return sum(1 for s in self.size if s)
 
 
-def split(g: PropertyGraph, alpha: float, m: int, objective: str = "ratio", direction: str = "decrease", sweep: str = "sequential", skip_unsplittable: bool = False, fraction: float = 0.5, seed: int = SEED, most: int = MAX_LOCAL_ARCS) -> DataFrame:
+def split(g: PropertyGraph, alpha: float, m: int, objective: str = "ratio", direction: str = "decrease", sweep: str = "sequential", skip_unsplittable: bool = False, fraction: float = 0.5, seed: int = SEED, most: int | None = None) -> DataFrame:
     """(id, group) after at most m rounds.
 
-    ``sequential`` sweeps vertices in order in one task and refuses graphs over ``most`` arcs; ``batched`` sweeps on all
+    ``sequential`` sweeps vertices in order in one task and, if asked to, refuses graphs over ``most`` arcs; ``batched`` sweeps on all
     tasks (``_split_batched``).
     """
     inner = induce(g, alpha)
@@ -331,12 +342,14 @@ def split_grid(g: PropertyGraph, alphas: list[float], rounds: list[int], kinds:
 
         def work(adjacent):
             for kind in kinds:
-                for m in rounds:
-                    s = Splitter(adjacent, kind)
-                    k = s.run(m) if adjacent else 0
-                    yield kind, m, k, s.value() if k > 1 else None
-
-        one = local(induce(g, alpha), "objective string, m long, k long, value double", work).withColumn("alpha", F.lit(alpha))
+                s = Splitter(adjacent, kind)
+                if adjacent:
+                    s.run(max(rounds))
+                for m in rounds:  # fewer rounds are the first of more
+                    end = s.trace[min(m, len(s.trace)) - 1] if adjacent and m else {"k": int(bool(adjacent)), "value": None}
+                    yield kind, m, end["k"], end["value"] if end["k"] > 1 else None
+
+        one = local(induce(g, alpha), "objective string, m long, k long, value double", work, None).withColumn("alpha", F.lit(alpha))
         out = one if out is None else out.unionByName(one)
     return out
 
