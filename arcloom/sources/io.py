@@ -9,9 +9,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
-from arcloom.model import PropertyGraph
-from arcloom.plans.iterate import checkpoint_dir
-from arcloom.sources.ingest import GRAPHS, SQL
+from arcloom.model import PropertyGraph, numbered
+from arcloom.plans.iterate import checkpoint_dir, cut
+from arcloom.sources.ingest import GRAPHS, SQL, table
 
 EDGES = "src BIGINT, dst BIGINT, weight DOUBLE"
 
@@ -105,8 +105,11 @@ def io_bucketed_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def source_graphgen(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A graph as large as the customers are many: the attachments that each of them made."""
+    own = cut(numbered(table(spark, sf_dir, "customer", "c_custkey"), "c_custkey", "src"))
     spark.dataSource.register(GraphSource)
-    return spark.read.format("graphgen").option("n", "3000").load().groupBy("src").agg(F.count("*").alias("n"))
+    made = spark.read.format("graphgen").option("n", str(own.count())).load().groupBy("src").agg(F.count("*").alias("n"))
+    return own.join(made, "src", "left").select(F.col("c_custkey").alias("src"), F.coalesce("n", F.lit(0)).alias("n"))
 
 
 QUERIES = {"io_csv_roundtrip": io_csv_roundtrip, "io_json_roundtrip": io_json_roundtrip, "io_bucketed_roundtrip": io_bucketed_roundtrip, "source_graphgen": source_graphgen}
