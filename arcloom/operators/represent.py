@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from arcloom.model import PropertyGraph
-from arcloom.plans.iterate import cut
+from arcloom.plans.iterate import cut, release
 from arcloom.sources.ingest import GRAPHS, SQL, stored
 
 
@@ -31,18 +31,19 @@ def linked_list(g: PropertyGraph) -> tuple[DataFrame, DataFrame]:
     return g.vertices.join(first, "id", "left").select("id", "color", "head"), nodes.select("node", F.col("dst").alias("nbr"), "weight", "next")
 
 
-def from_linked_list(heads: DataFrame, nodes: DataFrame, most: int = 1_000_000) -> DataFrame:
-    """Arcs by following pointers: a join for every place in the lists, which is the worst a layout can ask."""
-    at = cut(heads.where("head is not null").select(F.col("id").alias("src"), F.col("head").alias("node")))
-    out = None
-    for _ in range(most):
-        here = cut(at.join(nodes, "node").select("src", "nbr", "weight", "next"))
-        arcs = here.select("src", F.col("nbr").alias("dst"), "weight")
-        out = arcs if out is None else out.unionByName(arcs)
-        at = here.where("next is not null").select("src", F.col("next").alias("node"))
-        if at.isEmpty():
+def from_linked_list(heads: DataFrame, nodes: DataFrame) -> DataFrame:
+    """Arcs by following pointers: every node jumps to what its predecessor points back to, so a list of n nodes takes about log2(n) joins."""
+    nodes = cut(nodes)
+    before = nodes.where("next is not null").select(F.col("next").alias("node"), F.col("node").alias("p"))
+    state = cut(nodes.select("node").join(before, "node", "left").select("node", F.coalesce("p", "node").alias("up")))
+    for _ in range(64):
+        new = cut(state.join(state.select(F.col("node").alias("up"), F.col("up").alias("far")), "up").select("node", F.col("far").alias("up"), (F.col("far") != F.col("up")).alias("moved")))
+        release(state)
+        state = new
+        if new.where("moved").isEmpty():
             break
-    return out
+    first = heads.where("head is not null").select(F.col("id").alias("src"), F.col("head").alias("up"))
+    return nodes.join(state.select("node", "up"), "node").join(first, "up").select("src", F.col("nbr").alias("dst"), "weight")
 
 
 def csr(g: PropertyGraph, block: int = 4096) -> DataFrame:
