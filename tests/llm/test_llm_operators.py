@@ -739,3 +739,23 @@ def test_ordinal_fit_lowers_the_likelihood_and_orders_grades():
 
 def test_words():
     assert words("It's A-b  Été_x\n9") == ["it", "s", "a", "b", "été", "x", "9"] and words(None) == []
+
+
+def test_op8_neighbours_of_the_sample_take_little_of_the_driver():
+    """At most 64 MB beside 4 MB of vectors, and the nearest of a plain sort."""
+    import tracemalloc
+
+    import numpy as np
+
+    from arcloom.llm.ann import neighbour_graph
+
+    x = np.random.default_rng(2).standard_normal((8192, 64))
+    tracemalloc.start()
+    near = neighbour_graph(x, 20)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 64 << 20
+    for i in (0, 63, 64, 8191):
+        score = x @ x[i]
+        score[i] = -np.inf
+        assert set(near[i].tolist()) == set(np.argsort(-score)[:20].tolist())
