@@ -759,3 +759,31 @@ def test_op8_neighbours_of_the_sample_take_little_of_the_driver():
         score = x @ x[i]
         score[i] = -np.inf
         assert set(near[i].tolist()) == set(np.argsort(-score)[:20].tolist())
+
+
+def test_op9_only_nested_symbols_are_split_again():
+    """Of a long sequence with one deep symbol, only what that one leaves is looked at again; a shard reads back."""
+    import numpy as np
+
+    from arcloom.llm.token_output import Shard, _lengths, _split, pack
+
+    class Seen:
+        def __init__(self, values):
+            self.values, self.n = values, 0
+
+        def __getitem__(self, at):
+            self.n += len(at)
+            return self.values[at]
+
+    rules = np.array([(0, 1)] + [(9 + k, 2) for k in range(1, 40)])
+    base, seq = 10, np.zeros(10_000, np.int64)
+    seq[5000] = base + 39
+    lens = _lengths(rules, base)
+    assert lens[:base].tolist() == [1] * base and lens[base:].tolist() == list(range(2, 42))
+    long = Seen(np.arange(base + 40) >= base)
+    out = _split(seq, rules, base, long)
+    assert out.tolist() == [0] * 5000 + [0, 1] + [2] * 39 + [0] * 4999
+    assert long.n < 2 * len(seq)
+    ids = np.concatenate([np.tile(np.arange(300), 50), np.zeros(3000, np.int64), np.arange(500)]).astype(np.uint32)
+    shard = Shard(pack(ids))
+    assert (shard.ids() == ids).all() and (shard.range(14_000, 17_000) == ids[14_000:17_000]).all()
